@@ -42,3 +42,19 @@ SELECT d.doc_id, len(w)::BIGINT AS n_words, coalesce(n_hit, 0)::BIGINT AS n_hit,
        sha256(coalesce(names, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AND 20 * coalesce(n_hit, 0) >= len(w) AS contaminated
 FROM d LEFT JOIN marked USING (doc_id) LEFT JOIN named USING (doc_id)
 """
+
+ORACLE_SQL["op6_line_dedup"] = r"""
+WITH l AS (
+  SELECT doc_id, source, generate_subscripts(string_split(text, chr(10)), 1) AS pos, unnest(string_split(text, chr(10))) AS line FROM documents WHERE text IS NOT NULL
+), t AS (
+  SELECT doc_id, source, pos, line, regexp_replace(line, '^\s+|\s+$', '', 'g') AS norm FROM l
+), marked AS (
+  SELECT norm, min(struct_pack(d := doc_id, p := pos)) AS f FROM t WHERE length(norm) >= 15 GROUP BY norm HAVING count(DISTINCT source) >= 10
+), judged AS (
+  SELECT t.*, f IS NOT NULL AND NOT (doc_id = f.d AND pos = f.p) AS gone FROM t LEFT JOIN marked USING (norm)
+)
+SELECT doc_id, count(*)::BIGINT AS n_lines, count(*) FILTER (gone)::BIGINT AS n_removed,
+       sha256(coalesce(string_agg(line, chr(10) ORDER BY pos) FILTER (NOT gone), '')) AS kept_sha256
+FROM judged GROUP BY doc_id
+UNION ALL SELECT doc_id, 0, 0, NULL FROM documents WHERE text IS NULL
+"""
