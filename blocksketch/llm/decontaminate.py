@@ -82,10 +82,13 @@ def _scan_by_join(docs: DataFrame, windows: DataFrame, keep: tuple[str, ...]) ->
     """The way beyond MOST_WINDOWS: every document window meets the set by a shuffle join."""
     docs = docs.withColumn("_row", F.monotonically_increasing_id())
     lengths = [r.len for r in windows.select("len").distinct().collect()]  # at most n
-    spans = F.concat(*[
-        F.when(F.size("w") >= m, F.transform(F.sequence(F.lit(0), F.size("w") - m), lambda i, m=m: F.struct(i.cast("int").alias("s"), (i + m).cast("int").alias("e"), F.array_join(F.slice("w", i + 1, m), " ").alias("gram")))).otherwise(F.array().cast("array<struct<s:int,e:int,gram:string>>"))
-        for m in lengths
-    ])
+
+    def spans_of(m: int) -> Column:
+        at = F.sequence(F.lit(0), F.size("w") - m)
+        spans = F.transform(at, lambda i: F.struct(i.cast("int").alias("s"), (i + m).cast("int").alias("e"), F.array_join(F.slice("w", i + 1, m), " ").alias("gram")))
+        return F.when(F.size("w") >= m, spans).otherwise(F.array().cast("array<struct<s:int,e:int,gram:string>>"))
+
+    spans = F.concat(*[spans_of(m) for m in lengths])
     flat = docs.select(*keep, "_row", F.size("w").alias("n_words"), F.explode_outer(spans).alias("x"))
     known = windows.select(F.col("gram").alias("_gram"))
     flat = flat.join(known, F.col("x.gram") == F.col("_gram"), "left")

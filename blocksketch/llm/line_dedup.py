@@ -68,23 +68,38 @@ def boilerplate(documents: DataFrame, site: str = "source", min_sites: int = 10,
     return found.groupBy("k", "t").agg(F.collect_set("pos").alias("gone"))
 
 
-def dedup_lines(documents: DataFrame, site: str = "source", min_sites: int = 10, min_chars: int = 15, keep_first: bool = True) -> DataFrame:
-    """All rows and columns of ``documents`` plus ``_kept`` (text without boilerplate), ``_n_lines`` and ``_n_removed``."""
-    names = documents.columns
+def _marked(documents: DataFrame, site: str, min_sites: int, min_chars: int, keep_first: bool) -> DataFrame:
+    """_doc (all columns as one struct, so that no name can clash), _kept, _n_lines, _n_removed."""
     gone = boilerplate(documents, site, min_sites, min_chars, keep_first)
-    base = documents.select(F.struct(*[F.col(f"`{c}`") for c in names]).alias("_doc"), F.col("doc_id").alias("_k"), F.xxhash64("text").alias("_t"), F.col("text").alias("_text"))
+    base = documents.select(F.struct(*[F.col(f"`{c}`") for c in documents.columns]).alias("_doc"), F.col("doc_id").alias("_k"), F.xxhash64("text").alias("_t"), F.col("text").alias("_text"))
     held = gone.select(F.col("k").alias("_k2"), F.col("t").alias("_t2"), "gone")
     out = base.join(held, F.col("_k").eqNullSafe(F.col("_k2")) & (F.col("_t") == F.col("_t2")), "left")
     parts = F.split("_text", "\n", -1)
     left = F.filter(parts, lambda x, i: ~F.array_contains("gone", i))
     kept = F.when(F.col("gone").isNull(), F.col("_text")).otherwise(F.array_join(left, "\n"))
     n_lines = F.when(F.col("_text").isNull(), 0).otherwise(F.size(parts)).cast("long")
-    return out.select("_doc.*", kept.alias("_kept"), n_lines.alias("_n_lines"), F.coalesce(F.size("gone"), F.lit(0)).cast("long").alias("_n_removed"))
+    return out.select("_doc", kept.alias("_kept"), n_lines.alias("_n_lines"), F.coalesce(F.size("gone"), F.lit(0)).cast("long").alias("_n_removed"))
+
+
+def dedup_lines(documents: DataFrame, site: str = "source", min_sites: int = 10, min_chars: int = 15, keep_first: bool = True) -> DataFrame:
+    """All rows and columns of ``documents`` plus ``_kept`` (text without boilerplate), ``_n_lines`` and ``_n_removed``.
+
+    Columns of the input with one of these three names give way to them.
+    """
+    new = ["_kept", "_n_lines", "_n_removed"]
+    return _marked(documents, site, min_sites, min_chars, keep_first).select(*[F.col(f"_doc.`{c}`") for c in documents.columns if c not in new], *new)
 
 
-def without_boilerplate(documents: DataFrame, **how: object) -> DataFrame:
+def without_boilerplate(documents: DataFrame, site: str = "source", min_sites: int = 10, min_chars: int = 15, keep_first: bool = True) -> DataFrame:
     """``documents`` with boilerplate lines gone from text (n_chars follows); rows left with no text at all go."""
-    names = documents.columns
-    out = dedup_lines(documents, **how).where("_n_removed = 0 or trim(_kept) <> ''")
-    cols = [F.col("_kept").alias(c) if c == "text" else F.when(F.col("_n_removed") > 0, F.length("_kept").cast(documents.schema[c].dataType)).otherwise(F.col(c)).alias(c) if c == "n_chars" else F.col(f"`{c}`") for c in names]
-    return out.select(*cols)
+    out = _marked(documents, site, min_sites, min_chars, keep_first).where("_n_removed = 0 or trim(_kept) <> ''")
+
+    def column(c: str) -> Column:
+        old = F.col(f"_doc.`{c}`")
+        if c == "text":
+            return F.col("_kept").alias(c)
+        if c == "n_chars":
+            return F.when(F.col("_n_removed") > 0, F.length("_kept").cast(documents.schema[c].dataType)).otherwise(old).alias(c)
+        return old.alias(c)
+
+    return out.select(*map(column, documents.columns))

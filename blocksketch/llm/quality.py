@@ -21,6 +21,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from blocksketch.llm.common import materialise, mix, row_runs, ship, text_buffer
 
@@ -91,9 +92,9 @@ def measures_of(data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
 def measure(documents: DataFrame, keep: tuple[str, ...] = ("doc_id",), text: str = "text") -> DataFrame:
     """``keep`` plus one double column per measure, named ``m_<measure>``."""
     ship(documents.sparkSession)
-    src = documents.select(*keep, text)
+    src = documents.select(*[F.col(f"`{c}`") for c in keep], F.col(text).alias("_text"))
     names = [f"m_{m}" for m in MEASURES]
-    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in src.schema.fields[:-1]), *(f"{m} double" for m in names)])
+    schema = T.StructType([*src.schema.fields[:-1], *(T.StructField(m, T.DoubleType()) for m in names)])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -189,9 +190,22 @@ def score_documents(documents: DataFrame, labels: DataFrame, keep: tuple[str, ..
     return out.withColumn("predicted", (F.col("score") >= at).cast("int"))
 
 
-def keep_good(documents: DataFrame, labels: DataFrame, at: float = 0.3) -> DataFrame:
-    """The rows of ``documents`` whose score reaches ``at``, with all their columns."""
-    names = documents.columns
-    packed = documents.select("doc_id", F.struct(*[F.col(f"`{c}`") for c in names]).alias("_doc"), "text")
-    bad = score_documents(documents, labels, at=at).where("predicted = 0").select(F.col("doc_id").alias("_bad")).distinct()
-    return packed.join(bad, F.col("doc_id").eqNullSafe(F.col("_bad")), "left_anti").select("_doc.*")
+def keep_good(documents: DataFrame, labels: DataFrame, folds: int = 5, held: int = 0, most_labelled: int = 40_000, at: float = 0.3) -> DataFrame:
+    """The rows of ``documents`` whose score reaches ``at``, with all their columns.
+
+    Learns from at most ``most_labelled`` labels (those of lowest hashed doc_id
+    outside the held-out fold); this bounded list is broadcast to find their
+    texts, so the documents are never shuffled.
+    """
+    fold = F.pmod(F.crc32(F.col("_k").cast("string")), F.lit(folds))
+    known = labels.select(F.col("doc_id").alias("_k"), F.col("quality").alias("_y")).where("_k is not null and _y is not null")
+    known = known.groupBy("_k").agg(F.min("_y").alias("_y"), F.max("_y").alias("_z")).where("_y = _z and _y in (0, 1)").where(fold != held)
+    sample = known.orderBy(F.xxhash64("_k"), "_k").limit(most_labelled).select("_k", "_y")
+    names = [f"m_{m}" for m in MEASURES]
+    found = documents.select("doc_id", "text").join(F.broadcast(sample), F.col("doc_id") == F.col("_k")).select("_y", "text")
+    rows = measure(found, ("_y",)).toArrow()
+    x = np.column_stack([rows[m].to_numpy() for m in names]) if rows.num_rows else np.zeros((0, len(names)))
+    order = np.lexsort(x.T) if len(x) else np.zeros(0, int)  # the same pairs however the rows arrive
+    ranker = learn(x[order], rows["_y"].to_numpy()[order], at=at)
+    packed = documents.select(F.struct(*[F.col(f"`{c}`") for c in documents.columns]).alias("_doc"), "text")
+    return measure(packed, ("_doc",)).where(ranker.score() >= at).select("_doc.*")
