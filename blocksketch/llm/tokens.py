@@ -29,8 +29,9 @@ from blocksketch.llm.common import row_runs, ship, text_buffer
 PRETOKEN = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\p{White_Space}\p{L}\p{N}]+|\p{White_Space}+(?!\P{White_Space})|\p{White_Space}+")
 #: Where a space meets more white space, cutting at spaces alone would be wrong.
 _ODD = re.compile(r" \s|\s ")
+_RARE = [c for c in map(chr, range(0x3001)) if c.isspace() and c not in " \n"]
 #: Pieces kept per worker: about 200 bytes each.
-MOST_KEPT = 700_000
+MOST_KEPT = 1_100_000
 #: Bytes of text whose pieces are held as objects at a time.
 RUN_BYTES = 1 << 20
 
@@ -137,6 +138,13 @@ class Merger:
         return ids[order], np.bincount(owner, minlength=len(pieces))
 
 
+def _odd(text: str) -> bool:
+    """Whether a space touches more white space."""
+    if "  " in text or " \n" in text or "\n " in text:
+        return True
+    return any(c in text for c in _RARE) and _ODD.search(text) is not None
+
+
 class PieceTable:
     """Values of pieces: their numbers of tokens, or their ids as little-endian bytes."""
 
@@ -160,6 +168,33 @@ class PieceTable:
         get = self.tokens.__getitem__
         return [b"".join(map(get, s)) for s in split] if self.as_ids else [sum(map(get, s)) for s in split]
 
+    def _learn(self, new: list[str]) -> None:
+        """Adds the values of pieces that follow a space.
+
+        Pure words are one pre-token, and so is the word before a comma or full
+        stop; only the rest needs the pre-token pattern.
+        """
+        words, marked, rest = set(), [], []
+        for c in new:
+            if c.isalpha():
+                words.add(c)
+            elif c[-1:] in (",", ".") and c[:-1].isalpha():
+                marked.append(c)
+                words.add(c[:-1])
+            else:
+                rest.append(c)
+        fresh = [w for w in words if w not in self.spaced]
+        if fresh:
+            ids, counts = self.merger.merge([b" " + w.encode() for w in fresh])
+            if self.as_ids:
+                raw, ends = ids.astype("<u4").tobytes(), np.cumsum(counts) * 4
+                self.spaced.update((w, raw[a:b]) for w, a, b in zip(fresh, (ends - counts * 4).tolist(), ends.tolist(), strict=True))
+            else:
+                self.spaced.update(zip(fresh, counts.tolist(), strict=True))
+        ends_of = dict(zip(",.", self._values([",", "."]), strict=True))
+        self.spaced.update((c, self.spaced[c[:-1]] + ends_of[c[-1]]) for c in marked)
+        self.spaced.update(zip(rest, self._values([" " + c for c in rest]), strict=True))
+
     def _whole(self, text: str):
         """A text that can't be cut at spaces, or that holds special strings."""
         parts = self.merger.special.split(text) if self.merger.special else [text]
@@ -174,7 +209,7 @@ class PieceTable:
             self.spaced.clear()
             self.tokens.clear()
         specials = self.merger.specials
-        cut = [None if _ODD.search(t) or any(s in t for s in specials) else t.split(" ") for t in texts]
+        cut = [None if _odd(t) or any(s in t for s in specials) else t.split(" ") for t in texts]
         missing: set[str] = set()
         heads: list[str] = []
         for c in cut:
@@ -182,8 +217,7 @@ class PieceTable:
                 heads.append(c[0])
                 c[0] = ""  # holds its place; added back below
                 missing.update(set(c).difference(self.spaced))
-        new = list(missing)
-        self.spaced.update(zip(new, self._values([" " + c for c in new]), strict=True))
+        self._learn(list(missing))
         head_values = iter(self._values(heads))
         get, out = self.spaced.__getitem__, []
         for text, c in zip(texts, cut, strict=True):
