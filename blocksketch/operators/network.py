@@ -174,7 +174,7 @@ def allocate(counts: DataFrame) -> DataFrame:
     """server_id, block_id: consecutive servers of each block, one block per server."""
     ends = F.sum("r").over(Window.orderBy("block_id"))
     spans = counts.where("r > 0").select("block_id", "r", ends.alias("end"))
-    return spans.select(F.explode(F.sequence(F.col("end") - F.col("r"), F.col("end") - 1)).cast("int").alias("server_id"), "block_id")
+    return spans.select(F.explode(F.sequence((F.col("end") - F.col("r")).cast("int"), (F.col("end") - 1).cast("int"))).alias("server_id"), "block_id")
 
 
 def encoding(counts: DataFrame, q: int) -> DataFrame:

@@ -11,8 +11,9 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from blocksketch.functions.core import add, hash_int, hash_normal, hash_uniform, quadratic
+from blocksketch.functions.core import add, dot, hash_int, hash_normal, hash_uniform, quadratic
 from blocksketch.operators.stats import MOST_SQL_COLUMNS, Total, block_stats, collect_total, packed, tsqr
 
 
@@ -21,8 +22,7 @@ def _row_norms(design: DataFrame, half: np.ndarray, name: str) -> DataFrame:
     d = len(half)
     if d <= MOST_SQL_COLUMNS:
         return design.withColumn(name, quadratic(F.col("features"), (half @ half.T).tolist()))
-    fields = design.schema
-    schema = fields.add(name, "double") if name not in fields.names else fields
+    schema = T.StructType([*design.schema.fields, T.StructField(name, T.DoubleType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -55,8 +55,8 @@ def block_leverage(stats: DataFrame, d: int, total: Total | None = None) -> Data
     """Block scores from block statistics alone: tr((A'A)^+ A_l'A_l), in one pass over K rows."""
     total = total or collect_total(stats, d)
     inverse, rank = total.inverse(), max(total.rank(), 1)
-    terms = [(1.0 if i == j else 2.0) * F.lit(float(inverse[i, j])) * F.get("gram", F.lit(k)) for k, (i, j) in enumerate(packed(d))]
-    score = F.greatest(add(terms), F.lit(0.0))
+    held = [(1.0 if i == j else 2.0) * float(inverse[i, j]) for i, j in packed(d)]
+    score = F.greatest(dot(F.col("gram"), held), F.lit(0.0))
     return stats.select("block_id", score.alias("score")).withColumn("p", F.col("score") / F.lit(float(rank)))
 
 

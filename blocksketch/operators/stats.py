@@ -131,7 +131,7 @@ def tsqr(design: DataFrame, d: int, fan: int = 16) -> np.ndarray:
     level = design.select(F.spark_partition_id().alias("part"), "features").mapInArrow(local, schema)
     n = design.rdd.getNumPartitions()
     while n > fan:
-        level = level.groupBy(F.floor(F.col("part") / fan).cast("int").alias("part")).applyInArrow(again, schema)
+        level = level.select(F.floor(F.col("part") / fan).cast("int").alias("part"), "r").groupBy("part").applyInArrow(lambda key, t: again(key, t), schema)
         n = -(-n // fan)
     rows = level.collect()  # at most `fan` small factors
     stack = [np.frombuffer(bytes(r["r"]), np.float64).reshape(-1, d) for r in rows]

@@ -5,6 +5,8 @@ from __future__ import annotations
 import atexit
 import tempfile
 import uuid
+import zipfile
+from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -12,8 +14,24 @@ from pyspark.sql import functions as F
 from blocksketch.functions.core import hash_normal, hash_uniform
 
 
+def ship(spark: SparkSession) -> None:
+    """Makes this package importable on executors, once per application."""
+    sc = spark.sparkContext
+    if getattr(sc, "_blocksketch_shipped", False):
+        return
+    top = Path(__file__).resolve().parents[2]
+    if top.suffix != ".zip":
+        at = Path(tempfile.mkdtemp(prefix="blocksketch-py-")) / "blocksketch_pkg.zip"
+        with zipfile.ZipFile(at, "w") as z:
+            for p in sorted((top / "blocksketch").rglob("*.py")):
+                z.write(p, p.relative_to(top).as_posix())
+        sc.addPyFile(str(at))
+    sc._blocksketch_shipped = True
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """One of the given Parquet tables."""
+    ship(spark)
     return spark.read.parquet(f"{sf_dir.rstrip('/')}/{name}.parquet")
 
 
@@ -75,6 +93,7 @@ def t_matrix(spark: SparkSession, n: int, d: int, dof: int = 2, seed: int = 0, b
     Returns row_id, block_id (contiguous) and features; entries come from
     hashes of (seed, row, column), so any partitioning gives the same matrix.
     """
+    ship(spark)
     i = F.col("id")
 
     def entry(j: int):
