@@ -5,13 +5,14 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from blocksketch import workloads
+from blocksketch import sqlapi, workloads
 from blocksketch.fixtures import SQL, load
 from blocksketch.functions import udfs
 from blocksketch.functions.core import rounded
 from blocksketch.operators import network, relational, sampling, scores, stats
 from blocksketch.queries import DRAWS, Q, SEED, STEPS, block_scores, drawn, query, replied, with_stats
 from blocksketch.queries_methods import _REPLY_SQL
+from blocksketch.sources import generated
 from blocksketch.sources.tables import stored, table
 from blocksketch.streaming import events as ev
 
@@ -266,6 +267,20 @@ def _(spark: SparkSession, d: str) -> DataFrame:
     return out.select(*[rounded(F.get("x", F.lit(i)), 5).alias(f"a{i}") for i in range(3)])
 
 
+@query("u_views", with_stats("documents", body="SELECT block_id, count(*)::BIGINT AS n FROM design GROUP BY block_id"))
+def _(spark: SparkSession, d: str) -> DataFrame:
+    """The registered views together: rows of each scored block."""
+    sqlapi.register_views(spark, d)
+    return spark.sql("SELECT s.block_id, count(*) AS n FROM bs_scores s JOIN bs_design USING (block_id) GROUP BY s.block_id")
+
+
+@query("r_data_source", "SELECT range::INT AS block_id, 25::BIGINT AS n FROM range(20)")
+def _(spark: SparkSession, d: str) -> DataFrame:
+    generated.register(spark)
+    rows = spark.read.format("blocksketch_t").option("n", "500").option("blocks", "20").load()
+    return rows.where(F.size("features") == 40).groupBy("block_id").agg(F.count("*").alias("n"))
+
+
 @query("u_hash_uniform", "SELECT event_id, (('0x' || substr(md5('x' || event_id), 1, 8))::BIGINT / 4294967296.0::DOUBLE) AS u FROM events")
 def _(spark: SparkSession, d: str) -> DataFrame:
     udfs.register(spark)
@@ -286,6 +301,13 @@ def _(spark: SparkSession, d: str) -> DataFrame:
     return workloads.residual_table(spark, d, "t", 200)
 
 
+@query("w2_convergence")
+def _(spark: SparkSession, d: str) -> DataFrame:
+    """method, s, log_residual: curves at the sweep's largest step, every 20 iterations."""
+    rows = stored(load(spark, d, "embeddings"), "design")
+    return spark.createDataFrame(workloads.curves(rows, 40, 10, 200, 0.1, 20), "method string, s int, log_residual double")
+
+
 @query("w3_line_search")
 def _(spark: SparkSession, d: str) -> DataFrame:
     rows = stored(load(spark, d, "embeddings"), "design")

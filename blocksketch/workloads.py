@@ -69,6 +69,20 @@ def compare_methods(rows: DataFrame, d: int, q: int, iterations: int, shares: li
     return out
 
 
+def curves(rows: DataFrame, d: int, q: int, iterations: int, share: float, every: int, seed: int = 0) -> list[tuple]:
+    """(method, s, log residual) of plain descent and of leverage and uniform draws, new and fixed."""
+    held = stored(stats.block_stats(rows, d), "stats")
+    total = stats.collect_total(held, d)
+    dist = stored(scores.block_leverage(held, d, total), "dist")
+    step, best, out = fixed_step(share * 2 / total.spectrum()["sigma_max"] ** 2), total.solution(), []
+    made = {m: descent.sketch_totals(held, weights_for(m, dist, iterations, seed, q), d) for m in ("leverage", "uniform")}
+    runs = {"plain": (None, False), "leverage": (made["leverage"], False), "uniform": (made["uniform"], False), "leverage fixed": (made["leverage"], True)}
+    for name, (sketched, fixed) in runs.items():
+        xs = descent.descend_on_stats(total, sketched, [0.0] * d, step, Stop(iterations), fixed).xs
+        out += [(name, s, math.log10(max(float(np.linalg.norm(xs[s] - best)), 1e-300) / math.sqrt(total.n))) for s in range(0, len(xs), every)]
+    return out
+
+
 def dense_baselines(rows: DataFrame, d: int, r: int, shares: list[float], iterations: int) -> list[tuple]:
     """(method, share, log residual) of one fixed Gaussian, sign and Hadamard sketch each."""
     total = stats.collect_total(stats.block_stats(rows, d), d)
