@@ -133,13 +133,19 @@ def _forest(near: np.ndarray) -> np.ndarray:
     g = len(near)
     label = np.arange(g)
     while True:
-        low = np.minimum(label, np.where(near, label[None, :], g).min(1))
+        low = np.concatenate([np.where(near[a : a + 256], label[None, :], g).min(1) for a in range(0, g, 256)]) if g else label
+        low = np.minimum(label, low)
         low = low[low]
         if (low == label).all():
             return label
         label = low
 
 
+def links_of(near: np.ndarray, weight: np.ndarray) -> np.ndarray:
+    """For each row of a boolean matrix, the weights of its true columns summed."""
+    return np.concatenate([near[a : a + 256].astype(np.float64) @ weight for a in range(0, len(near), 256)] or [np.zeros(0)]).astype(np.int64)
+
+
 def candidate_edges(classes: DataFrame, least_match: float) -> DataFrame:
     """(src, dst): a spanning forest, bucket by bucket, of the classes that may be similar."""
     members = classes.select("node", F.explode("bands").alias("key"))
@@ -236,7 +242,7 @@ def verified(clustered: DataFrame, similarity: float) -> DataFrame:
             some = np.flatnonzero(near.any(1))
             root = _forest(near)
             out_node.append(names[some])
-            out_links.append((near[some] @ weight[a:b]).astype(np.int64))
+            out_links.append(links_of(near[some], weight[a:b]))
             out_root.append(names[root[some]])
         cat = lambda x: pa.array(np.concatenate(x) if x else np.zeros(0, np.int64), pa.int64())
         return pa.table({"node": cat(out_node), "links": cat(out_links), "root": cat(out_root)})
