@@ -42,8 +42,10 @@ from blocksketch.llm.common import discard, free_shuffles, materialise, mix, row
 RUN_BYTES = 1 << 18
 #: Length of the anchors' grams for windows of 50 bytes.
 K = 24
-#: Anchors that one task of the sieve sorts at a time, about.
-SIEVE_ROWS = 1_500_000
+#: Anchors that a task holds before it deals them out.
+MOST_HELD = 300_000
+#: Anchors that one task of the sieve sorts at a time, about, and the fewest buckets they are dealt to.
+SIEVE_ROWS, LEAST_BUCKETS = 1_000_000, 64
 _BASE = np.uint64(0x9E3779B97F4A7C15)
 _BYTE = mix(np.arange(1, 257, dtype=np.uint64) * np.uint64(0xD6E8FEB86659FD93))
 _LAST = (1 << 63) - 1
@@ -101,6 +103,39 @@ def _documents(documents: DataFrame, key: str, text: str) -> DataFrame:
     return documents.select(F.coalesce(F.col(key).cast("long"), F.lit(_LAST)).alias("doc"), F.pmod(F.xxhash64(text), F.lit(1 << 16)).cast("int").alias("tag"), F.col(text).alias("text"))
 
 
+def _groups(*keys: np.ndarray) -> np.ndarray:
+    """Starts of the runs of equal keys in sorted columns."""
+    change = np.zeros(len(keys[0]), bool)
+    change[:1] = True
+    for k in keys:
+        change[1:] |= k[1:] != k[:-1]
+    return np.flatnonzero(change)
+
+
+def _expand(values: np.ndarray, starts: np.ndarray, size: int) -> np.ndarray:
+    """A value per run, repeated for the rows of the run."""
+    return np.repeat(values, np.diff(np.r_[starts, size]))
+
+
+def _binary(values: np.ndarray, counts: np.ndarray) -> pa.Array:
+    """A binary column whose i-th value holds the next counts[i] numbers."""
+    offsets = np.r_[0, np.cumsum(counts * values.itemsize)].astype("<i4")
+    return pa.Array.from_buffers(pa.binary(), len(counts), [None, pa.py_buffer(offsets.tobytes()), pa.py_buffer(values.tobytes())])
+
+
+def _by_document(doc: np.ndarray, tag: np.ndarray, parts: dict[str, np.ndarray], which: np.ndarray) -> pa.Table:
+    """doc, tag and one binary column per name in ``parts``; ``which`` says which name a row belongs to."""
+    order = np.lexsort((tag, doc))
+    doc, tag, which = doc[order], tag[order], which[order]
+    starts = _groups(doc, tag)
+    group = np.repeat(np.arange(len(starts)), np.diff(np.r_[starts, len(doc)]))
+    out = {"doc": pa.array(doc[starts], pa.int64()), "tag": pa.array(tag[starts], pa.int32())}
+    for i, (name, values) in enumerate(parts.items()):
+        mine = which == i
+        out[name] = _binary(values[order][mine], np.bincount(group[mine], minlength=len(starts)))
+    return pa.table(out)
+
+
 def repeated_anchors(docs: DataFrame, n: int, k: int, buckets: int) -> DataFrame:
     """doc, tag, places (32-bit): the anchors whose gram occurs in another document as well.
 
@@ -115,37 +150,41 @@ def repeated_anchors(docs: DataFrame, n: int, k: int, buckets: int) -> DataFrame
 
     names = ["bucket", "doc", "tag", "row", "place", "h"]
 
+    def deal(doc: np.ndarray, tag: np.ndarray, parts: list[tuple[np.ndarray, np.ndarray, np.ndarray]]) -> pa.RecordBatch:
+        row, place, h = (np.concatenate([p[i] for p in parts]) for i in range(3))
+        order = np.argsort(h, kind="stable")
+        row, place, h = row[order], place[order], h[order]
+        first = _groups(h)
+        ids = doc[row]
+        known = _expand(np.minimum.reduceat(ids, first) != np.maximum.reduceat(ids, first), first, len(h))
+        head = np.zeros(len(h), bool)
+        head[first] = True
+        out = []
+        if known.any():
+            out.append(pack(-1 - int(h[0] % np.uint64(1 << 20)), doc, tag, row[known], place[known], h[known]))
+        sent = ~known | head
+        # the top bit of a place tells its bucket that the gram is known to repeat
+        row, place, h = row[sent], (place | (known.astype(np.int64) << 31))[sent], h[sent]
+        at = (h % np.uint64(buckets)).astype(np.int64)
+        order = np.argsort(at, kind="stable")
+        cuts = np.searchsorted(at[order], np.arange(buckets + 1))
+        out += [pack(b, doc, tag, row[o], place[o], h[o]) for b in range(buckets) if len(o := order[cuts[b] : cuts[b + 1]])]
+        return pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], pa.int32() if i == 0 else pa.binary()) for i in range(6)], names)
+
     def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             doc, tag = batch.column(0).to_numpy(), batch.column(1).to_numpy()
             data, offsets = text_buffer(batch.column(2))
-            parts = []
+            parts, held = [], 0
             for a, b in row_runs(offsets, RUN_BYTES):
                 row, place, _, _, h = anchors_of(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], n, k)
                 parts.append((row + a, place - (offsets[a:b] - offsets[a])[row], h))
-            if not parts:
-                continue
-            row, place, h = (np.concatenate([p[i] for p in parts]) for i in range(3))
-            if not len(h):
-                continue
-            order = np.argsort(h, kind="stable")
-            row, place, h = row[order], place[order], h[order]
-            first = np.flatnonzero(np.r_[True, h[1:] != h[:-1]])
-            ids = doc[row]
-            known = np.repeat(np.minimum.reduceat(ids, first) != np.maximum.reduceat(ids, first), np.diff(np.r_[first, len(h)]))
-            head = np.zeros(len(h), bool)
-            head[first] = True
-            out = []
-            if known.any():
-                out.append(pack(-1 - int(h[0] % np.uint64(1 << 20)), doc, tag, row[known], place[known], h[known]))
-            sent = ~known | head
-            # the top bit of a place tells its bucket that the gram is known to repeat
-            row, place, h = row[sent], (place | (known.astype(np.int64) << 31))[sent], h[sent]
-            at = (h % np.uint64(buckets)).astype(np.int64)
-            order = np.argsort(at, kind="stable")
-            cuts = np.searchsorted(at[order], np.arange(buckets + 1))
-            out += [pack(b, doc, tag, row[o], place[o], h[o]) for b in range(buckets) if len(o := order[cuts[b] : cuts[b + 1]])]
-            yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], pa.int32() if i == 0 else pa.binary()) for i in range(6)], names)
+                held += len(h)
+                if held > MOST_HELD:
+                    yield deal(doc, tag, parts)
+                    parts, held = [], 0
+            if held:
+                yield deal(doc, tag, parts)
 
     def meet(key: tuple, table: pa.Table) -> pa.Table:
         blobs = table.to_pylist()
@@ -165,70 +204,140 @@ def repeated_anchors(docs: DataFrame, n: int, k: int, buckets: int) -> DataFrame
             told = np.maximum.reduceat(place >> np.uint32(31), first) > 0
             keep = np.repeat(told | (np.minimum.reduceat(doc, first) != np.maximum.reduceat(doc, first)), np.diff(np.r_[first, len(h)]))
             doc, tag, place = doc[keep], tag[keep], place[keep] & np.uint32((1 << 31) - 1)
-        order = np.lexsort((tag, doc))
-        doc, tag, place = doc[order], tag[order], place[order]
-        cuts = np.flatnonzero(np.r_[True, (doc[1:] != doc[:-1]) | (tag[1:] != tag[:-1]), True]) if len(doc) else np.zeros(1, int)
-        held = [place[a:b].tobytes() for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
-        return pa.table({"doc": pa.array(doc[cuts[:-1]], pa.int64()), "tag": pa.array(tag[cuts[:-1]], pa.int32()), "places": pa.array(held, pa.binary())})
+        return _by_document(doc, tag, {"places": place}, np.zeros(len(doc), np.int8))
 
     packed = docs.mapInArrow(find, "bucket int, doc binary, tag binary, row binary, place binary, h binary")
     return packed.groupBy("bucket").applyInArrow(lambda key, t: meet(key, t), "doc long, tag int, places binary")
 
 
-def contexts(docs: DataFrame, anchors: DataFrame, n: int, k: int) -> DataFrame:
-    """doc, at, h, g of every occurrence: ``at`` packs tag, first window and number of windows; g names the context."""
+_ROW = np.dtype([("h", "<u8"), ("g", "<u8"), ("row", "<u2"), ("s", "<u4"), ("w", "u1"), ("back", "u1"), ("near", "<u4", (6,))])
+
+
+def judged_contexts(docs: DataFrame, anchors: DataFrame, n: int, k: int, buckets: int) -> DataFrame:
+    """doc, tag, gone, left: window ranges (start << 6 | number - 1) an earlier document has, and those still open.
+
+    The occurrences of an anchor's contexts meet in one bucket, 47 bytes each.
+    A batch sends a context only for its first document; the others of the
+    batch are settled on the spot.  A bucket drops what no other context of the
+    anchor can share: the strings on both sides of the anchor are ranked at
+    growing lengths, and only windows inside shared lengths stay open.
+    """
     held = anchors.groupBy("doc", "tag").agg(F.collect_list("places").alias("places"))
     both = docs.join(held, ["doc", "tag"]).select("doc", "tag", "text", "places")
-    odd, unit = int(_BASE) | 1, min(8, k)
-    back = np.uint64(pow(odd, -1, 1 << 64))
+    base = int(_BASE) | 1
+    back = np.uint64(pow(base, -1, 1 << 64))
+    room = n - k
+    levels = sorted({max(1, room // 3), max(1, 2 * room // 3), room}) if room else []
+
+    def look(part: np.ndarray, off: np.ndarray, places: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """The anchors wanted in a run of texts, as rows of _ROW (without the row), and their rows."""
+        row, place, s1, s2, h = anchors_of(part, off, n, k)
+        flag = np.zeros(len(part) + 1, bool)
+        for i, p in enumerate(places):
+            flag[np.frombuffer(p, "<u4").astype(np.int64) + off[i]] = True
+        keep = flag[place]
+        row, place, s1, s2, h = row[keep], place[keep], s1[keep], s2[keep], h[keep]
+        powers, inverse = (np.cumprod(np.r_[np.uint64(1), np.full(len(part), np.uint64(v))]) for v in (base, int(back)))
+        sums = np.r_[np.uint64(0), np.cumsum(mix(_BYTE[part]) * powers[:-1])]
+        grams = gram_hash(_BYTE[part], min(8, k))
+        wide = np.r_[np.uint64(0), np.cumsum(grams * powers[: len(grams)])]
+        out = np.zeros(len(row), _ROW)
+        out["h"], out["s"], out["w"], out["back"] = h, s1 - off[row], s2 - s1, place - s1
+        out["g"] = mix((wide[s2 + n - min(8, k) + 1] - wide[s1]) * inverse[s1] + (s2 - s1).astype(np.uint64))
+        for i, m in enumerate(levels):
+            for side, first in enumerate((place + k, place - m)):
+                inside = (first >= off[row]) & (first + m <= off[row + 1])
+                at = np.where(inside, first, 0)
+                name = mix((sums[np.minimum(at + m, len(part))] - sums[at]) * inverse[at])
+                # a string cut off by the text's end is shared with nothing
+                out["near"][:, 2 * i + side] = np.where(inside, name, mix(h + (s1 + 1).astype(np.uint64) * np.uint64(base) + np.uint64(side))) >> np.uint64(32)
+        return row, out
+
+    names = ["bucket", "doc", "tag", "rows"]
+
+    def deal(doc: np.ndarray, tag: np.ndarray, rows: list[np.ndarray], found: list[np.ndarray]) -> pa.RecordBatch:
+        row, out = np.concatenate(rows), np.concatenate(found)
+        order = np.lexsort((doc[row], out["g"], out["h"]))
+        row, out = row[order], out[order]
+        starts = _groups(out["h"], out["g"])
+        later = doc[row] > _expand(doc[row][starts], starts, len(row))
+        bucket = np.where(later, -1 - (out["h"][0] % np.uint64(1 << 20)).astype(np.int64), (out["h"] % np.uint64(buckets)).astype(np.int64))
+        order = np.argsort(bucket, kind="stable")
+        bucket, row, out = bucket[order], row[order], out[order]
+        cuts = np.r_[_groups(bucket), len(bucket)]
+        made = []
+        for x, y in zip(cuts[:-1], cuts[1:], strict=True):
+            mine, index = np.unique(row[x:y], return_inverse=True)
+            for c in range(0, len(mine), 1 << 16):
+                sel = (index >= c) & (index < c + (1 << 16))
+                part = out[x:y][sel].copy()
+                part["row"] = index[sel] - c
+                made.append((int(bucket[x]), doc[mine[c : c + (1 << 16)]].astype("<i8").tobytes(), tag[mine[c : c + (1 << 16)]].astype("<i4").tobytes(), part.tobytes()))
+        return pa.RecordBatch.from_arrays([pa.array([r[i] for r in made], pa.int32() if i == 0 else pa.binary()) for i in range(4)], names)
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             doc, tag, lists = batch.column(0).to_numpy(), batch.column(1).to_numpy(), batch.column(3)
             data, offsets = text_buffer(batch.column(2))
+            rows, found, held = [], [], 0
             for a, b in row_runs(offsets, RUN_BYTES):
-                part, off = data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a]
-                row, place, s1, s2, h = anchors_of(part, off, n, k)
-                flag = np.zeros(len(part) + 1, bool)
-                for i in range(a, b):
-                    flag[np.frombuffer(b"".join(lists[i].as_py()), "<u4").astype(np.int64) + off[i - a]] = True
-                keep = flag[place]
-                row, s1, s2, h = row[keep], s1[keep], s2[keep], h[keep]
-                if not len(row):
-                    continue
-                grams = gram_hash(_BYTE[part], unit)
-                powers = np.full(len(grams), np.uint64(odd))
-                powers[0] = 1
-                powers = np.cumprod(powers)
-                inverse = np.full(len(grams), back)
-                inverse[0] = 1
-                inverse = np.cumprod(inverse)
-                sums = np.r_[np.uint64(0), np.cumsum(grams * powers)]
-                g = mix((sums[s2 + n - unit + 1] - sums[s1]) * inverse[s1] + (s2 - s1).astype(np.uint64))
-                at = (tag[a:b][row].astype(np.int64) << 46) | ((s1 - off[row]) << 6) | (s2 - s1)
-                yield pa.RecordBatch.from_arrays([pa.array(doc[a:b][row]), pa.array(at), pa.array(h.view(np.int64)), pa.array(g.view(np.int64))], ["doc", "at", "h", "g"])
-
-    return both.mapInArrow(run, "doc long, at long, h long, g long")
-
-
-def judge_contexts(found: DataFrame) -> DataFrame:
-    """doc, at, gone: occurrences that an earlier document has (gone), and those to look at window by window."""
-    known = found.groupBy("h", "g").agg(F.min("doc").alias("first"), F.max("doc").alias("last"))
-    known = materialise(known, "contexts")
-    spread = known.groupBy("h").agg(F.count("*").alias("kinds"), F.min("first").alias("low"), F.max("last").alias("high")).where("low <> high").select("h", "kinds")
-    some = known.join(spread, "h").select("h", "g", "first", (F.col("kinds") > 1).alias("open"))
-    out = found.join(some, ["h", "g"]).where((F.col("doc") > F.col("first")) | F.col("open"))
-    return out.select("doc", "at", (F.col("doc") > F.col("first")).alias("gone"))
-
-
-def _tag_of(at):
-    return F.shiftright(at, 46).cast("int")
+                row, out = look(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], [b"".join(lists[i].as_py()) for i in range(a, b)])
+                rows.append(row + a)
+                found.append(out)
+                held += len(row)
+                if held > MOST_HELD:
+                    yield deal(doc, tag, rows, found)
+                    rows, found, held = [], [], 0
+            if held:
+                yield deal(doc, tag, rows, found)
+
+    def judge(key: tuple, table: pa.Table) -> pa.Table:
+        docs_, tags, parts = [], [], []
+        for r in table.to_pylist():
+            part = np.frombuffer(r["rows"], _ROW)
+            docs_.append(np.frombuffer(r["doc"], "<i8")[part["row"]])
+            tags.append(np.frombuffer(r["tag"], "<i4")[part["row"]])
+            parts.append(part)
+        doc, tag, out = np.concatenate(docs_), np.concatenate(tags), np.concatenate(parts)
+        span = (out["s"].astype(np.int64) << 6) | out["w"]
+        if key[0].as_py() < 0:
+            return _by_document(doc, tag, {"gone": span, "left": span}, np.zeros(len(doc), np.int8))
+        order = np.lexsort((doc, out["g"], out["h"]))
+        doc, tag, out, span = doc[order], tag[order], out[order], span[order]
+        starts = _groups(out["h"], out["g"])
+        gone = doc > _expand(doc[starts], starts, len(doc))
+        hs = out["h"]
+        kinds_at = _groups(hs[starts])  # runs of contexts with the same anchor
+        kinds = np.diff(np.r_[kinds_at, len(starts)])
+        many = _expand(kinds > 1, kinds_at, len(starts))
+        # of each context's two sides, the longest ranked length that another context shares
+        one = out[starts]
+        reach = []
+        for side in (0, 1):
+            limit = np.full(len(one), room, np.int64)
+            for i in reversed(range(len(levels))):
+                pair = mix(one["h"] + mix(one["near"][:, 2 * i + side].astype(np.uint64) + np.uint64(1 + i)))
+                _, inverse, seen = np.unique(pair, return_inverse=True, return_counts=True)
+                limit = np.where(seen[inverse] > 1, limit, levels[i] - 1)
+            # a length counts only if every shorter one is shared too
+            reach.append(limit)
+        right, left_ = reach
+        first = np.maximum(out["s"].astype(np.int64) + out["back"] - _expand(left_, starts, len(doc)), out["s"])
+        last = np.minimum(out["s"].astype(np.int64) + out["back"] + _expand(right, starts, len(doc)) - room, out["s"].astype(np.int64) + out["w"])
+        open_ = ~gone & _expand(many, starts, len(doc)) & (first <= last)
+        some = gone | open_
+        which = np.where(gone, 0, 1)[some].astype(np.int8)
+        window = (first << 6) | np.maximum(last - first, 0)
+        return _by_document(doc[some], tag[some], {"gone": span[some], "left": window[some]}, which)
+
+    packed = both.mapInArrow(find, "bucket int, doc binary, tag binary, rows binary")
+    return packed.groupBy("bucket").applyInArrow(lambda key, t: judge(key, t), "doc long, tag int, gone binary, left binary")
 
 
 def open_windows(docs: DataFrame, left: DataFrame, n: int) -> DataFrame:
     """a, b, doc, at of every window left: the rank pair of its halves, and tag and start."""
-    held = left.groupBy("doc", _tag_of(F.col("at")).alias("tag")).agg(F.collect_list("at").alias("ats"))
-    both = docs.join(held, ["doc", "tag"]).select("doc", "tag", "text", "ats")
+    held = left.where("length(left) > 0").groupBy("doc", "tag").agg(F.collect_list("left").alias("left"))
+    both = docs.join(held, ["doc", "tag"]).select("doc", "tag", "text", "left")
     half = (n + 1) // 2
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -240,8 +349,8 @@ def open_windows(docs: DataFrame, left: DataFrame, n: int) -> DataFrame:
                 rank = gram_hash(_BYTE[part], half)
                 wanted = np.zeros(len(part) + 1, np.int32)
                 for i in range(a, b):
-                    at = lists[i].values.to_numpy()
-                    s = ((at >> 6) & ((1 << 40) - 1)) + off[i - a]
+                    at = np.frombuffer(b"".join(lists[i].as_py()), "<i8")
+                    s = (at >> 6) + off[i - a]
                     np.add.at(wanted, s, 1)
                     np.add.at(wanted, s + (at & 63) + 1, -1)
                 starts = np.flatnonzero(np.cumsum(wanted) > 0)
@@ -307,7 +416,7 @@ def later_of_equal_pairs(pairs: DataFrame, parts: int) -> DataFrame:
 
 
 def repeated_strings(documents: DataFrame, n: int = 50, key: str = "doc_id", text: str = "text", k: int | None = None) -> DataFrame:
-    """doc, tag, spans (packed start << 32 | end of removed window starts) of documents with repeats."""
+    """doc, tag, gone, single (window ranges, start << 6 | number - 1, to remove) of documents with repeats."""
     ship(documents.sparkSession)
     spark = documents.sparkSession
     k = k or max(1, min(K, n // 2))
@@ -315,22 +424,19 @@ def repeated_strings(documents: DataFrame, n: int = 50, key: str = "doc_id", tex
         raise ValueError("n - k is at most 62 and n at least 2")
     docs = _documents(documents, key, text)
     n_bytes = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    buckets = max(8, int(2 * n_bytes / (n - k + 2) / SIEVE_ROWS))
+    buckets = max(LEAST_BUCKETS, int(2 * n_bytes / (n - k + 2) / SIEVE_ROWS))
     anchors = materialise(repeated_anchors(docs, n, k, buckets), "anchors")
     free_shuffles(spark)
-    found = materialise(contexts(docs, anchors, n, k), "found")
+    judged = materialise(judged_contexts(docs, anchors, n, k, buckets), "judged")
     discard(anchors)
     free_shuffles(spark)
-    judged = materialise(judge_contexts(found), "judged")
-    discard(found)
-    free_shuffles(spark)
-    whole = judged.where("gone").select("doc", _tag_of(F.col("at")).alias("tag"), F.shiftright("at", 6).bitwiseAND(F.lit((1 << 40) - 1)).alias("s"), F.col("at").bitwiseAND(F.lit(63)).alias("w"))
-    pairs = materialise(open_windows(docs, judged.where("not gone"), n), "windows")
+    pairs = materialise(open_windows(docs, judged, n), "windows")
     free_shuffles(spark)
     later = later_of_equal_pairs(pairs, max(8, pairs.count() // 500_000))
-    single = later.select("doc", _tag_of(F.col("at")).alias("tag"), F.col("at").bitwiseAND(F.lit((1 << 40) - 1)).alias("s"), F.lit(0).cast("long").alias("w"))
-    spans = whole.unionByName(single).select("doc", "tag", (F.shiftleft("s", 23).bitwiseOR(F.col("w"))).alias("span"))
-    out = materialise(spans.groupBy("doc", "tag").agg(F.collect_set("span").alias("spans")), "spans")
+    single = later.select("doc", F.shiftright("at", 46).cast("int").alias("tag"), F.shiftleft(F.col("at").bitwiseAND(F.lit((1 << 40) - 1)), 6).alias("span"))
+    single = single.groupBy("doc", "tag").agg(F.collect_list("span").alias("single"))
+    whole = judged.where("length(gone) > 0").groupBy("doc", "tag").agg(F.collect_list("gone").alias("gone"))
+    out = materialise(whole.join(single, ["doc", "tag"], "full"), "spans")
     discard(judged)
     discard(pairs)
     free_shuffles(spark)
@@ -340,21 +446,23 @@ def repeated_strings(documents: DataFrame, n: int = 50, key: str = "doc_id", tex
 def remove_repeats(documents: DataFrame, n: int = 50, key: str = "doc_id", text: str = "text", with_text: bool = False) -> DataFrame:
     """``key``, n_bytes, n_removed, n_spans, kept_sha256 of every row (and the kept bytes)."""
     spans = repeated_strings(documents, n, key, text)
-    base = _documents(documents, key, text).join(spans, ["doc", "tag"], "left").select("doc", "text", "spans")
+    base = _documents(documents, key, text).join(spans, ["doc", "tag"], "left").select("doc", "text", "gone", "single")
     schema = f"{key} long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", kept binary" * with_text
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            doc, lists = batch.column(0).to_pylist(), batch.column(2)
+            doc, whole, single = batch.column(0).to_pylist(), batch.column(2), batch.column(3)
             data, offsets = text_buffer(batch.column(1))
             removed, spans_, sums, kept_all = [], [], [], []
             for i in range(batch.num_rows):
                 part = data[offsets[i] : offsets[i + 1]]
-                if lists[i].is_valid:
-                    span = lists[i].values.to_numpy()
+                if whole[i].is_valid or single[i].is_valid:
+                    span = np.frombuffer(b"".join(whole[i].as_py() or []), "<i8")
+                    if single[i].is_valid:
+                        span = np.r_[span, single[i].values.to_numpy()]
                     depth = np.zeros(len(part) + 1, np.int32)
-                    np.add.at(depth, span >> 23, 1)
-                    np.add.at(depth, (span >> 23) + (span & ((1 << 23) - 1)) + n, -1)
+                    np.add.at(depth, span >> 6, 1)
+                    np.add.at(depth, (span >> 6) + (span & 63) + n, -1)
                     gone = np.cumsum(depth[:-1]) > 0
                     removed.append(int(gone.sum()))
                     spans_.append(int((gone[1:] & ~gone[:-1]).sum() + gone[0]))

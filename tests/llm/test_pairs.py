@@ -153,6 +153,7 @@ def check_vectors(rows, got, cosine=0.9):
 
 def test_near_vectors(spark, sf_dir, monkeypatch):
     monkeypatch.setattr(embedding_dedup, "BLOCK", 64)
+    monkeypatch.setattr(embedding_dedup, "LEAF", 16)
     df = spark.read.parquet(f"{sf_dir}/embeddings.parquet")
     rows = [(r.vec_id, r.embedding) for r in df.collect()]
     check_vectors(rows, embedding_dedup.near_duplicates(df).collect())
