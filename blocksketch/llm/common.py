@@ -3,9 +3,11 @@
 from __future__ import annotations
 
 import atexit
+import gc
 import io
 import os
 import tempfile
+import time
 import uuid
 import zipfile
 from pathlib import Path
@@ -71,11 +73,14 @@ def discard(df: DataFrame) -> None:
 
 
 def free_shuffles(spark: SparkSession) -> None:
-    """Lets the context cleaner drop shuffle files of plans that are done with."""
-    import gc
+    """Lets the context cleaner drop shuffle files of plans that are done with.
 
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+    It takes two collections: the first frees what holds the dependencies.
+    """
+    for _ in range(2):
+        gc.collect()
+        spark.sparkContext._jvm.System.gc()
+        time.sleep(1)  # the cleaner works beside the driver
 
 
 def _delete(spark: SparkSession, path: str) -> None:
