@@ -55,10 +55,11 @@ def _star(spark: SparkSession, d: str) -> DataFrame:
     return design_matrix(rows, features, F.lit(0.0), row_hash(key), F.col("c_nationkey"))
 
 
-def _embeddings(spark: SparkSession, d: str, k: int = 20) -> DataFrame:
-    """The first 40 coordinates with a heavy-tailed row scale; blocks contiguous by vec_id."""
+def _embeddings(spark: SparkSession, d: str, tau: int = 20) -> DataFrame:
+    """The first 40 coordinates with a heavy-tailed row scale; contiguous blocks of 20 rows by vec_id."""
     vecs = table(spark, d, "embeddings")
     n = vecs.count()
+    k = max(1, n // tau)
     scale = hashed_heavy_tail("vec_id")
     features = [F.get("embedding", F.lit(i)).cast("double") * scale for i in range(40)]
     base = design_matrix(vecs, features, F.lit(0.0), F.col("vec_id"), F.floor(F.col("vec_id") * k / n), intercept=False)

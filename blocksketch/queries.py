@@ -40,9 +40,13 @@ def with_stats(name: str, *ctes: str, body: str, recursive: bool = False) -> str
     return f"WITH {'RECURSIVE ' if recursive else ''}" + ",\n".join([SQL[name], SQL_STATS, *ctes]) + "\n" + body
 
 
-def block_scores(spark: SparkSession, d: str, name: str) -> tuple[DataFrame, DataFrame, DataFrame, Total]:
-    """design, stored block statistics (K rows), leverage distribution, total."""
+def block_scores(spark: SparkSession, d: str, name: str, keep: bool = False) -> tuple[DataFrame, DataFrame, DataFrame, Total]:
+    """design, stored block statistics (K rows), leverage distribution, total.
+
+    ``keep`` stores the design first: for runs that read it in every iteration.
+    """
     rows, width = load(spark, d, name), fixtures.WIDTH[name]
+    rows = stored(rows, "design") if keep else rows
     held = stored(stats.block_stats(rows, width), "stats")
     total = stats.collect_total(held, width)
     return rows, held, scores.block_leverage(held, width, total), total
@@ -280,8 +284,8 @@ _measure("m7_expanded_uniformity", distances.expanded_uniformity, f"SELECT round
 # ---- draws and sketches -------------------------------------------------------------------------------------------
 
 
-def drawn(spark: SparkSession, d: str, name: str = "documents", q: int = Q, iterations: int = STEPS) -> tuple[DataFrame, DataFrame, DataFrame, Total, DataFrame, DataFrame]:
-    rows, held, dist, total = block_scores(spark, d, name)
+def drawn(spark: SparkSession, d: str, name: str = "documents", q: int = Q, iterations: int = STEPS, keep: bool = False) -> tuple[DataFrame, DataFrame, DataFrame, Total, DataFrame, DataFrame]:
+    rows, held, dist, total = block_scores(spark, d, name, keep)
     dist = stored(dist, "dist")
     draws = stored(sampling.draw_blocks(dist, q, iterations, SEED), "draws")
     return rows, held, dist, total, draws, stored(sampling.weights(draws, q), "weights")
@@ -465,7 +469,7 @@ def _(spark: SparkSession, d: str) -> DataFrame:
 
 @query("x7_fixed_sketch_descent", with_stats("documents", DRAWS, SQL_SKETCHED, "one AS (SELECT * FROM sk WHERE iteration = 0)", sql_path(STEPS, XI, "one").replace(" AND iteration = s", ""), body=PATH_BODY, recursive=True))
 def _(spark: SparkSession, d: str) -> DataFrame:
-    rows, _, _, total, _, w = drawn(spark, d)
+    rows, _, _, total, _, w = drawn(spark, d, keep=True)
     return path_table(spark, descent.sketched_descent(rows, [0.0] * 3, descent.fixed_step(xi_of(total)), descent.Stop(STEPS), w, fixed=True))
 
 

@@ -305,20 +305,20 @@ def _(spark: SparkSession, d: str) -> DataFrame:
 def _(spark: SparkSession, d: str) -> DataFrame:
     """method, s, log_residual: curves at the sweep's largest step, every 20 iterations."""
     rows = stored(load(spark, d, "embeddings"), "design")
-    return spark.createDataFrame(workloads.curves(rows, 40, 10, 200, 0.1, 20), "method string, s int, log_residual double")
+    return spark.createDataFrame(workloads.curves(rows, 40, workloads.half_the_blocks(rows), 200, 0.1, 20), "method string, s int, log_residual double")
 
 
 @query("w3_line_search")
 def _(spark: SparkSession, d: str) -> DataFrame:
     rows = stored(load(spark, d, "embeddings"), "design")
-    out = workloads.compare_methods(rows, 40, 10, 100, [1.0], line=True)
+    out = workloads.compare_methods(rows, 40, workloads.half_the_blocks(rows), 100, [1.0], line=True)
     return spark.createDataFrame(out, "method string, share double, log_residual double").drop("share")
 
 
 @query("w3_dense_baselines")
 def _(spark: SparkSession, d: str) -> DataFrame:
     rows = stored(load(spark, d, "embeddings"), "design")
-    return spark.createDataFrame(workloads.dense_baselines(rows, 40, 250, [0.025, 0.25], 100), "method string, share double, log_residual double")
+    return spark.createDataFrame(workloads.dense_baselines(rows, 40, rows.count() // 2, [0.025, 0.25], 100), "method string, share double, log_residual double")
 
 
 @query("w5_other_tables")
@@ -339,7 +339,7 @@ def _(spark: SparkSession, d: str) -> DataFrame:
     dist = stored(scores.block_leverage(held, 40, total), "dist")
     out = []
     for name in ("leverage", "uniform"):
-        w = workloads.weights_for(name, dist, 5, SEED, 15)
+        w = workloads.weights_for(name, dist, 5, SEED, workloads.half_the_blocks(rows))
         made = sorted(sampling.sketched_stats(held, w, 40).collect(), key=lambda r: r["iteration"])
         out += [(name, i, e) for i, e in enumerate(sampling.embedding_error(total, made, 40))]
     return spark.createDataFrame(out, "method string, iteration int, eps double")

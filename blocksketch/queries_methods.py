@@ -224,12 +224,12 @@ for _name in ("lineitem", "documents", "events"):
 
 @query("g7_line_search", with_stats("events", "path(s, a0, a1, a2) AS (SELECT 0, 0.0::DOUBLE, 0.0::DOUBLE, 0.0::DOUBLE UNION ALL SELECT s + 1, a0 - t * r0, a1 - t * r1, a2 - t * r2 FROM (SELECT *, (r0 * r0 + r1 * r1 + r2 * r2) / (g00 * r0 * r0 + g11 * r1 * r1 + g22 * r2 * r2 + 2 * (g01 * r0 * r1 + g02 * r0 * r2 + g12 * r1 * r2)) AS t FROM (SELECT *, g00 * a0 + g01 * a1 + g02 * a2 - c0 AS r0, g01 * a0 + g11 * a1 + g12 * a2 - c1 AS r1, g02 * a0 + g12 * a1 + g22 * a2 - c2 AS r2 FROM path, tot WHERE s < 5)))", body=PATH_BODY, recursive=True))
 def _(spark: SparkSession, d: str) -> DataFrame:
-    return path_table(spark, descent.steepest_descent(load(spark, d, "events"), [0.0] * 3, descent.line_search(), Stop(5)))
+    return path_table(spark, descent.steepest_descent(stored(load(spark, d, "events"), "design"), [0.0] * 3, descent.line_search(), Stop(5)))
 
 
 @query("g8_descent", with_stats("lineitem", sql_path(STEPS, XI, "tot"), body=PATH_BODY, recursive=True))
 def _(spark: SparkSession, d: str) -> DataFrame:
-    rows, _, _, total = block_scores(spark, d, "lineitem")
+    rows, _, _, total = block_scores(spark, d, "lineitem", keep=True)
     return path_table(spark, descent.steepest_descent(rows, [0.0] * 3, fixed_step(xi_of(total)), Stop(STEPS)))
 
 
@@ -242,13 +242,13 @@ def _batch_sql(name: str, key: str, share: float) -> str:
 
 @query("g9_ssd_rows", _batch_sql("events", "row_id", 0.2))
 def _(spark: SparkSession, d: str) -> DataFrame:
-    rows, _, _, total = block_scores(spark, d, "events")
+    rows, _, _, total = block_scores(spark, d, "events", keep=True)
     return path_table(spark, descent.stochastic_descent(rows, [0.0] * 3, fixed_step(xi_of(total)), Stop(STEPS), 0.2, SEED))
 
 
 @query("g9_ssd_blocks", _batch_sql("documents", "block_id", 0.5))
 def _(spark: SparkSession, d: str) -> DataFrame:
-    rows, _, _, total = block_scores(spark, d, "documents")
+    rows, _, _, total = block_scores(spark, d, "documents", keep=True)
     return path_table(spark, descent.stochastic_descent(rows, [0.0] * 3, fixed_step(xi_of(total)), Stop(STEPS), 0.5, SEED, "block"))
 
 
@@ -257,7 +257,7 @@ _ITER = with_stats("documents", DRAWS, SQL_SKETCHED, sql_path(STEPS, XI), body=P
 
 @query("g10_sketched_descent", _ITER)
 def _(spark: SparkSession, d: str) -> DataFrame:
-    rows, _, _, total, _, w = drawn(spark, d)
+    rows, _, _, total, _, w = drawn(spark, d, keep=True)
     return path_table(spark, descent.sketched_descent(rows, [0.0] * 3, fixed_step(xi_of(total)), Stop(STEPS), w))
 
 
@@ -274,7 +274,7 @@ _CODED = f"weights AS MATERIALIZED (SELECT iteration, block_id, count(*) / ({Q}
 
 
 def coded_path(spark: SparkSession, d: str, name: str, ending: float | None = None) -> descent.Trace:
-    rows, _, dist, total = block_scores(spark, d, name)
+    rows, _, dist, total = block_scores(spark, d, name, keep=True)
     law = stored(network.runtime_law(table(spark, d, "events"), "value"), "law")
     q = None if ending else Q
     return descent.coded_descent(rows, stored(dist, "dist"), law, M, [0.0] * 3, fixed_step(xi_of(total)), Stop(STEPS), SEED, q, ending)[0]
@@ -303,7 +303,7 @@ def _(spark: SparkSession, d: str) -> DataFrame:
 
 @query("g14_ridge", with_stats("events", sql_path(STEPS, XI, "tot", ridge=5.0), body=PATH_BODY, recursive=True))
 def _(spark: SparkSession, d: str) -> DataFrame:
-    rows, _, _, total = block_scores(spark, d, "events")
+    rows, _, _, total = block_scores(spark, d, "events", keep=True)
     return path_table(spark, descent.steepest_descent(rows, [0.0] * 3, fixed_step(xi_of(total)), Stop(STEPS), ridge=5.0))
 
 
@@ -320,7 +320,7 @@ def _(spark: SparkSession, d: str) -> DataFrame:
 
 @query("g16_projected", with_stats("events", sql_path(STEPS, XI, "tot", project=0.5), body=PATH_BODY, recursive=True))
 def _(spark: SparkSession, d: str) -> DataFrame:
-    rows, _, _, total = block_scores(spark, d, "events")
+    rows, _, _, total = block_scores(spark, d, "events", keep=True)
     return path_table(spark, descent.steepest_descent(rows, [0.0] * 3, fixed_step(xi_of(total)), Stop(STEPS), project=0.5))
 
 
@@ -562,8 +562,9 @@ def _(spark: SparkSession, d: str) -> DataFrame:
 
 @query("a11_network_table")
 def _(spark: SparkSession, d: str) -> DataFrame:
-    """q(T), Delta, beta, printed beta, d and zero counts of the literal rule, for each ending time (500 servers)."""
-    dist = _dist(spark, d)
+    """q(T), Delta, beta, printed beta, d and zero counts of the literal rule: 100 blocks, 500 servers."""
+    rows = load(spark, d, "documents").withColumn("block_id", F.pmod("row_id", F.lit(100)).cast("int"))
+    dist = stored(scores.block_leverage(stored(stats.block_stats(rows, 3), "stats"), 3), "dist")
     counts = stored(network.apportion_exact(dist, 500), "counts")
     share = counts.select("block_id", (F.col("r") / 500.0).alias("p"))
     beta, gap = distances.misestimation(dist, share).first(), distances.distortion(dist, counts).first()["d"]
@@ -578,7 +579,7 @@ def _(spark: SparkSession, d: str) -> DataFrame:
 
 @query("a12_costs")
 def _(spark: SparkSession, d: str) -> DataFrame:
-    rows, _, _, total, _, w = drawn(spark, d)
+    rows, _, _, total, _, w = drawn(spark, d, keep=True)
     trace = descent.sketched_descent(rows, [0.0] * 3, fixed_step(xi_of(total)), Stop(STEPS), w)
     waits = [r["waited"] for r in metrics.waiting_times(replied(spark, d)[1], Q).collect()]
     c = metrics.costs(trace, Q, 3, waits)

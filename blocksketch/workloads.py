@@ -25,6 +25,11 @@ def heavy_matrix(spark: SparkSession, n: int = 2000, instance: int = 0) -> DataF
     return design.plant_labels(rows, [0.2 * (i % 9 - 4) for i in range(COLUMNS)], 1.0, f"noise{instance}")
 
 
+def half_the_blocks(rows: DataFrame) -> int:
+    """The published number of draws: half of the blocks."""
+    return max(4, rows.agg(F.count_distinct("block_id").alias("k")).first()["k"] // 2)
+
+
 def weights_for(method: str, dist: DataFrame, iterations: int, seed: int, q: int) -> DataFrame:
     """Weights of every iteration for block leverage, uniform blocks, or plain stochastic blocks."""
     if method == "leverage":
@@ -99,6 +104,5 @@ def dense_baselines(rows: DataFrame, d: int, r: int, shares: list[float], iterat
 def residual_table(spark: SparkSession, sf_dir: str, source: str = "embeddings", iterations: int = ITERATIONS) -> DataFrame:
     """method, share, log_residual: the published sweep on the embeddings view, or on a t-distributed matrix."""
     rows = stored(load(spark, sf_dir, "embeddings") if source == "embeddings" else heavy_matrix(spark), "design")
-    k = rows.agg(F.count_distinct("block_id").alias("k")).first()["k"]
-    out = compare_methods(rows, COLUMNS, max(4, k // 2), iterations, SHARES)
+    out = compare_methods(rows, COLUMNS, half_the_blocks(rows), iterations, SHARES)
     return spark.createDataFrame(out, "method string, share double, log_residual double")
