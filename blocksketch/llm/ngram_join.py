@@ -21,7 +21,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from blocksketch.llm.common import materialise, mix, row_runs, ship, text_buffer
@@ -112,9 +112,9 @@ def signatures_of(owner: np.ndarray, h: np.ndarray, rows: int, bands: int, per_b
 
 
 def signatures(documents: DataFrame, bands: int, per_band: int, n: int = 5, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """doc, node (class of equal sets), n, bands, brief of every row."""
+    """doc, t (text hash), node (class of equal sets), n, bands, brief of every row."""
     ship(documents.sparkSession)
-    src = documents.select(F.col(key).cast("long").alias("doc"), text)
+    src = documents.select(F.col(key).cast("long").alias("doc"), text, F.xxhash64(text).alias("t"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -123,9 +123,9 @@ def signatures(documents: DataFrame, bands: int, per_band: int, n: int = 5, key:
                 owner, h = shingles_of(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], n)
                 node, count, keys, brief = signatures_of(owner, h, b - a, bands, per_band)
                 lists = pa.ListArray.from_arrays(pa.array(np.arange(0, (b - a + 1) * bands, bands), pa.int32()), pa.array(keys.view(np.int64).ravel()))
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), pa.array(node.view(np.int64)), pa.array(count.astype(np.int64)), lists, pa.array([x.tobytes() for x in brief], pa.binary())], ["doc", "node", "n", "bands", "brief"])
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), batch.column(2).slice(a, b - a), pa.array(node.view(np.int64)), pa.array(count.astype(np.int64)), lists, pa.array([x.tobytes() for x in brief], pa.binary())], ["doc", "t", "node", "n", "bands", "brief"])
 
-    return src.mapInArrow(run, "doc long, node long, n long, bands array<long>, brief binary")
+    return src.mapInArrow(run, "doc long, t long, node long, n long, bands array<long>, brief binary")
 
 
 def _forest(near: np.ndarray) -> np.ndarray:
@@ -250,55 +250,68 @@ def verified(clustered: DataFrame, similarity: float) -> DataFrame:
     return rows.groupBy("pack").applyInArrow(lambda t: check(t), "node long, links long, root long")
 
 
-def group_result(rows: DataFrame, classes: DataFrame, found: DataFrame) -> DataFrame:
-    """doc, class_id, n_links, kept from rows (doc, node, alone), classes (node, weight, low) and links found.
-
-    ``class_id`` is the smallest doc of the connected group; rows that stand
-    alone by definition are their own class.
-    """
+def placed(rows: DataFrame, classes: DataFrame, found: DataFrame) -> DataFrame:
+    """``rows`` with n_links and ``least``, the smallest low of the connected group; both null for rows of no class."""
     found = materialise(found, "links")
     joined = components(found.where("node <> root"), "node", "root")
     links = found.groupBy("node").agg(F.sum("links").alias("links"))
     info = classes.join(links, "node", "left").join(joined, "node", "left").select("node", "weight", "low", F.coalesce("links", F.lit(0)).alias("links"), F.coalesce("component", "node").alias("component"))
     info = materialise(info, "classes")
-    least = info.groupBy("component").agg(F.min("low").alias("class_id"))
-    info = info.join(least, "component").select("node", "class_id", (F.col("weight") - 1 + F.col("links")).alias("n_links"))
-    whole = rows.join(info, "node", "left")
-    class_id = F.when(F.col("alone"), F.col("doc")).otherwise(F.col("class_id"))
+    least = info.groupBy("component").agg(F.min("low").alias("least"))
+    info = info.join(least, "component").select("node", "least", (F.col("weight") - 1 + F.col("links")).alias("n_links"))
+    return rows.join(info, "node", "left").select(*[rows[c] for c in rows.columns], "least", "n_links")
+
+
+def _result(whole: DataFrame, least: Column) -> DataFrame:
+    class_id = F.when(F.col("alone"), F.col("doc")).otherwise(least)
     return whole.select("doc", class_id.alias("class_id"), F.when(F.col("alone"), F.lit(0)).otherwise(F.col("n_links")).cast("long").alias("n_links"), F.col("doc").eqNullSafe(class_id).alias("kept"))
 
 
-def similar_documents(documents: DataFrame, similarity: float = 0.8, n: int = 5, recall: float = 0.9999, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """doc, class_id, n_links and kept of every row of ``documents``.
+def group_result(rows: DataFrame, classes: DataFrame, found: DataFrame) -> DataFrame:
+    """doc, class_id, n_links, kept from rows (doc, node, alone), classes (node, weight, low) and links found.
 
-    ``n_links`` counts the other rows whose shingle sets have at least
-    ``similarity``; ``class_id`` is the smallest ``key`` reachable by links.
-    A row whose ``key`` is null is its own class_id only if nothing links to it.
+    ``class_id`` is the smallest doc of the connected group; rows that stand
+    alone by definition are their own class.
     """
+    return _result(placed(rows, classes, found), F.col("least"))
+
+
+def _judged(documents: DataFrame, similarity: float = 0.8, n: int = 5, recall: float = 0.9999, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """doc, t, node, alone, least, n_links of every row; ``least`` is the group's first (no_doc, doc, t), null docs last."""
     bands, per_band = bands_for(similarity, recall)
     signed = materialise(signatures(documents, bands, per_band, n, key, text), "signatures")
-    rows = signed.select("doc", "node", (F.col("n") == 0).alias("alone"))
+    rows = signed.select("doc", "t", "node", (F.col("n") == 0).alias("alone"))
     full = signed.where("n > 0")
-    counted = full.groupBy("node").agg(F.count("*").alias("weight"), F.min("doc").alias("low"))
+    counted = full.groupBy("node").agg(F.count("*").alias("weight"), F.min(F.struct(F.col("doc").isNull().alias("no_doc"), "doc", "t")).alias("low"))
     shown = full.groupBy("node").agg(F.any_value("bands").alias("bands"), F.any_value("brief").alias("brief"))
     classes = materialise(counted.join(shown, "node"), "sets")
     deviation = (similarity * (1 - similarity) / (bands * per_band)) ** 0.5
     edges = candidate_edges(classes, similarity - 6.5 * deviation)
     clusters = components(edges).select("node", F.col("component").alias("cluster"))
-    wanted = materialise(clusters.join(classes.select("node", "weight", "low"), "node"), "wanted")
+    wanted = materialise(clusters.join(classes.select("node", "weight", "low.doc", "low.t"), "node"), "wanted")
     found = verified(_with_shingles(documents, wanted, n, key, text), similarity)
-    return group_result(rows, classes.select("node", "weight", "low"), found)
+    return placed(rows, classes.select("node", "weight", "low"), found)
+
+
+def similar_documents(documents: DataFrame, similarity: float = 0.8, n: int = 5, recall: float = 0.9999, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """doc, class_id, n_links and kept of every row of ``documents``.
+
+    ``n_links`` counts the other rows whose shingle sets have at least
+    ``similarity``; ``class_id`` is the smallest ``key`` reachable by links.
+    A row whose ``key`` is null is its own class_id only if nothing links to it.
+    """
+    return _result(_judged(documents, similarity, n, recall, key, text), F.col("least.doc"))
 
 
 def _with_shingles(documents: DataFrame, wanted: DataFrame, n: int, key: str, text: str) -> DataFrame:
-    """cluster, node, weight, shingles of the wanted classes, read again from one document each."""
+    """cluster, node, weight, shingles of the wanted classes, read again from one document (doc, t) each."""
     n_wanted = wanted.count()
-    rules = wanted.where("low is not null").select(F.col("low").alias("host"), F.lit("").alias("path"))
+    rules = wanted.where("doc is not null").select(F.col("doc").alias("host"), F.lit("").alias("path"))
     words, n_words = build_filter(rules, n_wanted)
     hashed = F.xxhash64(F.col(key).cast("long"), F.lit(""))
     possible = F.element_at(words, _block(hashed, n_words) + 1).bitwiseAND(_mask(hashed)) == _mask(hashed)
     source = documents.select(F.col(key).cast("long").alias("doc"), F.col(text).alias("text")).where(possible | F.col("doc").isNull())
-    source = source.join(wanted, F.col("doc").eqNullSafe(F.col("low"))).select("cluster", "node", "weight", "text")
+    source = source.withColumn("t", F.xxhash64("text")).alias("s").join(wanted.alias("w"), F.col("s.doc").eqNullSafe(F.col("w.doc")) & (F.col("s.t") == F.col("w.t"))).select("cluster", "node", "weight", "text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -320,10 +333,21 @@ def _with_shingles(documents: DataFrame, wanted: DataFrame, n: int, key: str, te
 def one_of_each(documents: DataFrame, **how: object) -> DataFrame:
     """The rows of ``documents`` that stand for their group, with all columns.
 
-    Of rows repeated with the same doc_id one stays.
+    The verdict goes by doc_id and text hash: of every group exactly one row
+    stays, the one of smallest doc_id (null last), then text hash.  Of rows
+    repeated with doc_id and text one stays; rows that link with nothing all
+    stay but for such repeats, and a null doc_id repeats no other.
     """
     names = documents.columns
-    gone = similar_documents(documents, **how).where("not kept").select(F.col("doc").alias("_gone")).distinct()
+    first = (F.col("least.doc").eqNullSafe(F.col("doc")) & (F.col("least.t") == F.col("t"))) | F.col("alone")
+    seen = _judged(documents, **how).groupBy("doc", "t").agg(F.count("*").alias("c"), F.max("alone").alias("alone"), F.max(first).alias("first"))
+    again = F.col("first") & (F.col("c") > 1) & (~F.col("alone") | F.col("doc").isNotNull())
+    marks = materialise(seen.select("doc", "t", again.alias("again")).where(again | ~F.col("first")), "verdict")
     packed = documents.select(F.col("doc_id").cast("long").alias("_k"), F.xxhash64("text").alias("_t"), F.struct(*[F.col(f"`{c}`") for c in names]).alias("_doc"))
-    left = packed.join(gone, F.col("_k").eqNullSafe(F.col("_gone")), "left_anti")
+    same = F.col("_k").eqNullSafe(F.col("doc")) & (F.col("_t") == F.col("t"))
+    left = packed.join(marks, same, "left_anti").select("_doc")
+    repeated = marks.where("again")
+    if not repeated.isEmpty():
+        one = packed.join(repeated, same, "left_semi").groupBy("_k", "_t").agg(F.min("_doc").alias("_doc"))
+        left = left.unionByName(one.select("_doc"))
     return left.select("_doc.*")

@@ -6,7 +6,7 @@ import corpus_pipeline
 import pytest
 from pyspark.sql import functions as F
 
-from blocksketch.llm import decontaminate, line_dedup, quality
+from blocksketch.llm import decontaminate, line_dedup, ngram_join, quality
 
 SF = "/root/testdata/sf0.01"
 COLUMNS = list(corpus_pipeline.COLUMNS)
@@ -99,3 +99,18 @@ def test_quality_stage_without_labels_keeps_all(spark):
     docs = spark.createDataFrame([(1, "x", "en", "s", 1), (None, None, None, None, None)], DOCS)
     labels = spark.createDataFrame([], "doc_id long, quality int, toxic int")
     assert quality.keep_good(docs, labels).count() == 2
+
+
+def test_one_row_of_each_group_whatever_its_id(spark):
+    say = lambda i: " ".join(f"w{i}x{j}" for j in range(40))
+    texts = [(5, say(1)), (None, say(1)), (None, say(2)), (3, say(3)), (7, say(3)), (7, say(4)), (8, say(5)), (8, say(5)), (9, say(5)), (None, say(6)), (None, say(6)), (None, say(6) + " more")]
+    empty = [(11, None), (11, None), (12, "..."), (None, None), (None, None)]
+    docs = spark.createDataFrame([(i, t, "en", f"s{n}", n) for n, (i, t) in enumerate(texts + empty)], DOCS).repartition(4)
+    left = ngram_join.one_of_each(docs)
+    assert left.columns == docs.columns
+    got = [(r.doc_id, r.text) for r in left.collect()]
+    sixth = [g for g in got if g in ((None, say(6)), (None, say(6) + " more"))]
+    assert len(sixth) == 1
+    want = [(5, say(1)), (None, say(2)), (3, say(3)), (7, say(4)), (8, say(5)), (11, None), (12, "..."), (None, None), (None, None)]
+    assert sorted(got, key=str) == sorted(want + sixth, key=str)
+    assert ngram_join.one_of_each(docs.limit(0)).count() == 0
