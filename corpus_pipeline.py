@@ -15,6 +15,8 @@ from blocksketch.llm import decontaminate, line_dedup, ngram_join, packing, qual
 from blocksketch.llm.common import materialise, read_table
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
+#: Sites from which on a line is shared across sites, however small the corpus; the operator's own SQL has ten.
+FEW_SITES = 3
 
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -23,8 +25,8 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Lines shown by many sources go, but for their first occurrence; n_chars follows."""
-    return line_dedup.without_boilerplate(docs.select(*COLUMNS))
+    """Lines that are not blank and shown by FEW_SITES sources go, but for their first occurrence; n_chars follows."""
+    return line_dedup.without_boilerplate(docs.select(*COLUMNS), min_sites=FEW_SITES, min_chars=1)
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -114,3 +114,11 @@ def test_one_row_of_each_group_whatever_its_id(spark):
     want = [(5, say(1)), (None, say(2)), (3, say(3)), (7, say(4)), (8, say(5)), (11, None), (12, "..."), (None, None), (None, None)]
     assert sorted(got, key=str) == sorted(want + sixth, key=str)
     assert ngram_join.one_of_each(docs.limit(0)).count() == 0
+
+
+def test_lines_on_a_few_sites_go_from_small_corpora(spark):
+    shared = {n: (n, f"a passage that stands on {n} sites of this small corpus") for n in range(2, 10)} | {30: (3, "Go."), 40: (2, "Up.")}
+    rows = [(i * 100 + j, f"own words of {i} and {j}\n{line}\n\nend of {i} and {j}", "en", f"s{j}", 0) for i, (n, line) in shared.items() for j in range(n)]
+    kept = {r.doc_id: r.text for r in corpus_pipeline.line_stage(spark, spark.createDataFrame(rows, DOCS), "").collect()}
+    stays = {i for i, *_ in rows if i % 100 == 0 or shared[i // 100][0] < 3}
+    assert kept == {i: t if i in stays else t.replace("\n" + shared[i // 100][1], "") for i, t, *_ in rows}
