@@ -98,6 +98,16 @@ def block_srht(design: DataFrame, d: int, k: int, q: int, seed: int = 0) -> Data
     rng = np.random.default_rng(seed)
     drawn = [int(b) for b in rng.integers(0, kk, q)]
     scale = math.sqrt(kk / q) / math.sqrt(kk * tau)
+    inner = _local_transforms(design, d, tau, seed)
+    outs = design.sparkSession.createDataFrame(list(enumerate(drawn)), "trial int, out int")
+    signed = inner.crossJoin(F.broadcast(outs))  # q metadata rows; partial sums are combined before the shuffle
+    parity = F.when(F.bit_count(F.col("blk").bitwiseAND(F.col("out"))) % 2 == 0, F.lit(scale)).otherwise(F.lit(-scale))
+    sums = signed.groupBy("trial", "i").agg(*[F.sum(parity * F.col(f"v{j}")).alias(f"v{j}") for j in range(d + 1)])
+    return sums.select((F.col("trial") * tau + F.col("i")).alias("sketch_row"), F.array(*[f"v{j}" for j in range(d)]).alias("features"), F.col(f"v{d}").alias("label"))
+
+
+def _local_transforms(design: DataFrame, d: int, tau: int, seed: int) -> DataFrame:
+    """blk, i, v0..vd: random signs and the transform of each run of tau rows of [A | b]."""
     placed = design.select((F.col("row_id") / tau).cast("int").alias("blk"), (F.col("row_id") % tau).cast("int").alias("i"), "features", "label", F.when(hash_int(f"srht{seed}", F.col("row_id")) % 2 == 0, 1.0).otherwise(-1.0).alias("sign"))
 
     def local(table: pa.Table) -> pa.Table:
@@ -110,18 +120,23 @@ def block_srht(design: DataFrame, d: int, k: int, q: int, seed: int = 0) -> Data
         return pa.table({"blk": pa.array(np.full(tau, table["blk"][0].as_py(), np.int32)), "i": pa.array(np.arange(tau, dtype=np.int32)), **{f"v{j}": pa.array(np.ascontiguousarray(out[:, j])) for j in range(d + 1)}})
 
     fields = ", ".join(f"v{j} double" for j in range(d + 1))
-    inner = placed.groupBy("blk").applyInArrow(lambda t: local(t), f"blk int, i int, {fields}")
-    outs = design.sparkSession.createDataFrame(list(enumerate(drawn)), "trial int, out int")
-    signed = inner.crossJoin(F.broadcast(outs))  # q metadata rows; partial sums are combined before the shuffle
-    parity = F.when(F.bit_count(F.col("blk").bitwiseAND(F.col("out"))) % 2 == 0, F.lit(scale)).otherwise(F.lit(-scale))
-    sums = signed.groupBy("trial", "i").agg(*[F.sum(parity * F.col(f"v{j}")).alias(f"v{j}") for j in range(d + 1)])
-    return sums.select((F.col("trial") * tau + F.col("i")).alias("sketch_row"), F.array(*[f"v{j}" for j in range(d)]).alias("features"), F.col(f"v{d}").alias("label"))
+    return placed.groupBy("blk").applyInArrow(lambda t: local(t), f"blk int, i int, {fields}")
 
 
-def srht_rows(design: DataFrame, d: int, r: int, seed: int = 0) -> DataFrame:
-    """The same with single rows as blocks."""
-    n = design.agg(F.max("row_id")).first()[0] + 1
-    return block_srht(design, d, n, r, seed)
+def srht_rows(design: DataFrame, d: int, r: int, seed: int = 0, tau: int = 256) -> DataFrame:
+    """The same with single rows as blocks, on the whole design.
+
+    A drawn output row takes one row of each run of ``tau`` transformed rows,
+    so runs of any length give the same sketch.
+    """
+    n = 1 << max(0, int(design.agg(F.max("row_id")).first()[0]).bit_length())
+    tau = min(tau, n)
+    drawn = np.random.default_rng(seed).integers(0, n, r)
+    outs = design.sparkSession.createDataFrame([(t, int(o) // tau, int(o) % tau) for t, o in enumerate(drawn)], "sketch_row int, out int, i int")
+    signed = _local_transforms(design, d, tau, seed).join(F.broadcast(outs), "i")  # r metadata rows
+    parity = F.when(F.bit_count(F.col("blk").bitwiseAND(F.col("out"))) % 2 == 0, 1.0).otherwise(-1.0) / F.lit(math.sqrt(r))
+    sums = signed.groupBy("sketch_row").agg(*[F.sum(parity * F.col(f"v{j}")).alias(f"v{j}") for j in range(d + 1)])
+    return sums.select("sketch_row", F.array(*[f"v{j}" for j in range(d)]).alias("features"), F.col(f"v{d}").alias("label"))
 
 
 def uniform_block_draws(design: DataFrame, k: int, q: int, iterations: int, seed: int) -> DataFrame:

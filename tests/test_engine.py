@@ -373,6 +373,26 @@ def test_hadamard_and_srht(spark):
     assert np.linalg.norm(means - whole) < 0.5 * np.linalg.norm(whole)
 
 
+def test_srht_rows_are_those_of_single_row_blocks(spark):
+    rng = np.random.default_rng(2)
+    df = frame(spark, rng.normal(size=(50, 3)), rng.normal(size=50), np.arange(50) // 5)
+    values = lambda s: np.array([[*r["features"], r["label"]] for r in sorted(s.collect(), key=lambda r: r["sketch_row"])])
+    want = values(sketches.block_srht(df, 3, 50, 12, seed=3))
+    assert want.shape == (12, 4) and np.abs(want).max() > 0
+    for tau in (1, 8, 256):
+        assert np.allclose(values(sketches.srht_rows(df, 3, 12, 3, tau)), want)
+
+
+def test_srht_rows_query_reads_the_whole_table(spark, sf_dir, monkeypatch):
+    from blocksketch import queries
+
+    seen = []
+    whole = sketches.srht_rows
+    monkeypatch.setattr(sketches, "srht_rows", lambda design, *a: seen.append(design.count()) or whole(design, *a))
+    assert queries.QUERIES["x4_srht_rows"](spark, sf_dir).first()["rows"] == 200
+    assert seen == [spark.read.parquet(f"{sf_dir}/embeddings.parquet").count()]
+
+
 @pytest.mark.parametrize("kind", ["gaussian", "rademacher"])
 def test_dense_sketches_keep_the_gram_matrix_in_the_mean(small, kind):
     a, _, _, df = small
