@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -9,7 +10,7 @@ from blocksketch import sqlapi, workloads
 from blocksketch.fixtures import SQL, load
 from blocksketch.functions import udfs
 from blocksketch.functions.core import rounded
-from blocksketch.operators import network, relational, sampling, scores, stats
+from blocksketch.operators import network, relational, sampling, scores, sketches, stats
 from blocksketch.queries import DRAWS, Q, SEED, STEPS, block_scores, drawn, query, replied, with_stats
 from blocksketch.queries_methods import _REPLY_SQL
 from blocksketch.sources import generated
@@ -332,14 +333,21 @@ def _(spark: SparkSession, d: str) -> DataFrame:
 
 @query("w8_srht_and_leverage")
 def _(spark: SparkSession, d: str) -> DataFrame:
-    """Embedding errors on [A | b] of leverage and uniform draws at the same number of blocks."""
+    """Embedding errors on [A | b] of leverage draws, uniform draws and block SRHT at the same number of blocks, five seeds each.
+
+    The Hadamard blocks are those of the padded table: at 2000 rows 16 rows each, where drawn blocks have 20.
+    """
     rows = stored(load(spark, d, "embeddings"), "design")
     held = stored(stats.block_stats(rows, 40), "stats")
     total = stats.collect_total(held, 40)
     dist = stored(scores.block_leverage(held, 40, total), "dist")
-    out = []
+    out, q = [], workloads.half_the_blocks(rows)
     for name in ("leverage", "uniform"):
-        w = workloads.weights_for(name, dist, 5, SEED, workloads.half_the_blocks(rows))
+        w = workloads.weights_for(name, dist, 5, SEED, q)
         made = sorted(sampling.sketched_stats(held, w, 40).collect(), key=lambda r: r["iteration"])
         out += [(name, i, e) for i, e in enumerate(sampling.embedding_error(total, made, 40))]
+    upper = np.triu_indices(40)
+    for i in range(5):
+        s = sketches.sketch_total(sketches.block_srht(rows, 40, held.count(), q, SEED + i), 40)
+        out.append(("block srht", i, sampling.embedding_error(total, [{"gram": s.gram[upper].tolist(), "atb": s.atb.tolist(), "btb": s.btb}], 40)[0]))
     return spark.createDataFrame(out, "method string, iteration int, eps double")

@@ -393,6 +393,14 @@ def test_srht_rows_query_reads_the_whole_table(spark, sf_dir, monkeypatch):
     assert seen == [spark.read.parquet(f"{sf_dir}/embeddings.parquet").count()]
 
 
+def test_srht_stands_beside_leverage(spark, sf_dir):
+    from blocksketch import queries, queries_engine  # noqa: F401
+
+    out = queries.QUERIES["w8_srht_and_leverage"](spark, sf_dir).collect()
+    assert sorted((r.method, r.iteration) for r in out) == sorted((m, i) for m in ("leverage", "uniform", "block srht") for i in range(5))
+    assert len({r.eps for r in out}) == 15 and all(0 < r.eps < 20 for r in out)
+
+
 @pytest.mark.parametrize("kind", ["gaussian", "rademacher"])
 def test_dense_sketches_keep_the_gram_matrix_in_the_mean(small, kind):
     a, _, _, df = small
