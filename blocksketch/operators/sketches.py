@@ -144,6 +144,67 @@ def uniform_block_draws(design: DataFrame, k: int, q: int, iterations: int, seed
     return sampling.draw_blocks(scores.uniform_scores(design.sparkSession, k), q, iterations, seed)
 
 
+def gaussian_totals(total: Total, r: int, seeds: list[tuple[int, ...]]) -> list[Total]:
+    """Statistics of one new Gaussian sketch of r rows for each seed.
+
+    The rows of S [A | b] are independent normal vectors whose covariance is
+    the Gram matrix of [A | b] over r, so that of the sketch follows a Wishart
+    law and is drawn from it: the same distribution as forming S, without N r
+    normal numbers for every iteration.
+    """
+    values, vectors = np.linalg.eigh(sampling.with_label(total))
+    half = vectors * np.sqrt(np.clip(values, 0, None) / r)
+    m, out = len(values), []
+    for seed in seeds:
+        rng = np.random.default_rng(seed)
+        if r >= m:
+            z = np.tril(rng.normal(size=(m, m)), -1) + np.diag(np.sqrt(rng.chisquare(r - np.arange(m))))
+        else:
+            z = rng.normal(size=(m, r))
+        out.append(_as_total((half @ z) @ (half @ z).T, r))
+    return out
+
+
+def _as_total(gram: np.ndarray, rows: int) -> Total:
+    d = len(gram) - 1
+    return Total(gram[:d, :d], gram[:d, d], float(gram[d, d]), rows)
+
+
+def srht_gram(x: np.ndarray, kk: int, q: int, seed: tuple[int, ...]) -> np.ndarray:
+    """Gram matrix of one block SRHT of the padded rows x: kk blocks, q of them drawn."""
+    tau = len(x) // kk
+    rng = np.random.default_rng(seed)
+    sign = rng.integers(0, 2, len(x)) * 2.0 - 1
+    drawn = rng.integers(0, kk, q)
+    across = hadamard(np.eye(kk))[drawn] @ (x * sign[:, None]).reshape(kk, -1)
+    y = hadamard(across.reshape(q, tau, -1).transpose(1, 0, 2).reshape(tau, -1)).reshape(tau * q, -1)
+    return y.T @ y / (q * tau)
+
+
+def srht_totals(design: DataFrame, d: int, k: int, q: int, seeds: list[tuple[int, ...]]) -> list[Total]:
+    """Statistics of one new block SRHT (signs and draw) for each seed, in one job.
+
+    A task holds the design and makes its share of the sketches: a baseline for
+    designs that fit a task.  Rows are numbered 0..N-1, padded as in block_srht.
+    """
+    n = design.agg(F.max("row_id")).first()[0] + 1
+    kk = 1 << max(0, (k - 1).bit_length())
+    tau = 1 << max(0, (-(-n // kk) - 1).bit_length())
+    parts = min(len(seeds), 4 * design.sparkSession.sparkContext.defaultParallelism)
+    copies = design.select("row_id", "features", "label", F.explode(F.sequence(F.lit(0), F.lit(parts - 1))).alias("part"))
+
+    def run(key: tuple, table: pa.Table) -> pa.Table:
+        x = np.zeros((kk * tau, d + 1))
+        at = table["row_id"].to_numpy()
+        x[at, :d] = table["features"].combine_chunks().flatten().to_numpy().reshape(-1, d)
+        x[at, d] = table["label"].to_numpy()
+        mine = list(range(key[0].as_py(), len(seeds), parts))
+        return pa.table({"i": pa.array(mine, pa.int32()), "gram": pa.array([srht_gram(x, kk, q, seeds[i]).ravel().tolist() for i in mine], pa.list_(pa.float64()))})
+
+    made = copies.groupBy("part").applyInArrow(lambda key, t: run(key, t), "i int, gram array<double>").collect()  # d^2 numbers a seed
+    return [_as_total(np.array(r["gram"]).reshape(d + 1, d + 1), q * tau) for r in sorted(made, key=lambda r: r["i"])]
+
+
 def sketch_total(sketch: DataFrame, d: int) -> Total:
     """Gram matrix and right side of a sketch."""
     return collect_total(block_stats(sketch.select(F.lit(0).alias("block_id"), "features", "label"), d), d)

@@ -299,7 +299,7 @@ def _(spark: SparkSession, d: str) -> DataFrame:
 
 @query("w1_residual_table_t_matrix")
 def _(spark: SparkSession, d: str) -> DataFrame:
-    return workloads.residual_table(spark, d, "t", 200)
+    return workloads.residual_table(spark, d, "t")
 
 
 @query("w2_convergence")
@@ -312,7 +312,7 @@ def _(spark: SparkSession, d: str) -> DataFrame:
 @query("w3_line_search")
 def _(spark: SparkSession, d: str) -> DataFrame:
     rows = stored(load(spark, d, "embeddings"), "design")
-    out = workloads.compare_methods(rows, 40, workloads.half_the_blocks(rows), 100, [1.0], line=True)
+    out = workloads.compare_methods(rows, 40, workloads.half_the_blocks(rows), 100, [1.0], line=True, dense=True)
     return spark.createDataFrame(out, "method string, share double, log_residual double").drop("share")
 
 

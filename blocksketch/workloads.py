@@ -40,10 +40,11 @@ def weights_for(method: str, dist: DataFrame, iterations: int, seed: int, q: int
     return sampling.draw_poisson(even, q, iterations, seed).select("iteration", "block_id", "w")
 
 
-def compare_methods(rows: DataFrame, d: int, q: int, iterations: int, shares: list[float], seed: int = 0, line: bool = False) -> list[tuple]:
-    """(method, share, log residual) of plain, leverage, uniform, fixed, stochastic and dense sketches.
+def compare_methods(rows: DataFrame, d: int, q: int, iterations: int, shares: list[float], seed: int = 0, line: bool = False, dense: bool = False) -> list[tuple]:
+    """(method, share, log residual) of plain, leverage, uniform, fixed and stochastic sketches.
 
     Iterations run on block statistics: one scan for all methods and steps.
+    ``dense`` adds a new Gaussian sketch and a new block SRHT in every iteration.
     """
     held = stored(stats.block_stats(rows, d), "stats")
     total = stats.collect_total(held, d)
@@ -65,6 +66,8 @@ def compare_methods(rows: DataFrame, d: int, q: int, iterations: int, shares: li
         return made
 
     sketched = {m: totals(m) for m in ("leverage", "uniform", "stochastic")}
+    if dense:
+        sketched |= dense_totals(rows, total, d, len(blocks), q, iterations, seed)
     for share in shares:
         step = descent.line_search() if line else fixed_step(share * unit)
         run = lambda s, fixed=False: log(descent.descend_on_stats(total, s, [0.0] * d, step, Stop(iterations), fixed).xs[-1])  # noqa: E731, B023
@@ -74,14 +77,21 @@ def compare_methods(rows: DataFrame, d: int, q: int, iterations: int, shares: li
     return out
 
 
+def dense_totals(rows: DataFrame, total: stats.Total, d: int, k: int, q: int, iterations: int, seed: int) -> dict[str, list[stats.Total]]:
+    """Statistics of a Gaussian sketch (of as many rows as q blocks have) and a block SRHT for every iteration."""
+    seeds = [(seed, s) for s in range(iterations)]
+    return {"gaussian": sketches.gaussian_totals(total, max(1, round(q * total.n / k)), seeds), "block srht": sketches.srht_totals(rows, d, k, q, seeds)}
+
+
 def curves(rows: DataFrame, d: int, q: int, iterations: int, share: float, every: int, seed: int = 0) -> list[tuple]:
-    """(method, s, log residual) of plain descent and of leverage and uniform draws, new and fixed."""
+    """(method, s, log residual) of plain descent, of leverage and uniform draws, and of new dense sketches."""
     held = stored(stats.block_stats(rows, d), "stats")
     total = stats.collect_total(held, d)
     dist = stored(scores.block_leverage(held, d, total), "dist")
     step, best, out = fixed_step(share * 2 / total.spectrum()["sigma_max"] ** 2), total.solution(), []
     made = {m: descent.sketch_totals(held, weights_for(m, dist, iterations, seed, q), d) for m in ("leverage", "uniform")}
-    runs = {"plain": (None, False), "leverage": (made["leverage"], False), "uniform": (made["uniform"], False), "leverage fixed": (made["leverage"], True)}
+    made |= dense_totals(rows, total, d, held.count(), q, iterations, seed)
+    runs = {"plain": (None, False), "gaussian": (made["gaussian"], False), "block srht": (made["block srht"], False), "leverage": (made["leverage"], False), "uniform": (made["uniform"], False), "leverage fixed": (made["leverage"], True)}
     for name, (sketched, fixed) in runs.items():
         xs = descent.descend_on_stats(total, sketched, [0.0] * d, step, Stop(iterations), fixed).xs
         out += [(name, s, math.log10(max(float(np.linalg.norm(xs[s] - best)), 1e-300) / math.sqrt(total.n))) for s in range(0, len(xs), every)]
@@ -101,8 +111,17 @@ def dense_baselines(rows: DataFrame, d: int, r: int, shares: list[float], iterat
     return out
 
 
-def residual_table(spark: SparkSession, sf_dir: str, source: str = "embeddings", iterations: int = ITERATIONS) -> DataFrame:
-    """method, share, log_residual: the published sweep on the embeddings view, or on a t-distributed matrix."""
-    rows = stored(load(spark, sf_dir, "embeddings") if source == "embeddings" else heavy_matrix(spark), "design")
-    out = compare_methods(rows, COLUMNS, half_the_blocks(rows), iterations, SHARES)
+def residual_table(spark: SparkSession, sf_dir: str, source: str = "embeddings", iterations: int = ITERATIONS, instances: int = INSTANCES) -> DataFrame:
+    """method, share, log_residual: the published sweep on the embeddings view, or on t-distributed matrices.
+
+    The mean over the instances: seeds of the draws, and on ``t`` of the matrix too.
+    """
+    found: dict[tuple, list[float]] = {}
+    for i in range(instances):
+        if i == 0 or source != "embeddings":
+            rows = stored(load(spark, sf_dir, "embeddings") if source == "embeddings" else heavy_matrix(spark, instance=i), "design")
+            q = half_the_blocks(rows)
+        for method, share, value in compare_methods(rows, COLUMNS, q, iterations, SHARES, i, dense=True):
+            found.setdefault((method, share), []).append(value)
+    out = [(m, share, float(np.mean(v))) for (m, share), v in found.items()]
     return spark.createDataFrame(out, "method string, share double, log_residual double")

@@ -401,6 +401,35 @@ def test_srht_stands_beside_leverage(spark, sf_dir):
     assert len({r.eps for r in out}) == 15 and all(0 < r.eps < 20 for r in out)
 
 
+def test_new_dense_sketches_of_every_iteration(spark):
+    rng = np.random.default_rng(4)
+    ab = np.c_[rng.normal(size=(60, 3)), rng.normal(size=60)]
+    df = frame(spark, ab[:, :3], ab[:, 3], np.arange(60) // 4)
+    whole, seeds = ab.T @ ab, [(0, s) for s in range(400)]
+    total = stats.collect_total(stats.block_stats(df, 3), 3)
+    direct = np.array([(lambda z: z.T @ z / 40)(rng.normal(size=(40, 60)) @ ab) for _ in range(400)])
+    made = np.array([sampling.with_label(t) for t in sketches.gaussian_totals(total, 40, seeds)])
+    assert np.abs(made.mean(0) - whole).max() < 0.1 * np.abs(whole).max()
+    assert np.allclose(np.diagonal(made.std(0)), np.diagonal(direct.std(0)), rtol=0.25)
+    srht = np.array([sampling.with_label(t) for t in sketches.srht_totals(df, 3, 15, 8, seeds)])
+    assert np.abs(srht.mean(0) - whole).max() < 0.1 * np.abs(whole).max() and srht.std(0).min() > 0
+    x = np.r_[ab, np.zeros((4, 4))]
+    r = np.random.default_rng((0, 7))
+    sign, drawn = r.integers(0, 2, 64) * 2.0 - 1, r.integers(0, 16, 8)
+    y = (sketches.hadamard(np.eye(64)) @ (sign[:, None] * x)).reshape(16, 4, 4)[drawn].reshape(-1, 4)
+    assert np.allclose(srht[7], y.T @ y / 32)
+
+
+def test_residual_table_has_all_methods_and_instances(spark, sf_dir, monkeypatch):
+    from blocksketch import workloads
+
+    seeds, compare = [], workloads.compare_methods
+    monkeypatch.setattr(workloads, "compare_methods", lambda *a, **k: seeds.append(a[5]) or compare(*a, **k))
+    out = workloads.residual_table(spark, sf_dir, iterations=3).collect()
+    assert seeds == list(range(6))
+    assert {r.method for r in out} == {"plain", "leverage", "uniform", "stochastic", "gaussian", "block srht", "leverage fixed"} and len(out) == 28
+
+
 @pytest.mark.parametrize("kind", ["gaussian", "rademacher"])
 def test_dense_sketches_keep_the_gram_matrix_in_the_mean(small, kind):
     a, _, _, df = small
