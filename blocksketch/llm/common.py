@@ -3,11 +3,9 @@
 from __future__ import annotations
 
 import atexit
-import gc
 import io
 import os
 import tempfile
-import time
 import uuid
 import zipfile
 from pathlib import Path
@@ -19,6 +17,8 @@ from pyspark.sql import functions as F
 
 UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 _made: dict[str, SparkSession] = {}
+#: Session setting (not fixed at start) by which Spark deletes a finished query's shuffle files at once.
+_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -54,11 +54,17 @@ def materialise(df: DataFrame, label: str = "t") -> DataFrame:
     """Writes ``df`` to the shared scratch folder and reads it back.
 
     Cuts the lineage: a lost executor costs a reread, not the work above. The
-    table is deleted by ``discard`` or when the driver ends.
+    shuffle files of the plan go as soon as the table is written; the table is
+    deleted by ``discard`` or when the driver ends.
     """
     spark = df.sparkSession
     path = f"{scratch_root(spark)}/scratch/{label}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    before = spark.conf.get(_CLEANUP, None)
+    spark.conf.set(_CLEANUP, "true")
+    try:
+        df.write.parquet(path)
+    finally:
+        spark.conf.set(_CLEANUP, before) if before is not None else spark.conf.unset(_CLEANUP)
     _made[path] = spark
     out = spark.read.schema(df.schema).parquet(path)
     out._scratch_path = path
@@ -72,17 +78,6 @@ def discard(df: DataFrame) -> None:
         _delete(spark, path)
 
 
-def free_shuffles(spark: SparkSession) -> None:
-    """Lets the context cleaner drop shuffle files of plans that are done with.
-
-    It takes two collections: the first frees what holds the dependencies.
-    """
-    for _ in range(2):
-        gc.collect()
-        spark.sparkContext._jvm.System.gc()
-        time.sleep(1)  # the cleaner works beside the driver
-
-
 def _delete(spark: SparkSession, path: str) -> None:
     jvm = spark.sparkContext._jvm
     at = jvm.org.apache.hadoop.fs.Path(path)

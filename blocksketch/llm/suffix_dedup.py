@@ -1,30 +1,37 @@
 """Removal of repeated byte strings by distributed prefix doubling.
 
 A byte goes if it lies in a string of ``n`` bytes that also starts in a document
-with a smaller id.  Positions are ranked by what follows them, and the ranked
-length is doubled until it reaches ``n``; positions that nothing outside their
-document shares leave as early as possible:
-
-1. Sieve.  Every window of ``n`` bytes contains the smallest of its ``k``-grams
-   by hash, its anchor (about one position in fourteen is one).  A window can
-   only repeat if its anchor does, so only anchors are compared at first, and
-   windows of unique anchors leave.
-2. Whole contexts.  All windows of an anchor together span a context.  Equal
-   contexts are equal windows, so an occurrence of a context that an earlier
-   document has is removed at once; a context that is its anchor's only one
-   is kept at once.
-3. Doubling.  The windows that are left are named by the fingerprints of their
-   halves, the rank pair (rank at p, rank at p + n/2).  Spark sorts the pairs
-   with the document id, by range and therefore without a hot task; ties are
-   reranked, and the first document of each run of equal pairs keeps it.  Runs
-   that cross partitions are carried over by one row per partition.
-
-Names are 64-bit fingerprints of content (a pair has 128 bits), so no global
-rank has to be agreed on before the sort.
+with a smaller id.  The rank of a position is the name of the bytes that follow
+it; every round names longer strings by pairs of ranks at an offset, Spark sorts
+the pairs with the document id, and positions whose name no other document has
+leave.  For 50 bytes the lengths are 24, then 37, then 50, the last offsets
+overlapping (rank 37 at p is the pair of ranks 24 at p and p + 13, rank 50 the
+pair of ranks 37 at p and p + 13):
+
+1. Rank ``k``.  Every window of ``n`` bytes contains the smallest of its
+   ``k``-grams by hash, its anchor (about one position in fourteen is one).  A
+   window repeats only if its anchor does, so only anchors are ranked at first.
+2. Whole contexts.  All windows of an anchor span a context of at most
+   ``2 n - k`` bytes, named by the ranks ``k`` that cover it.  Of the sorted
+   rows with one name, those of later documents are removed as a whole; those of
+   the first document go on, so that copies weigh no more in later rounds.
+3. Rank ``k + (n - k) / 2`` of the strings that end and that begin at the
+   anchor's far sides.  Each window contains one of the two.
+4. Rank ``n`` of the windows that are left: the first document of each run of
+   equal pairs keeps its window, later ones lose it.
+
+A round is one exchange by name and one sort inside partitions; a task reads its
+sorted rows once and holds a batch.  Names are 64-bit fingerprints of content
+(pairs have 128 bits), so no numbering has to be agreed on and equal names meet
+wherever they come from.  A batch first settles what it can see itself, as a
+partial aggregation does: a name that it holds from two documents goes on as
+one marker row, so a string that a third of all documents share costs a row per
+batch and not a row per document.
 
 Defined results: null and empty texts have 0 bytes and nothing removed; rows
-with the same id never remove each other; a null id counts as larger than any;
-repeated rows are each reported; other columns are ignored.
+with the same id (null too) never remove each other, whatever their texts; a
+null id counts as larger than any; repeated rows are each reported; other
+columns are ignored.
 """
 
 from __future__ import annotations
@@ -37,18 +44,20 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from blocksketch.llm.common import discard, free_shuffles, materialise, mix, row_runs, ship, text_buffer
+from blocksketch.llm.common import discard, materialise, mix, row_runs, ship, text_buffer
 
 RUN_BYTES = 1 << 18
 #: Length of the anchors' grams for windows of 50 bytes.
 K = 24
-#: Anchors that a task holds before it deals them out.
+#: Rows that a task of a text scan gathers before it settles and sends them.
 MOST_HELD = 300_000
-#: Anchors that one task of the sieve sorts at a time, about, and the fewest buckets they are dealt to.
-SIEVE_ROWS, LEAST_BUCKETS = 1_000_000, 64
 _BASE = np.uint64(0x9E3779B97F4A7C15)
 _BYTE = mix(np.arange(1, 257, dtype=np.uint64) * np.uint64(0xD6E8FEB86659FD93))
 _LAST = (1 << 63) - 1
+# A place is one long: 6 bits from the first window to the anchor, 6 bits of windows less one, then the first window's start.
+_W, _START, _SIDE, _DONE, _MARK, _NULL = 6, 12, 1 << 58, 1 << 59, 1 << 60, 1 << 62
+_PLACE = (1 << 58) - 1
+_ROWS = "a long, b long, doc long, tag long, at long"
 
 
 def gram_hash(x: np.ndarray, k: int) -> np.ndarray:
@@ -99,370 +108,321 @@ def anchors_of(data: np.ndarray, offsets: np.ndarray, n: int, k: int) -> tuple[n
 
 
 def _documents(documents: DataFrame, key: str, text: str) -> DataFrame:
-    """doc, tag, text: the tag tells rows apart that share an id but not their text."""
-    return documents.select(F.coalesce(F.col(key).cast("long"), F.lit(_LAST)).alias("doc"), F.pmod(F.xxhash64(text), F.lit(1 << 16)).cast("int").alias("tag"), F.col(text).alias("text"))
+    """doc, tag, none, text: (doc, tag) is the row's identity, rows equal in id and text share it.
+
+    The tag is a hash of the text where some id is repeated, so that rows of one
+    id are told apart; ``none`` marks null ids, which take the largest number.
+    """
+    ids = documents.select(F.col(key).cast("long").alias("doc"))
+    repeated = not ids.groupBy("doc").count().where("count > 1").isEmpty()
+    none = F.col(key).isNull()
+    told = F.xxhash64(text) if repeated else F.lit(0).cast("long")
+    return documents.select(F.coalesce(F.col(key).cast("long"), F.lit(_LAST)).alias("doc"), F.when(none, F.bitwise_not(told)).otherwise(told).alias("tag"), none.alias("none"), F.col(text).alias("text"))
 
 
-def _groups(*keys: np.ndarray) -> np.ndarray:
-    """Starts of the runs of equal keys in sorted columns."""
+def _starts(*keys: np.ndarray) -> np.ndarray:
+    """True where a run of equal keys begins."""
     change = np.zeros(len(keys[0]), bool)
     change[:1] = True
     for k in keys:
         change[1:] |= k[1:] != k[:-1]
-    return np.flatnonzero(change)
+    return change
+
+
+def _rows(a: np.ndarray, b: np.ndarray, doc: np.ndarray, tag: np.ndarray, at: np.ndarray) -> pa.RecordBatch:
+    signed = [pa.array(x.view(np.int64)) for x in (a, b, doc, tag, at)]
+    return pa.RecordBatch.from_arrays(signed, ["a", "b", "doc", "tag", "at"])
+
+
+def _sorted_rows(a: np.ndarray, b: np.ndarray, doc: np.ndarray, tag: np.ndarray, at: np.ndarray) -> list[np.ndarray]:
+    """The rows in order of name and document, each once."""
+    order = np.lexsort((tag, at, doc, b, a))
+    cols = [x[order] for x in (a, b, doc, tag, at)]
+    once = _starts(*cols)
+    return cols if once.all() else [x[once] for x in cols]
+
+
+def _away(cols: list[np.ndarray], which: np.ndarray) -> None:
+    """Gives the rows ``which`` a name of their own, so that they no longer meet at a hot one, and marks them as done."""
+    a, b, doc, tag, at = cols
+    a[which] = mix(doc[which].view(np.uint64) * _BASE + tag[which].view(np.uint64) + mix(at[which].view(np.uint64)))
+    b[which] = 0
+    at[which] |= _DONE
+
+
+def settle_repeated(a: np.ndarray, b: np.ndarray, doc: np.ndarray, tag: np.ndarray, at: np.ndarray) -> pa.RecordBatch:
+    """The rows to sort for "does another document have this name": names seen twice send a marker and are done."""
+    cols = _sorted_rows(a, b, doc, tag, at)
+    a, b, doc, tag, at = cols
+    first = np.flatnonzero(_starts(a, b))
+    size = np.diff(np.r_[first, len(a)])
+    none = at & _NULL
+    several = (np.minimum.reduceat(doc, first) != np.maximum.reduceat(doc, first)) | (np.minimum.reduceat(none, first) != np.maximum.reduceat(none, first))
+    told = np.repeat(several, size)
+    marks = [x[first[several]].copy() for x in cols]
+    marks[4] = (marks[4] & _NULL) | _MARK
+    _away(cols, told)
+    return _rows(*[np.concatenate(x) for x in zip(cols, marks, strict=True)])
+
+
+def settle_later(a: np.ndarray, b: np.ndarray, doc: np.ndarray, tag: np.ndarray, at: np.ndarray, more: np.ndarray | None = None) -> pa.RecordBatch:
+    """The rows to sort for "does an earlier document have this name": later ones of the batch are done."""
+    order = np.lexsort((tag, at, doc, b, a))
+    cols = [x[order] for x in (a, b, doc, tag, at)]
+    once = _starts(*cols)
+    cols = [x[once] for x in cols]
+    first = _starts(*cols[:2])
+    run = np.cumsum(first) - 1
+    none = cols[4] & _NULL
+    later = (cols[2] > cols[2][first][run]) | (none > none[first][run])
+    _away(cols, later)
+    out = _rows(*cols)
+    return out if more is None else out.append_column("more", pa.array(more[order][once].view(np.int64)))
+
+
+class _Runs:
+    """Reads sorted rows batch by batch; columns come as arrays, with a mask of the rows that begin a name."""
+
+    def __init__(self, width: int) -> None:
+        self.width, self.last = width, None
+
+    def __call__(self, batch: pa.RecordBatch) -> tuple[list[np.ndarray], np.ndarray, np.ndarray]:
+        cols = [batch.column(i).to_numpy() for i in range(self.width)]
+        new, once = _starts(*cols[:2]), _starts(*cols[:5])
+        if self.last is not None:
+            new[0] = any(c[0] != v for c, v in zip(cols[:2], self.last, strict=False))
+            once[0] = any(c[0] != v for c, v in zip(cols[:5], self.last, strict=False))
+        self.last = [c[-1] for c in cols]
+        return cols, new, once
+
+
+def repeated(rows: DataFrame) -> DataFrame:
+    """doc, tag, at of the rows (from settle_repeated) whose name a second document has."""
+    ordered = rows.repartition("a", "b").sortWithinPartitions("a", "b", "doc", "at", "tag")
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        read, held, several = _Runs(5), None, False
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            cols, new, once = read(batch)
+            if held is not None:  # the rows of the one document that the open run has shown so far
+                cols, new, once = [np.r_[h, c] for h, c in zip(held, cols, strict=True)], np.r_[np.zeros(len(held[0]), bool), new], np.r_[np.ones(len(held[0]), bool), once]
+                held = None
+            doc, tag, at = cols[2:]
+            first = np.flatnonzero(np.r_[True, new[1:]])
+            none = at & _NULL
+            many = (np.minimum.reduceat(doc, first) != np.maximum.reduceat(doc, first)) | (np.minimum.reduceat(none, first) != np.maximum.reduceat(none, first))
+            many |= np.bitwise_or.reduceat(at, first) & _MARK != 0
+            if not new[0]:
+                many[0] |= several
+            several = bool(many[-1])
+            size = np.diff(np.r_[first, len(doc)])
+            keep = (np.repeat(many, size) | (at & _DONE != 0)) & (at & _MARK == 0) & once
+            if not several:
+                held = [c[first[-1] :][once[first[-1] :] & (at[first[-1] :] & _DONE == 0)] for c in cols]
+                held = held if len(held[0]) else None
+            yield pa.RecordBatch.from_arrays([pa.array(doc[keep]), pa.array(tag[keep]), pa.array(at[keep] & ~_DONE)], ["doc", "tag", "at"])
+
+    return ordered.mapInArrow(run, "doc long, tag long, at long")
+
+
+def _judge(read: _Runs, state: list, batch: pa.RecordBatch) -> tuple[list[np.ndarray], np.ndarray]:
+    """Columns of the batch (each row once) and which rows an earlier document precedes in their run."""
+    cols, new, once = read(batch)
+    none = cols[4] & _NULL
+    run = np.cumsum(new)
+    low, low_none = np.r_[state[0], cols[2][new]], np.r_[state[1], none[new]]
+    later = (cols[2] > low[run]) | (none > low_none[run]) | (cols[4] & _DONE != 0)
+    state[:] = [low[-1], low_none[-1]]
+    return [c[once] for c in cols], later[once]
+
+
+def anchor_rows(docs: DataFrame, n: int, k: int) -> DataFrame:
+    """The anchors of every text, named by their rank k; texts shorter than n have none."""
 
-def _expand(values: np.ndarray, starts: np.ndarray, size: int) -> np.ndarray:
-    """A value per run, repeated for the rows of the run."""
-    return np.repeat(values, np.diff(np.r_[starts, size]))
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            doc, tag, none = (batch.column(i).to_numpy(zero_copy_only=False) for i in range(3))
+            none = none.astype(np.int64) * _NULL
+            data, offsets = text_buffer(batch.column(3))
+            parts, held = [], 0
+            for i, j in row_runs(offsets, RUN_BYTES):
+                off = offsets[i : j + 1] - offsets[i]
+                row, place, s1, s2, h = anchors_of(data[offsets[i] : offsets[j]], off, n, k)
+                at = (s1 - off[row]) << _START | (s2 - s1) << _W | (place - s1)
+                parts.append((h, doc[i:j][row], tag[i:j][row], at | none[i:j][row]))
+                held += len(h)
+                if held > MOST_HELD or j == len(doc):
+                    if held:
+                        h, d, t, at = (np.concatenate(x) for x in zip(*parts, strict=True))
+                        yield settle_repeated(h, np.zeros(len(h), np.uint64), d, t, at)
+                    parts, held = [], 0
 
+    return docs.where(F.octet_length("text") >= n).mapInArrow(run, _ROWS)
 
-def _binary(values: np.ndarray, counts: np.ndarray) -> pa.Array:
-    """A binary column whose i-th value holds the next counts[i] numbers."""
-    offsets = np.r_[0, np.cumsum(counts * values.itemsize)].astype("<i4")
-    return pa.Array.from_buffers(pa.binary(), len(counts), [None, pa.py_buffer(offsets.tobytes()), pa.py_buffer(values.tobytes())])
 
+def _with_places(docs: DataFrame, places: DataFrame) -> DataFrame:
+    """doc, tag, text, places (list of longs) of the rows that have any."""
+    held = places.groupBy("doc", "tag").agg(F.collect_list("at").alias("places"))
+    return docs.join(held, ["doc", "tag"]).select("doc", "tag", "text", "places")
 
-def _by_document(doc: np.ndarray, tag: np.ndarray, parts: dict[str, np.ndarray], which: np.ndarray) -> pa.Table:
-    """doc, tag and one binary column per name in ``parts``; ``which`` says which name a row belongs to."""
-    order = np.lexsort((tag, doc))
-    doc, tag, which = doc[order], tag[order], which[order]
-    starts = _groups(doc, tag)
-    group = np.repeat(np.arange(len(starts)), np.diff(np.r_[starts, len(doc)]))
-    out = {"doc": pa.array(doc[starts], pa.int64()), "tag": pa.array(tag[starts], pa.int32())}
-    for i, (name, values) in enumerate(parts.items()):
-        mine = which == i
-        out[name] = _binary(values[order][mine], np.bincount(group[mine], minlength=len(starts)))
-    return pa.table(out)
 
+def _scan(batches: Iterator[pa.RecordBatch], k: int) -> Iterator[tuple]:
+    """For runs of rows with places: ranks k of the run's bytes, text offsets, and row, doc, tag, place of every place."""
+    for batch in batches:
+        doc, tag = (batch.column(i).to_numpy() for i in range(2))
+        data, offsets = text_buffer(batch.column(2))
+        lists = batch.column(3)
+        ends = np.r_[0, np.cumsum(lists.value_lengths().to_numpy())]
+        flat = lists.flatten().to_numpy()
+        runs = row_runs(offsets, RUN_BYTES)
+        for i, j in runs:
+            at = flat[ends[i] : ends[j]]
+            row = np.repeat(np.arange(j - i), np.diff(ends[i : j + 1]))
+            rank = gram_hash(_BYTE[data[offsets[i] : offsets[j]]], k)
+            yield rank, offsets[i : j + 1] - offsets[i], row, doc[i:j][row], tag[i:j][row], at, j == runs[-1][1]
 
-def repeated_anchors(docs: DataFrame, n: int, k: int, buckets: int) -> DataFrame:
-    """doc, tag, places (32-bit): the anchors whose gram occurs in another document as well.
 
-    Anchors travel in packed arrays, ten bytes each.  One that a batch already
-    sees in two documents passes on directly, and only one of its kind goes to
-    its bucket, so a gram that every document has weighs one row per batch.
-    """
+def _name(rank: np.ndarray, start: np.ndarray, length: int | np.ndarray, k: int, upto: int) -> np.ndarray:
+    """Names of strings of at most ``upto`` bytes by the ranks k that cover them, the last one overlapping."""
+    out = np.zeros(len(start), np.uint64)
+    for step in range(0, upto, k):
+        out = out * _BASE + rank[start + np.minimum(step, length - k)]
+    return mix(out + np.uint64(upto))
 
-    def pack(bucket: int, doc: np.ndarray, tag: np.ndarray, row: np.ndarray, place: np.ndarray, h: np.ndarray) -> tuple:
-        rows, index = np.unique(row, return_inverse=True)
-        return bucket, doc[rows].astype("<i8").tobytes(), tag[rows].astype("<i4").tobytes(), index.astype("<u2" if len(rows) < 1 << 16 else "<u4").tobytes(), place.astype("<u4").tobytes(), (h >> np.uint64(32)).astype("<u4").tobytes()
-
-    names = ["bucket", "doc", "tag", "row", "place", "h"]
-
-    def deal(doc: np.ndarray, tag: np.ndarray, parts: list[tuple[np.ndarray, np.ndarray, np.ndarray]]) -> pa.RecordBatch:
-        row, place, h = (np.concatenate([p[i] for p in parts]) for i in range(3))
-        order = np.argsort(h, kind="stable")
-        row, place, h = row[order], place[order], h[order]
-        first = _groups(h)
-        ids = doc[row]
-        known = _expand(np.minimum.reduceat(ids, first) != np.maximum.reduceat(ids, first), first, len(h))
-        head = np.zeros(len(h), bool)
-        head[first] = True
-        out = []
-        if known.any():
-            out.append(pack(-1 - int(h[0] % np.uint64(1 << 20)), doc, tag, row[known], place[known], h[known]))
-        sent = ~known | head
-        # the top bit of a place tells its bucket that the gram is known to repeat
-        row, place, h = row[sent], (place | (known.astype(np.int64) << 31))[sent], h[sent]
-        at = (h % np.uint64(buckets)).astype(np.int64)
-        order = np.argsort(at, kind="stable")
-        cuts = np.searchsorted(at[order], np.arange(buckets + 1))
-        out += [pack(b, doc, tag, row[o], place[o], h[o]) for b in range(buckets) if len(o := order[cuts[b] : cuts[b + 1]])]
-        return pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], pa.int32() if i == 0 else pa.binary()) for i in range(6)], names)
-
-    def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            doc, tag = batch.column(0).to_numpy(), batch.column(1).to_numpy()
-            data, offsets = text_buffer(batch.column(2))
-            parts, held = [], 0
-            for a, b in row_runs(offsets, RUN_BYTES):
-                row, place, _, _, h = anchors_of(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], n, k)
-                parts.append((row + a, place - (offsets[a:b] - offsets[a])[row], h))
-                held += len(h)
-                if held > MOST_HELD:
-                    yield deal(doc, tag, parts)
-                    parts, held = [], 0
-            if held:
-                yield deal(doc, tag, parts)
-
-    def meet(key: tuple, table: pa.Table) -> pa.Table:
-        blobs = table.to_pylist()
-        docs_, tags, places, hashes = [], [], [], []
-        for r in blobs:
-            d, t = np.frombuffer(r["doc"], "<i8"), np.frombuffer(r["tag"], "<i4")
-            index = np.frombuffer(r["row"], "<u2" if len(d) < 1 << 16 else "<u4")
-            docs_.append(d[index])
-            tags.append(t[index])
-            places.append(np.frombuffer(r["place"], "<u4"))
-            hashes.append(np.frombuffer(r["h"], "<u4"))
-        doc, tag, place, h = (np.concatenate(x) for x in (docs_, tags, places, hashes))
-        if key[0].as_py() >= 0:
-            order = np.argsort(h, kind="stable")
-            doc, tag, place, h = doc[order], tag[order], place[order], h[order]
-            first = np.flatnonzero(np.r_[True, h[1:] != h[:-1]])
-            told = np.maximum.reduceat(place >> np.uint32(31), first) > 0
-            keep = np.repeat(told | (np.minimum.reduceat(doc, first) != np.maximum.reduceat(doc, first)), np.diff(np.r_[first, len(h)]))
-            doc, tag, place = doc[keep], tag[keep], place[keep] & np.uint32((1 << 31) - 1)
-        return _by_document(doc, tag, {"places": place}, np.zeros(len(doc), np.int8))
-
-    packed = docs.mapInArrow(find, "bucket int, doc binary, tag binary, row binary, place binary, h binary")
-    return packed.groupBy("bucket").applyInArrow(lambda key, t: meet(key, t), "doc long, tag int, places binary")
-
-
-_ROW = np.dtype([("h", "<u8"), ("g", "<u8"), ("row", "<u2"), ("s", "<u4"), ("w", "u1"), ("back", "u1"), ("near", "<u4", (6,))])
-
-
-def judged_contexts(docs: DataFrame, anchors: DataFrame, n: int, k: int, buckets: int) -> DataFrame:
-    """doc, tag, gone, left: window ranges (start << 6 | number - 1) an earlier document has, and those still open.
-
-    The occurrences of an anchor's contexts meet in one bucket, 47 bytes each.
-    A batch sends a context only for its first document; the others of the
-    batch are settled on the spot.  A bucket drops what no other context of the
-    anchor can share: the strings on both sides of the anchor are ranked at
-    growing lengths, and only windows inside shared lengths stay open.
-    """
-    held = anchors.groupBy("doc", "tag").agg(F.collect_list("places").alias("places"))
-    both = docs.join(held, ["doc", "tag"]).select("doc", "tag", "text", "places")
-    base = int(_BASE) | 1
-    back = np.uint64(pow(base, -1, 1 << 64))
-    room = n - k
-    levels = sorted({max(1, room // 3), max(1, 2 * room // 3), room}) if room else []
-
-    def look(part: np.ndarray, off: np.ndarray, places: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-        """The anchors wanted in a run of texts, as rows of _ROW (without the row), and their rows."""
-        row, place, s1, s2, h = anchors_of(part, off, n, k)
-        flag = np.zeros(len(part) + 1, bool)
-        for i, p in enumerate(places):
-            flag[np.frombuffer(p, "<u4").astype(np.int64) + off[i]] = True
-        keep = flag[place]
-        row, place, s1, s2, h = row[keep], place[keep], s1[keep], s2[keep], h[keep]
-        powers, inverse = (np.cumprod(np.r_[np.uint64(1), np.full(len(part), np.uint64(v))]) for v in (base, int(back)))
-        sums = np.r_[np.uint64(0), np.cumsum(mix(_BYTE[part]) * powers[:-1])]
-        grams = gram_hash(_BYTE[part], min(8, k))
-        wide = np.r_[np.uint64(0), np.cumsum(grams * powers[: len(grams)])]
-        out = np.zeros(len(row), _ROW)
-        out["h"], out["s"], out["w"], out["back"] = h, s1 - off[row], s2 - s1, place - s1
-        out["g"] = mix((wide[s2 + n - min(8, k) + 1] - wide[s1]) * inverse[s1] + (s2 - s1).astype(np.uint64))
-        for i, m in enumerate(levels):
-            for side, first in enumerate((place + k, place - m)):
-                inside = (first >= off[row]) & (first + m <= off[row + 1])
-                at = np.where(inside, first, 0)
-                name = mix((sums[np.minimum(at + m, len(part))] - sums[at]) * inverse[at])
-                # a string cut off by the text's end is shared with nothing
-                out["near"][:, 2 * i + side] = np.where(inside, name, mix(h + (s1 + 1).astype(np.uint64) * np.uint64(base) + np.uint64(side))) >> np.uint64(32)
-        return row, out
-
-    names = ["bucket", "doc", "tag", "rows"]
-
-    def deal(doc: np.ndarray, tag: np.ndarray, rows: list[np.ndarray], found: list[np.ndarray]) -> pa.RecordBatch:
-        row, out = np.concatenate(rows), np.concatenate(found)
-        order = np.lexsort((doc[row], out["g"], out["h"]))
-        row, out = row[order], out[order]
-        starts = _groups(out["h"], out["g"])
-        later = doc[row] > _expand(doc[row][starts], starts, len(row))
-        bucket = np.where(later, -1 - (out["h"][0] % np.uint64(1 << 20)).astype(np.int64), (out["h"] % np.uint64(buckets)).astype(np.int64))
-        order = np.argsort(bucket, kind="stable")
-        bucket, row, out = bucket[order], row[order], out[order]
-        cuts = np.r_[_groups(bucket), len(bucket)]
-        made = []
-        for x, y in zip(cuts[:-1], cuts[1:], strict=True):
-            mine, index = np.unique(row[x:y], return_inverse=True)
-            for c in range(0, len(mine), 1 << 16):
-                sel = (index >= c) & (index < c + (1 << 16))
-                part = out[x:y][sel].copy()
-                part["row"] = index[sel] - c
-                made.append((int(bucket[x]), doc[mine[c : c + (1 << 16)]].astype("<i8").tobytes(), tag[mine[c : c + (1 << 16)]].astype("<i4").tobytes(), part.tobytes()))
-        return pa.RecordBatch.from_arrays([pa.array([r[i] for r in made], pa.int32() if i == 0 else pa.binary()) for i in range(4)], names)
-
-    def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            doc, tag, lists = batch.column(0).to_numpy(), batch.column(1).to_numpy(), batch.column(3)
-            data, offsets = text_buffer(batch.column(2))
-            rows, found, held = [], [], 0
-            for a, b in row_runs(offsets, RUN_BYTES):
-                row, out = look(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], [b"".join(lists[i].as_py()) for i in range(a, b)])
-                rows.append(row + a)
-                found.append(out)
-                held += len(row)
-                if held > MOST_HELD:
-                    yield deal(doc, tag, rows, found)
-                    rows, found, held = [], [], 0
-            if held:
-                yield deal(doc, tag, rows, found)
-
-    def judge(key: tuple, table: pa.Table) -> pa.Table:
-        docs_, tags, parts = [], [], []
-        for r in table.to_pylist():
-            part = np.frombuffer(r["rows"], _ROW)
-            docs_.append(np.frombuffer(r["doc"], "<i8")[part["row"]])
-            tags.append(np.frombuffer(r["tag"], "<i4")[part["row"]])
-            parts.append(part)
-        doc, tag, out = np.concatenate(docs_), np.concatenate(tags), np.concatenate(parts)
-        span = (out["s"].astype(np.int64) << 6) | out["w"]
-        if key[0].as_py() < 0:
-            return _by_document(doc, tag, {"gone": span, "left": span}, np.zeros(len(doc), np.int8))
-        order = np.lexsort((doc, out["g"], out["h"]))
-        doc, tag, out, span = doc[order], tag[order], out[order], span[order]
-        starts = _groups(out["h"], out["g"])
-        gone = doc > _expand(doc[starts], starts, len(doc))
-        hs = out["h"]
-        kinds_at = _groups(hs[starts])  # runs of contexts with the same anchor
-        kinds = np.diff(np.r_[kinds_at, len(starts)])
-        many = _expand(kinds > 1, kinds_at, len(starts))
-        # of each context's two sides, the longest ranked length that another context shares
-        one = out[starts]
-        reach = []
-        for side in (0, 1):
-            limit = np.full(len(one), room, np.int64)
-            for i in reversed(range(len(levels))):
-                pair = mix(one["h"] + mix(one["near"][:, 2 * i + side].astype(np.uint64) + np.uint64(1 + i)))
-                _, inverse, seen = np.unique(pair, return_inverse=True, return_counts=True)
-                limit = np.where(seen[inverse] > 1, limit, levels[i] - 1)
-            # a length counts only if every shorter one is shared too
-            reach.append(limit)
-        right, left_ = reach
-        first = np.maximum(out["s"].astype(np.int64) + out["back"] - _expand(left_, starts, len(doc)), out["s"])
-        last = np.minimum(out["s"].astype(np.int64) + out["back"] + _expand(right, starts, len(doc)) - room, out["s"].astype(np.int64) + out["w"])
-        open_ = ~gone & _expand(many, starts, len(doc)) & (first <= last)
-        some = gone | open_
-        which = np.where(gone, 0, 1)[some].astype(np.int8)
-        window = (first << 6) | np.maximum(last - first, 0)
-        return _by_document(doc[some], tag[some], {"gone": span[some], "left": window[some]}, which)
-
-    packed = both.mapInArrow(find, "bucket int, doc binary, tag binary, rows binary")
-    return packed.groupBy("bucket").applyInArrow(lambda key, t: judge(key, t), "doc long, tag int, gone binary, left binary")
-
-
-def open_windows(docs: DataFrame, left: DataFrame, n: int) -> DataFrame:
-    """a, b, doc, at of every window left: the rank pair of its halves, and tag and start."""
-    held = left.where("length(left) > 0").groupBy("doc", "tag").agg(F.collect_list("left").alias("left"))
-    both = docs.join(held, ["doc", "tag"]).select("doc", "tag", "text", "left")
-    half = (n + 1) // 2
+
+def context_rows(docs: DataFrame, places: DataFrame, n: int, k: int) -> DataFrame:
+    """The contexts of the anchors left, named by (anchor, whole context); ``more`` has 32 bits for each side's next rank."""
+    half = (n - k + 1) // 2
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            doc, tag, lists = batch.column(0).to_numpy(), batch.column(1).to_numpy(), batch.column(3)
-            data, offsets = text_buffer(batch.column(2))
-            for a, b in row_runs(offsets, RUN_BYTES):
-                part, off = data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a]
-                rank = gram_hash(_BYTE[part], half)
-                wanted = np.zeros(len(part) + 1, np.int32)
-                for i in range(a, b):
-                    at = np.frombuffer(b"".join(lists[i].as_py()), "<i8")
-                    s = (at >> 6) + off[i - a]
-                    np.add.at(wanted, s, 1)
-                    np.add.at(wanted, s + (at & 63) + 1, -1)
-                starts = np.flatnonzero(np.cumsum(wanted) > 0)
-                row = np.searchsorted(off, starts, "right") - 1
-                at = (tag[a:b][row].astype(np.int64) << 46) | (starts - off[row])
-                yield pa.RecordBatch.from_arrays([pa.array(rank[starts].view(np.int64)), pa.array(rank[starts + n - half].view(np.int64)), pa.array(doc[a:b][row]), pa.array(at)], ["a", "b", "doc", "at"])
-
-    return both.mapInArrow(run, "a long, b long, doc long, at long")
-
-
-def later_of_equal_pairs(pairs: DataFrame, parts: int) -> DataFrame:
-    """doc, at of the rows whose pair (a, b) also stands in a row of a smaller doc.
-
-    One range sort by (a, b, doc) spreads even a single pair over tasks.  Each
-    task reads its sorted rows once; a run that began in an earlier partition
-    is settled by that partition's last pair and its first doc.
-    """
-    ordered = pairs.repartitionByRange(parts, "a", "b", "doc").sortWithinPartitions("a", "b", "doc")
+        parts, held = [], 0
+        for rank, off, row, doc, tag, at, end in _scan(batches, k):
+            s = ((at & _PLACE) >> _START) + off[row]
+            w, back = (at >> _W) & 63, at & 63
+            place = s + back
+            g = _name(rank, s, w + n, k, 2 * n - k) + w.astype(np.uint64)
+            # outside the text the sides are not used
+            right = rank[np.minimum(place + half, len(rank) - 1)] >> np.uint64(32)
+            left = rank[np.maximum(place - half, 0)] >> np.uint64(32)
+            parts.append((rank[place], mix(g), doc, tag, at, right << np.uint64(32) | left))
+            held += len(at)
+            if held and (held > MOST_HELD or end):
+                yield settle_later(*(np.concatenate(x) for x in zip(*parts, strict=True)))
+                parts, held = [], 0
+
+    return _with_places(docs, places).mapInArrow(run, _ROWS + ", more long")
+
+
+def judged_contexts(contexts: DataFrame, n: int, k: int) -> DataFrame:
+    """kind, and rows: kind 0 are places of contexts that an earlier document has, kind 1 the sides of the others, to be ranked."""
+    ordered = contexts.repartition("a", "b").sortWithinPartitions("a", "b", "doc", "at", "tag")
+    room = n - k
+    half = (room + 1) // 2
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        pair, low, leading = None, 0, True
-        names, types = ["kind", "part", "a", "b", "doc", "at"], (pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.int64())
-        part, head = 0, None
+        read, state = _Runs(6), [0, 0]
         for batch in batches:
             if not batch.num_rows:
                 continue
-            a, b, doc, at, p = (batch.column(i).to_numpy() for i in range(5))
-            part = int(p[0])
-            new = np.r_[pair is None or (a[0], b[0]) != pair, (a[1:] != a[:-1]) | (b[1:] != b[:-1])]
-            group = np.cumsum(new)
-            firsts = np.r_[low, doc[new]]
-            first = firsts[group]
-            later = doc > first
-            if head is None:
-                head = (int(a[0]), int(b[0]))
-            # rows of the partition's first run may have a smaller doc in an earlier partition
-            waiting = ~later & (a == head[0]) & (b == head[1]) if leading else np.zeros(len(a), bool)
-            leading = leading and (int(a[-1]), int(b[-1])) == head
-            pair, low = (a[-1], b[-1]), int(first[-1])
-            keep = later | waiting
-            kind = np.where(later[keep], 0, 1)
-            yield pa.RecordBatch.from_arrays([pa.array(kind, types[0]), pa.array(np.full(keep.sum(), part), types[1]), pa.array(a[keep]), pa.array(b[keep]), pa.array(doc[keep]), pa.array(at[keep])], names)
-        if pair is not None:
-            rows = [(2, part, *head, low, 0), (3, part, int(pair[0]), int(pair[1]), low, 0)]
-            yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], types[i]) for i in range(6)], names)
-
-    marked = ordered.select("a", "b", "doc", "at", F.spark_partition_id().alias("part"))
-    out = materialise(marked.mapInArrow(run, "kind int, part int, a long, b long, doc long, at long"), "ranked")
-    edges = sorted(tuple(r) for r in out.where("kind >= 2").select("part", "kind", "a", "b", "doc").collect())  # two rows per partition
-    carried, rows = None, []
-    for part, kind, a, b, doc in edges:
-        if kind == 2:
-            head = (a, b)
-            if carried and carried[0] == head:
-                rows.append((part, carried[1]))
-        else:
-            pair = (a, b)
-            # a run that fills the whole partition keeps the doc it came in with
-            carried = (pair, carried[1]) if carried and carried[0] == pair else (pair, doc)
-    settled = out.sparkSession.createDataFrame(rows, "part int, low long")
-    waiting = out.where("kind = 1").join(F.broadcast(settled), "part").where("doc > low").select("doc", "at")
-    return out.where("kind = 0").select("doc", "at").unionByName(waiting)
-
-
-def repeated_strings(documents: DataFrame, n: int = 50, key: str = "doc_id", text: str = "text", k: int | None = None) -> DataFrame:
-    """doc, tag, gone, single (window ranges, start << 6 | number - 1, to remove) of documents with repeats."""
-    ship(documents.sparkSession)
-    spark = documents.sparkSession
-    k = k or max(1, min(K, n // 2))
-    if n - k > 62 or n < 2:
-        raise ValueError("n - k is at most 62 and n at least 2")
-    docs = _documents(documents, key, text)
-    n_bytes = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    buckets = max(LEAST_BUCKETS, int(2 * n_bytes / (n - k + 2) / SIEVE_ROWS))
-    anchors = materialise(repeated_anchors(docs, n, k, buckets), "anchors")
-    free_shuffles(spark)
-    judged = materialise(judged_contexts(docs, anchors, n, k, buckets), "judged")
+            (a, _, doc, tag, at, more), gone = _judge(read, state, batch)
+            zero = np.zeros(int(gone.sum()), np.int64)
+            yield _rows(zero, zero, doc[gone], tag[gone], at[gone] & ~_DONE).add_column(0, "kind", pa.array(np.zeros(len(zero), np.int32)))
+            a, doc, tag, at, more = (x[~gone] for x in (a, doc, tag, at, more))
+            w, back = (at >> _W) & 63, at & 63
+            sides = []
+            for side, has, bits in ((0, back - w <= room - half, more.view(np.uint64) >> np.uint64(32)), (1, back >= half, more.view(np.uint64) & np.uint64(0xFFFFFFFF))):
+                sides.append((a[has].view(np.uint64), (bits[has] << np.uint64(1)) | np.uint64(side), doc[has], tag[has], at[has] | side * _SIDE))
+            if any(len(x[0]) for x in sides):
+                out = settle_repeated(*(np.concatenate(x) for x in zip(*sides, strict=True)))
+                yield out.add_column(0, "kind", pa.array(np.ones(out.num_rows, np.int32)))
+
+    return ordered.mapInArrow(run, f"kind int, {_ROWS}")
+
+
+def window_rows(docs: DataFrame, places: DataFrame, n: int, k: int) -> DataFrame:
+    """The windows left, one by one, named by the pair of their middle ranks."""
+    room = n - k
+    half = (room + 1) // 2
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        parts, held = [], 0
+        for rank, off, row, doc, tag, at, end in _scan(batches, k):
+            order = np.lexsort((at & ~_SIDE, row))
+            row, doc, tag, at = (x[order] for x in (row, doc, tag, at))
+            plain = at & ~_SIDE
+            first = np.flatnonzero(_starts(row, plain))
+            right = np.bitwise_or.reduceat(np.where(at & _SIDE, 1, 2), first)
+            row, doc, tag, at = (x[first] for x in (row, doc, tag, plain))
+            s = ((at & _PLACE) >> _START) + off[row]
+            place, last = s + (at & 63), s + ((at >> _W) & 63)
+            low = np.where(right == 2, np.maximum(s, place - half + 1), s)
+            last = np.where(right == 1, np.minimum(last, place - (room - half) - 1), last)
+            count = np.maximum(last - low + 1, 0)
+            which = np.repeat(np.arange(len(row)), count)
+            start = low[which] + np.arange(len(which)) - np.repeat(np.cumsum(count) - count, count)
+            middle = lambda x: mix(rank[x] * _BASE + rank[x + half])  # noqa: E731, B023
+            parts.append((middle(start), middle(start + room - half), doc[which], tag[which], (start - off[row][which]) << _START | (at[which] & _NULL)))
+            held += len(start)
+            if held and (held > MOST_HELD or end):
+                yield settle_later(*(np.concatenate(x) for x in zip(*parts, strict=True)))
+                parts, held = [], 0
+
+    return _with_places(docs, places).mapInArrow(run, _ROWS)
+
+
+def later_of_equal_names(rows: DataFrame) -> DataFrame:
+    """doc, tag, at of the rows (from settle_later) whose name also stands in a row of a smaller document."""
+    ordered = rows.repartition("a", "b").sortWithinPartitions("a", "b", "doc", "at", "tag")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        read, state = _Runs(5), [0, 0]
+        for batch in batches:
+            if batch.num_rows:
+                (_, _, doc, tag, at), gone = _judge(read, state, batch)
+                yield pa.RecordBatch.from_arrays([pa.array(doc[gone]), pa.array(tag[gone]), pa.array(at[gone] & ~_DONE)], ["doc", "tag", "at"])
+
+    return ordered.mapInArrow(run, "doc long, tag long, at long")
+
+
+def repeated_strings(docs: DataFrame, n: int = 50, k: int | None = None) -> DataFrame:
+    """doc, tag, at: the window ranges to remove, from rows doc, tag, none, text."""
+    k = k or max(1, min(n // 2, max(K, -(-n // 3))))
+    if n < 2 or n - k > min(62, 2 * k):
+        raise ValueError("n is at least 2, n - k at most 62 and at most 2 k")
+    ship(docs.sparkSession)
+    anchors = materialise(repeated(anchor_rows(docs, n, k)), "anchors")
+    judged = materialise(judged_contexts(context_rows(docs, anchors, n, k), n, k), "contexts")
     discard(anchors)
-    free_shuffles(spark)
-    pairs = materialise(open_windows(docs, judged, n), "windows")
-    free_shuffles(spark)
-    later = later_of_equal_pairs(pairs, max(8, pairs.count() // 500_000))
-    single = later.select("doc", F.shiftright("at", 46).cast("int").alias("tag"), F.shiftleft(F.col("at").bitwiseAND(F.lit((1 << 40) - 1)), 6).alias("span"))
-    single = single.groupBy("doc", "tag").agg(F.collect_list("span").alias("single"))
-    whole = judged.where("length(gone) > 0").groupBy("doc", "tag").agg(F.collect_list("gone").alias("gone"))
-    out = materialise(whole.join(single, ["doc", "tag"], "full"), "spans")
+    whole = judged.where("kind = 0").select("doc", "tag", "at")
+    sides = materialise(repeated(judged.where("kind = 1").drop("kind")), "sides")
+    gone = materialise(whole.unionByName(later_of_equal_names(window_rows(docs, sides, n, k))), "spans")
     discard(judged)
-    discard(pairs)
-    free_shuffles(spark)
-    return out
+    discard(sides)
+    return gone
 
 
 def remove_repeats(documents: DataFrame, n: int = 50, key: str = "doc_id", text: str = "text", with_text: bool = False) -> DataFrame:
     """``key``, n_bytes, n_removed, n_spans, kept_sha256 of every row (and the kept bytes)."""
-    spans = repeated_strings(documents, n, key, text)
-    base = _documents(documents, key, text).join(spans, ["doc", "tag"], "left").select("doc", "text", "gone", "single")
-    schema = f"{key} long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", kept binary" * with_text
+    docs = _documents(documents, key, text)
+    spans = repeated_strings(docs, n).groupBy("doc", "tag").agg(F.collect_list("at").alias("gone"))
+    base = docs.join(spans, ["doc", "tag"], "left").select(F.when(~F.col("none"), F.col("doc")).alias("doc"), "text", "gone")
+    schema = f"`{key}` long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", kept binary" * with_text
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            doc, whole, single = batch.column(0).to_pylist(), batch.column(2), batch.column(3)
+            lists = batch.column(2)
             data, offsets = text_buffer(batch.column(1))
             removed, spans_, sums, kept_all = [], [], [], []
             for i in range(batch.num_rows):
                 part = data[offsets[i] : offsets[i + 1]]
-                if whole[i].is_valid or single[i].is_valid:
-                    span = np.frombuffer(b"".join(whole[i].as_py() or []), "<i8")
-                    if single[i].is_valid:
-                        span = np.r_[span, single[i].values.to_numpy()]
+                if lists[i].is_valid:
+                    span = lists[i].values.to_numpy()
+                    start = (span & _PLACE) >> _START
                     depth = np.zeros(len(part) + 1, np.int32)
-                    np.add.at(depth, span >> 6, 1)
-                    np.add.at(depth, (span >> 6) + (span & 63) + n, -1)
+                    np.add.at(depth, start, 1)
+                    np.add.at(depth, start + ((span >> _W) & 63) + n, -1)
                     gone = np.cumsum(depth[:-1]) > 0
                     removed.append(int(gone.sum()))
                     spans_.append(int((gone[1:] & ~gone[:-1]).sum() + gone[0]))
@@ -474,8 +434,7 @@ def remove_repeats(documents: DataFrame, n: int = 50, key: str = "doc_id", text:
                 sums.append(hashlib.sha256(kept).hexdigest())
                 if with_text:
                     kept_all.append(kept)
-            ids = pa.array([None if d == _LAST else d for d in doc], pa.int64())
-            columns = [ids, pa.array(np.diff(offsets)), pa.array(removed, pa.int64()), pa.array(spans_, pa.int64()), pa.array(sums, pa.string()), *([pa.array(kept_all, pa.binary())] if with_text else [])]
+            columns = [batch.column(0), pa.array(np.diff(offsets)), pa.array(removed, pa.int64()), pa.array(spans_, pa.int64()), pa.array(sums, pa.string()), *([pa.array(kept_all, pa.binary())] if with_text else [])]
             yield pa.RecordBatch.from_arrays(columns, [key, "n_bytes", "n_removed", "n_spans", "kept_sha256", *(["kept"] if with_text else [])])
 
     return base.mapInArrow(run, schema)

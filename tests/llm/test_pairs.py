@@ -57,11 +57,44 @@ def test_repeats_of_nothing(spark):
     assert suffix_dedup.remove_repeats(spark.createDataFrame([], DOCS)).count() == 0
 
 
-def test_a_run_may_fill_whole_partitions(spark):
-    rows = [(1, 1, d, d) for d in range(50)] + [(0, 3, 5, 100), (2, 2, 9, 101), (2, 2, 8, 102)]
-    pairs = spark.createDataFrame(rows, "a long, b long, doc long, at long")
-    got = sorted(tuple(r) for r in suffix_dedup.later_of_equal_pairs(pairs, 6).collect())
-    assert got == sorted([*((d, d) for d in range(1, 50)), (9, 101)])
+def test_repeats_of_many_rows_with_one_id(spark):
+    rng = random.Random(4)
+    shared = "a passage that is shared by very many rows of the same table, word by word"
+    rows = [(None, f"{rng.random()} {shared} {rng.random()}") for _ in range(3000)] + [(9, f"{shared}{i}") for i in range(400)]
+    rows += [((1 << 63) - 1, shared + "?"), ((1 << 63) - 1, "." + shared), (12, shared), (12, shared), (12, shared)]
+    df = spark.createDataFrame([(i, t, "x") for i, t in rows], DOCS).repartition(9)
+    got = sorted((tuple(r) for r in suffix_dedup.remove_repeats(df).collect()), key=str)
+    assert got == brute_repeats(rows, 50)
+
+
+def test_the_largest_id_comes_before_null(spark):
+    text = "words that stand in two rows, of which one has no id, and that are long enough"
+    rows = [(None, text + "a"), ((1 << 63) - 1, text + "b")]
+    got = {r.doc_id: r.n_removed for r in suffix_dedup.remove_repeats(spark.createDataFrame([(i, t, "x") for i, t in rows], DOCS)).collect()}
+    assert got == {None: len(text), (1 << 63) - 1: 0}
+
+
+def _names(rows):
+    cols = [np.array(c, np.int64) for c in zip(*rows, strict=True)]
+    return cols[0].view(np.uint64), cols[1].view(np.uint64), *cols[2:]
+
+
+@pytest.mark.parametrize("parts", [1, 3, 7])
+def test_rounds_settle_names_across_batches(spark, parts):
+    """Runs of one name come from several scans, which each settle what they see themselves."""
+    rng = random.Random(parts)
+    rows = [(rng.randrange(6), 0, rng.randrange(4), 0, rng.randrange(1 << 20) << 12) for _ in range(300)] + [(90, 0, 3, 0, 1 << 12), (90, 0, 3, 0, 2 << 12), (91, 0, 3, 0, 5 << 12)]
+    some = [rows[i::parts] for i in range(parts)]
+
+    def sent(settle):
+        made = [settle(*_names(r)).to_pylist() for r in some]
+        return spark.createDataFrame([tuple(r[c] for c in ("a", "b", "doc", "tag", "at")) for m in made for r in m], suffix_dedup._ROWS)
+
+    docs_of = {a: {r[2] for r in rows if r[0] == a} for a, *_ in rows}
+    told = {(r.doc, r.at) for r in suffix_dedup.repeated(sent(suffix_dedup.settle_repeated)).collect()}
+    assert told == {(r[2], r[4]) for r in rows if len(docs_of[r[0]]) > 1}
+    later = {(r.doc, r.at) for r in suffix_dedup.later_of_equal_names(sent(suffix_dedup.settle_later)).collect()}
+    assert later == {(r[2], r[4]) for r in rows if r[2] > min(docs_of[r[0]])}
 
 
 def shingles(text, n=5):
