@@ -57,7 +57,7 @@ _LAST = (1 << 63) - 1
 # A place is one long: 6 bits from the first window to the anchor, 6 bits of windows less one, then the first window's start.
 _W, _START, _SIDE, _DONE, _MARK, _NULL = 6, 12, 1 << 58, 1 << 59, 1 << 60, 1 << 62
 _PLACE = (1 << 58) - 1
-_ROWS = "a long, b long, doc long, tag long, at long"
+_ROWS = "a long, b long, doc long, tag long, at long, also binary"
 
 
 def gram_hash(x: np.ndarray, k: int) -> np.ndarray:
@@ -107,17 +107,20 @@ def anchors_of(data: np.ndarray, offsets: np.ndarray, n: int, k: int) -> tuple[n
     return np.searchsorted(offsets, place, "right") - 1, place, starts[new], last, h[place]
 
 
-def _documents(documents: DataFrame, key: str, text: str) -> DataFrame:
-    """doc, tag, none, text: (doc, tag) is the row's identity, rows equal in id and text share it.
+def _documents(documents: DataFrame, key: str, text: str) -> tuple[DataFrame, DataFrame]:
+    """doc, tag, none, text of every row, and the same with rows equal in id and text once.
 
-    The tag is a hash of the text where some id is repeated, so that rows of one
-    id are told apart; ``none`` marks null ids, which take the largest number.
+    (doc, tag) is a row's identity: the tag is a hash of the text where some id
+    is repeated, so that rows of one id are told apart; ``none`` marks null
+    ids, which take the largest number.
     """
     ids = documents.select(F.col(key).cast("long").alias("doc"))
     repeated = not ids.groupBy("doc").count().where("count > 1").isEmpty()
     none = F.col(key).isNull()
     told = F.xxhash64(text) if repeated else F.lit(0).cast("long")
-    return documents.select(F.coalesce(F.col(key).cast("long"), F.lit(_LAST)).alias("doc"), F.when(none, F.bitwise_not(told)).otherwise(told).alias("tag"), none.alias("none"), F.col(text).alias("text"))
+    rows = documents.select(F.coalesce(F.col(key).cast("long"), F.lit(_LAST)).alias("doc"), F.when(none, F.bitwise_not(told)).otherwise(told).alias("tag"), none.alias("none"), F.col(text).alias("text"))
+    once = rows.groupBy("doc", "tag", "none").agg(F.any_value("text").alias("text")) if repeated else rows
+    return rows, once
 
 
 def _starts(*keys: np.ndarray) -> np.ndarray:
@@ -129,113 +132,135 @@ def _starts(*keys: np.ndarray) -> np.ndarray:
     return change
 
 
-def _rows(a: np.ndarray, b: np.ndarray, doc: np.ndarray, tag: np.ndarray, at: np.ndarray) -> pa.RecordBatch:
-    signed = [pa.array(x.view(np.int64)) for x in (a, b, doc, tag, at)]
-    return pa.RecordBatch.from_arrays(signed, ["a", "b", "doc", "tag", "at"])
+def _sent(cols: list[np.ndarray], named: np.ndarray, more: np.ndarray | None = None) -> pa.RecordBatch:
+    """Rows to be sorted, from rows in order of name and document.
 
-
-def _sorted_rows(a: np.ndarray, b: np.ndarray, doc: np.ndarray, tag: np.ndarray, at: np.ndarray) -> list[np.ndarray]:
-    """The rows in order of name and document, each once."""
-    order = np.lexsort((tag, at, doc, b, a))
-    cols = [x[order] for x in (a, b, doc, tag, at)]
-    once = _starts(*cols)
-    return cols if once.all() else [x[once] for x in cols]
-
-
-def _away(cols: list[np.ndarray], which: np.ndarray) -> None:
-    """Gives the rows ``which`` a name of their own, so that they no longer meet at a hot one, and marks them as done."""
+    Rows not ``named`` are settled: they get a name of their own, so that they
+    do not meet at a hot one, and are marked.  Of the named rows of one name and
+    document the first carries the places of the others in ``also``: a string
+    that a document repeats weighs one row.
+    """
     a, b, doc, tag, at = cols
-    a[which] = mix(doc[which].view(np.uint64) * _BASE + tag[which].view(np.uint64) + mix(at[which].view(np.uint64)))
-    b[which] = 0
-    at[which] |= _DONE
+    away = ~named
+    a[away] = mix(doc[away].view(np.uint64) * _BASE + tag[away].view(np.uint64) + mix(at[away].view(np.uint64)))
+    b[away] = 0
+    at[away] |= _DONE
+    first = _starts(a, b, doc, tag)
+    rows = [pa.array(x[first].view(np.int64)) for x in cols]
+    also = pa.nulls(len(rows[0]), pa.binary())
+    if not first.all():
+        at_first = np.flatnonzero(first)
+        size = np.diff(np.r_[at_first, len(a)])
+        lists = np.full(len(at_first), None, object)
+        for i in np.flatnonzero(size > 1):
+            lists[i] = at[at_first[i] + 1 : at_first[i] + size[i]].tobytes()
+        also = pa.array(lists, pa.binary())
+    extra = [] if more is None else [pa.array(more[first].view(np.int64))]
+    return pa.RecordBatch.from_arrays([*rows, also, *extra], ["a", "b", "doc", "tag", "at", "also", *["more"] * len(extra)])
+
+
+def _opened(cols: list[np.ndarray], also: np.ndarray) -> list[np.ndarray]:
+    """The rows (the fifth column is the place) with those that ``also`` stands for."""
+    some = np.flatnonzero(also != None)  # noqa: E711  an array of objects
+    if not len(some):
+        return cols
+    places = [np.frombuffer(x, "<i8") for x in also[some]]
+    size = [len(x) for x in places]
+    out = [np.r_[c, np.repeat(c[some], size)] for c in cols]
+    out[4][len(also) :] = np.concatenate(places)
+    return out
+
+
+def _by_name(a: np.ndarray, b: np.ndarray, *others: np.ndarray) -> list[np.ndarray]:
+    """The rows with equal names side by side; rows of one document stay together."""
+    order = np.argsort(a + b * _BASE, kind="stable")
+    return [x[order] for x in (a, b, *others)]
 
 
 def settle_repeated(a: np.ndarray, b: np.ndarray, doc: np.ndarray, tag: np.ndarray, at: np.ndarray) -> pa.RecordBatch:
-    """The rows to sort for "does another document have this name": names seen twice send a marker and are done."""
-    cols = _sorted_rows(a, b, doc, tag, at)
-    a, b, doc, tag, at = cols
-    first = np.flatnonzero(_starts(a, b))
-    size = np.diff(np.r_[first, len(a)])
-    none = at & _NULL
-    several = (np.minimum.reduceat(doc, first) != np.maximum.reduceat(doc, first)) | (np.minimum.reduceat(none, first) != np.maximum.reduceat(none, first))
-    told = np.repeat(several, size)
+    """The rows to sort for "does another document have this name": names seen twice send a marker and are settled."""
+    cols = _by_name(a, b, doc, tag, at)
+    first = np.flatnonzero(_starts(*cols[:2]))
+    none = cols[4] & _NULL
+    several = _differ(cols[2], first) | _differ(none, first)
     marks = [x[first[several]].copy() for x in cols]
     marks[4] = (marks[4] & _NULL) | _MARK
-    _away(cols, told)
-    return _rows(*[np.concatenate(x) for x in zip(cols, marks, strict=True)])
-
-
-def settle_later(a: np.ndarray, b: np.ndarray, doc: np.ndarray, tag: np.ndarray, at: np.ndarray, more: np.ndarray | None = None) -> pa.RecordBatch:
-    """The rows to sort for "does an earlier document have this name": later ones of the batch are done."""
-    order = np.lexsort((tag, at, doc, b, a))
-    cols = [x[order] for x in (a, b, doc, tag, at)]
-    once = _starts(*cols)
-    cols = [x[once] for x in cols]
-    first = _starts(*cols[:2])
-    run = np.cumsum(first) - 1
-    none = cols[4] & _NULL
-    later = (cols[2] > cols[2][first][run]) | (none > none[first][run])
-    _away(cols, later)
-    out = _rows(*cols)
-    return out if more is None else out.append_column("more", pa.array(more[order][once].view(np.int64)))
+    named = np.repeat(~several, np.diff(np.r_[first, len(none)]))
+    return _sent([np.concatenate(x) for x in zip(cols, marks, strict=True)], np.r_[named, np.ones(len(marks[0]), bool)])
 
 
-class _Runs:
-    """Reads sorted rows batch by batch; columns come as arrays, with a mask of the rows that begin a name."""
+def _differ(x: np.ndarray, first: np.ndarray) -> np.ndarray:
+    """Whether a run holds more than one value."""
+    return np.minimum.reduceat(x, first) != np.maximum.reduceat(x, first)
 
-    def __init__(self, width: int) -> None:
-        self.width, self.last = width, None
 
-    def __call__(self, batch: pa.RecordBatch) -> tuple[list[np.ndarray], np.ndarray, np.ndarray]:
-        cols = [batch.column(i).to_numpy() for i in range(self.width)]
-        new, once = _starts(*cols[:2]), _starts(*cols[:5])
-        if self.last is not None:
-            new[0] = any(c[0] != v for c, v in zip(cols[:2], self.last, strict=False))
-            once[0] = any(c[0] != v for c, v in zip(cols[:5], self.last, strict=False))
-        self.last = [c[-1] for c in cols]
-        return cols, new, once
+def settle_later(a: np.ndarray, b: np.ndarray, doc: np.ndarray, tag: np.ndarray, at: np.ndarray, more: np.ndarray | None = None) -> pa.RecordBatch:
+    """The rows to sort for "does an earlier document have this name": later ones of the batch are settled."""
+    cols = _by_name(a, b, doc, tag, at, *([] if more is None else [more]))
+    starts = _starts(*cols[:2])
+    first, run = np.flatnonzero(starts), np.cumsum(starts) - 1
+    none = cols[4] & _NULL
+    low = np.minimum.reduceat(cols[2], first)[run]
+    # among rows of the largest number, those with an id come before those without
+    low_none = np.minimum.reduceat(np.where(cols[2] == low, none, _NULL), first)[run]
+    later = (cols[2] > low) | (none > low_none)
+    return _sent(cols[:5], ~later, *cols[5:])
 
 
 def repeated(rows: DataFrame) -> DataFrame:
     """doc, tag, at of the rows (from settle_repeated) whose name a second document has."""
-    ordered = rows.repartition("a", "b").sortWithinPartitions("a", "b", "doc", "at", "tag")
+    ordered = rows.select("a", "doc", "tag", "at", "also").repartition("a").sortWithinPartitions("a")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        read, held, several = _Runs(5), None, False
+        held, several, last = None, False, None
         for batch in batches:
             if not batch.num_rows:
                 continue
-            cols, new, once = read(batch)
+            cols = [batch.column(i).to_numpy(zero_copy_only=False) for i in range(5)]
+            new = _starts(cols[0])
+            new[0] = last is None or cols[0][0] != last
+            last = cols[0][-1]
             if held is not None:  # the rows of the one document that the open run has shown so far
-                cols, new, once = [np.r_[h, c] for h, c in zip(held, cols, strict=True)], np.r_[np.zeros(len(held[0]), bool), new], np.r_[np.ones(len(held[0]), bool), once]
-                held = None
-            doc, tag, at = cols[2:]
+                cols, new = [np.r_[h, c] for h, c in zip(held, cols, strict=True)], np.r_[np.zeros(len(held[0]), bool), new]
+            a, doc, tag, at, also = cols
             first = np.flatnonzero(np.r_[True, new[1:]])
-            none = at & _NULL
-            many = (np.minimum.reduceat(doc, first) != np.maximum.reduceat(doc, first)) | (np.minimum.reduceat(none, first) != np.maximum.reduceat(none, first))
-            many |= np.bitwise_or.reduceat(at, first) & _MARK != 0
+            many = _differ(doc, first) | _differ(at & _NULL, first) | (np.bitwise_or.reduceat(at, first) & _MARK != 0)
             if not new[0]:
                 many[0] |= several
             several = bool(many[-1])
-            size = np.diff(np.r_[first, len(doc)])
-            keep = (np.repeat(many, size) | (at & _DONE != 0)) & (at & _MARK == 0) & once
-            if not several:
-                held = [c[first[-1] :][once[first[-1] :] & (at[first[-1] :] & _DONE == 0)] for c in cols]
-                held = held if len(held[0]) else None
-            yield pa.RecordBatch.from_arrays([pa.array(doc[keep]), pa.array(tag[keep]), pa.array(at[keep] & ~_DONE)], ["doc", "tag", "at"])
+            settled = at & _DONE != 0
+            keep = (np.repeat(many, np.diff(np.r_[first, len(a)])) | settled) & (at & _MARK == 0)
+            held = None if several else [c[first[-1] :][~settled[first[-1] :]] for c in cols]
+            _, _, doc, tag, at = _opened([a[keep], a[keep], doc[keep], tag[keep], at[keep]], also[keep])
+            yield pa.RecordBatch.from_arrays([pa.array(doc), pa.array(tag), pa.array(at & ~_DONE)], ["doc", "tag", "at"])
 
     return ordered.mapInArrow(run, "doc long, tag long, at long")
 
 
-def _judge(read: _Runs, state: list, batch: pa.RecordBatch) -> tuple[list[np.ndarray], np.ndarray]:
-    """Columns of the batch (each row once) and which rows an earlier document precedes in their run."""
-    cols, new, once = read(batch)
-    none = cols[4] & _NULL
-    run = np.cumsum(new)
-    low, low_none = np.r_[state[0], cols[2][new]], np.r_[state[1], none[new]]
-    later = (cols[2] > low[run]) | (none > low_none[run]) | (cols[4] & _DONE != 0)
-    state[:] = [low[-1], low_none[-1]]
-    return [c[once] for c in cols], later[once]
+class _Judge:
+    """Reads sorted rows batch by batch: the columns with all places, and which rows an earlier document precedes in their run."""
+
+    def __init__(self) -> None:
+        self.last, self.low = None, [0, 0]
+
+    def __call__(self, batch: pa.RecordBatch) -> tuple[list[np.ndarray], np.ndarray]:
+        cols = [c.to_numpy(zero_copy_only=False) for c in batch.columns]
+        also = cols.pop(5)
+        new = _starts(*cols[:2])
+        new[0] = self.last is None or (cols[0][0], cols[1][0]) != self.last
+        self.last = (cols[0][-1], cols[1][-1])
+        none = cols[4] & _NULL
+        run = np.cumsum(new)
+        low, low_none = np.r_[self.low[0], cols[2][new]], np.r_[self.low[1], none[new]]
+        self.low = [low[-1], low_none[-1]]
+        later = (cols[2] > low[run]) | (none > low_none[run]) | (cols[4] & _DONE != 0)
+        out = _opened([*cols, later], also)
+        return out[:-1], out[-1]
+
+
+def _ordered(rows: DataFrame) -> DataFrame:
+    """By name, then document; a null id has the largest number and a place beyond all others, so it comes last."""
+    return rows.repartition("a", "b").sortWithinPartitions("a", "b", "doc", "at")
 
 
 def anchor_rows(docs: DataFrame, n: int, k: int) -> DataFrame:
@@ -312,33 +337,32 @@ def context_rows(docs: DataFrame, places: DataFrame, n: int, k: int) -> DataFram
                 yield settle_later(*(np.concatenate(x) for x in zip(*parts, strict=True)))
                 parts, held = [], 0
 
-    return _with_places(docs, places).mapInArrow(run, _ROWS + ", more long")
+    return _with_places(docs, places).mapInArrow(run, f"{_ROWS}, more long")
 
 
 def judged_contexts(contexts: DataFrame, n: int, k: int) -> DataFrame:
     """kind, and rows: kind 0 are places of contexts that an earlier document has, kind 1 the sides of the others, to be ranked."""
-    ordered = contexts.repartition("a", "b").sortWithinPartitions("a", "b", "doc", "at", "tag")
     room = n - k
     half = (room + 1) // 2
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        read, state = _Runs(6), [0, 0]
+        judge = _Judge()
         for batch in batches:
             if not batch.num_rows:
                 continue
-            (a, _, doc, tag, at, more), gone = _judge(read, state, batch)
-            zero = np.zeros(int(gone.sum()), np.int64)
-            yield _rows(zero, zero, doc[gone], tag[gone], at[gone] & ~_DONE).add_column(0, "kind", pa.array(np.zeros(len(zero), np.int32)))
+            (a, _, doc, tag, at, more), gone = judge(batch)
+            yield pa.RecordBatch.from_arrays([pa.array(np.zeros(int(gone.sum()), np.int32)), *(pa.nulls(int(gone.sum()), pa.int64()),) * 2, pa.array(doc[gone]), pa.array(tag[gone]), pa.array(at[gone] & ~_DONE), pa.nulls(int(gone.sum()), pa.binary())], ["kind", "a", "b", "doc", "tag", "at", "also"])
             a, doc, tag, at, more = (x[~gone] for x in (a, doc, tag, at, more))
             w, back = (at >> _W) & 63, at & 63
             sides = []
             for side, has, bits in ((0, back - w <= room - half, more.view(np.uint64) >> np.uint64(32)), (1, back >= half, more.view(np.uint64) & np.uint64(0xFFFFFFFF))):
-                sides.append((a[has].view(np.uint64), (bits[has] << np.uint64(1)) | np.uint64(side), doc[has], tag[has], at[has] | side * _SIDE))
+                name = mix(a[has].view(np.uint64) * _BASE + ((bits[has] << np.uint64(1)) | np.uint64(side)))
+                sides.append((name, np.zeros(len(name), np.uint64), doc[has], tag[has], at[has] | side * _SIDE))
             if any(len(x[0]) for x in sides):
                 out = settle_repeated(*(np.concatenate(x) for x in zip(*sides, strict=True)))
                 yield out.add_column(0, "kind", pa.array(np.ones(out.num_rows, np.int32)))
 
-    return ordered.mapInArrow(run, f"kind int, {_ROWS}")
+    return _ordered(contexts).mapInArrow(run, f"kind int, {_ROWS}")
 
 
 def window_rows(docs: DataFrame, places: DataFrame, n: int, k: int) -> DataFrame:
@@ -374,20 +398,18 @@ def window_rows(docs: DataFrame, places: DataFrame, n: int, k: int) -> DataFrame
 
 def later_of_equal_names(rows: DataFrame) -> DataFrame:
     """doc, tag, at of the rows (from settle_later) whose name also stands in a row of a smaller document."""
-    ordered = rows.repartition("a", "b").sortWithinPartitions("a", "b", "doc", "at", "tag")
-
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        read, state = _Runs(5), [0, 0]
+        judge = _Judge()
         for batch in batches:
             if batch.num_rows:
-                (_, _, doc, tag, at), gone = _judge(read, state, batch)
+                (_, _, doc, tag, at), gone = judge(batch)
                 yield pa.RecordBatch.from_arrays([pa.array(doc[gone]), pa.array(tag[gone]), pa.array(at[gone] & ~_DONE)], ["doc", "tag", "at"])
 
-    return ordered.mapInArrow(run, "doc long, tag long, at long")
+    return _ordered(rows).mapInArrow(run, "doc long, tag long, at long")
 
 
 def repeated_strings(docs: DataFrame, n: int = 50, k: int | None = None) -> DataFrame:
-    """doc, tag, at: the window ranges to remove, from rows doc, tag, none, text."""
+    """doc, tag, at: the window ranges to remove, from rows doc, tag, none, text whose (doc, tag) are distinct."""
     k = k or max(1, min(n // 2, max(K, -(-n // 3))))
     if n < 2 or n - k > min(62, 2 * k):
         raise ValueError("n is at least 2, n - k at most 62 and at most 2 k")
@@ -396,7 +418,7 @@ def repeated_strings(docs: DataFrame, n: int = 50, k: int | None = None) -> Data
     judged = materialise(judged_contexts(context_rows(docs, anchors, n, k), n, k), "contexts")
     discard(anchors)
     whole = judged.where("kind = 0").select("doc", "tag", "at")
-    sides = materialise(repeated(judged.where("kind = 1").drop("kind")), "sides")
+    sides = materialise(repeated(judged.where("kind = 1")), "sides")
     gone = materialise(whole.unionByName(later_of_equal_names(window_rows(docs, sides, n, k))), "spans")
     discard(judged)
     discard(sides)
@@ -405,8 +427,8 @@ def repeated_strings(docs: DataFrame, n: int = 50, k: int | None = None) -> Data
 
 def remove_repeats(documents: DataFrame, n: int = 50, key: str = "doc_id", text: str = "text", with_text: bool = False) -> DataFrame:
     """``key``, n_bytes, n_removed, n_spans, kept_sha256 of every row (and the kept bytes)."""
-    docs = _documents(documents, key, text)
-    spans = repeated_strings(docs, n).groupBy("doc", "tag").agg(F.collect_list("at").alias("gone"))
+    docs, once = _documents(documents, key, text)
+    spans = repeated_strings(once, n).groupBy("doc", "tag").agg(F.collect_list("at").alias("gone"))
     base = docs.join(spans, ["doc", "tag"], "left").select(F.when(~F.col("none"), F.col("doc")).alias("doc"), "text", "gone")
     schema = f"`{key}` long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", kept binary" * with_text
 

@@ -40,6 +40,7 @@ def test_repeats_of_random_texts(spark, n, seed):
     alphabet = "ab" if n < 50 else "abcdé"
     parts = ["".join(rng.choice(alphabet) for _ in range(rng.randrange(2, 3 * n))) for _ in range(12)]
     rows = [(i, "".join(rng.choice(parts) for _ in range(rng.randrange(6)))) for i in range(25)]
+    rows += [(50 + i, "=" * (40 * i) + "ab" * 90 + parts[0] * 9) for i in range(4)]
     rows += [(7, rows[7][1]), (None, rows[3][1]), (None, None), (40, ""), (41, rows[5][1] + "x"), (41, "y" + rows[5][1]), (90, "ab" * 3000)]
     df = spark.createDataFrame([(i, t, "clash") for i, t in rows], DOCS).repartition(5)
     got = sorted((tuple(r) for r in suffix_dedup.remove_repeats(df, n=n).collect()), key=str)
@@ -88,7 +89,7 @@ def test_rounds_settle_names_across_batches(spark, parts):
 
     def sent(settle):
         made = [settle(*_names(r)).to_pylist() for r in some]
-        return spark.createDataFrame([tuple(r[c] for c in ("a", "b", "doc", "tag", "at")) for m in made for r in m], suffix_dedup._ROWS)
+        return spark.createDataFrame([tuple(r[c] for c in ("a", "b", "doc", "tag", "at", "also")) for m in made for r in m], suffix_dedup._ROWS)
 
     docs_of = {a: {r[2] for r in rows if r[0] == a} for a, *_ in rows}
     told = {(r.doc, r.at) for r in suffix_dedup.repeated(sent(suffix_dedup.settle_repeated)).collect()}
