@@ -4,12 +4,12 @@ A byte goes if it lies in a string of ``n`` bytes that also starts in a document
 with a smaller id.  The rank of a position is the name of the bytes that follow
 it; every round names longer strings by pairs of ranks at an offset, Spark sorts
 the pairs with the document id, and positions whose name no other document has
-leave.  For 50 bytes the lengths are 24, then 37, then 50, the last offsets
-overlapping (rank 37 at p is the pair of ranks 24 at p and p + 13, rank 50 the
-pair of ranks 37 at p and p + 13):
+leave.  For 50 bytes the lengths are 18, then 34, then 50, the last offsets
+overlapping (rank 34 at p is the pair of ranks 18 at p and p + 16, rank 50 the
+pair of ranks 34 at p and p + 16):
 
 1. Rank ``k``.  Every window of ``n`` bytes contains the smallest of its
-   ``k``-grams by hash, its anchor (about one position in fourteen is one).  A
+   ``k``-grams by hash, its anchor (about one position in seventeen is one).  A
    window repeats only if its anchor does, so only anchors are ranked at first.
 2. Whole contexts.  All windows of an anchor span a context of at most
    ``2 n - k`` bytes, named by the ranks ``k`` that cover it.  Of the sorted
@@ -48,7 +48,7 @@ from blocksketch.llm.common import discard, materialise, mix, row_runs, ship, te
 
 RUN_BYTES = 1 << 18
 #: Length of the anchors' grams for windows of 50 bytes.
-K = 24
+K = 18
 #: Rows that a task of a text scan gathers before it settles and sends them.
 MOST_HELD = 300_000
 _BASE = np.uint64(0x9E3779B97F4A7C15)
