@@ -47,11 +47,24 @@ class DrawBlocks:
             yield trial, int(u * k)
 
 
+@F.udtf(returnType="block_id int, r long")
+class Replicas:
+    """bs_replicas(p, m): counts of m servers by whole shares, then largest remainders; blocks from 0."""
+
+    def eval(self, p: list, m: int) -> Iterator[tuple[int, int]]:
+        whole = [int(v * m + 1e-12) for v in p]
+        order = sorted(range(len(p)), key=lambda i: (whole[i] - p[i] * m, i))
+        more = set(order[: m - sum(whole)])
+        for i, r in enumerate(whole):
+            yield i, r + (i in more)
+
+
 def register(spark: SparkSession) -> None:
-    """Registers bs_dot, bs_hash_uniform, bs_gram, bs_solve and the table function bs_draw."""
+    """Registers bs_dot, bs_hash_uniform, bs_gram, bs_solve and the table functions bs_draw and bs_replicas."""
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION bs_dot(a ARRAY<DOUBLE>, b ARRAY<DOUBLE>) RETURNS DOUBLE RETURN aggregate(zip_with(a, b, (x, y) -> x * y), 0D, (s, v) -> s + v)")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION bs_axpy(c DOUBLE, a ARRAY<DOUBLE>, b ARRAY<DOUBLE>) RETURNS ARRAY<DOUBLE> RETURN zip_with(a, b, (x, y) -> c * x + y)")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION bs_hash_uniform(s STRING) RETURNS DOUBLE RETURN cast(conv(substring(md5(s), 1, 8), 16, 10) AS BIGINT) / 4294967296D")
     spark.udf.register("bs_gram", gram_udaf)
     spark.udf.register("bs_solve", solve_udf)
     spark.udtf.register("bs_draw", DrawBlocks)
+    spark.udtf.register("bs_replicas", Replicas)

@@ -18,6 +18,7 @@ from pyspark.sql import functions as F
 from blocksketch.functions.core import hash_uniform
 from blocksketch.operators import gradients, network, sampling
 from blocksketch.operators.stats import Total, unpack
+from blocksketch.plans.rewrites import small
 
 Step = Callable[[int, np.ndarray, np.ndarray, float, float], float]
 
@@ -46,9 +47,9 @@ def safe_step(total: Total, share: float = 0.5) -> Step:
     return fixed_step(share / total.spectrum()["sigma_max"] ** 2)
 
 
-def diminishing_step(xi: float, power: float = 0.5) -> Step:
-    """xi / (s+1)^power: 0.5 for a vanishing regret, 1 for the 1/(eta s) rule."""
-    return lambda s, x, g, along, length: xi / (s + 1) ** power
+def diminishing_step(xi: float, power: float = 0.5, shift: float = 1.0) -> Step:
+    """xi / (s+shift)^power: 0.5 for a vanishing regret, 1 for the 1/(eta s) rule; a shift keeps first steps stable."""
+    return lambda s, x, g, along, length: xi / (s + shift) ** power
 
 
 def line_search() -> Step:
@@ -183,20 +184,31 @@ def sketch_totals(stats: DataFrame, weights: DataFrame, d: int) -> list[Total]:
     return [Total(unpack(r["gram"], d), np.array(r["atb"]), r["btb"], 0) for r in rows]
 
 
-def coded_descent(design: DataFrame, dist: DataFrame, law: DataFrame, m: int, x0: Sequence[float], step: Step, stop: Stop, seed: int, q: int | None = None, ending: float | None = None, late_servers: Sequence[int] = ()) -> tuple[Trace, DataFrame]:
+def many_runs(total: Total, sketches: Sequence[Total] | None, x0: Sequence[float], step: Step, steps: int, runs: int) -> np.ndarray:
+    """runs x (steps + 1) x d iterates; run r takes the sketches r steps .. (r+1) steps - 1."""
+    made = []
+    for r in range(runs):
+        mine = None if sketches is None else sketches[r * steps : (r + 1) * steps]
+        made.append(descend_on_stats(total, mine, x0, step, Stop(steps)).xs)
+    return np.array(made)
+
+
+def coded_descent(design: DataFrame, dist: DataFrame, law: DataFrame, m: int, x0: Sequence[float], step: Step, stop: Stop, seed: int, q: int | None = None, ending: float | None = None, late_servers: Sequence[int] = (), counts: DataFrame | None = None) -> tuple[Trace, DataFrame]:
     """The whole procedure: counts from scores, servers, replies, weights, descent.
 
-    Waits for the q fastest, or for all replies up to ``ending``.  Returns the
-    trace and the weights used.
+    ``counts`` (block_id, r, summing to m) may come from any rule, such as
+    ``network.channel_counts``; the exact apportionment is the default.  Waits
+    for the q fastest, or for all replies up to ``ending``.  Returns the trace
+    and the weights used.
     """
     if (q is None) == (ending is None):
         raise ValueError("give q or ending")
-    counts = network.apportion_exact(dist, m)
+    counts = network.apportion_exact(dist, m) if counts is None else counts
     servers = network.allocate(counts)
     replies = network.simulate_responses(servers, law, stop.iterations, seed, late_servers)
     came = sampling.draw_fastest(replies, q) if q else sampling.draw_deadline(replies, ending)
     share = counts.select("block_id", (F.col("r") / F.lit(float(m))).alias("p"))
-    used = sampling.weights(came.join(F.broadcast(share), "block_id"), q)
+    used = sampling.weights(came.join(small(share), "block_id"), q)
     return sketched_descent(design, x0, step, stop, used), used
 
 

@@ -12,6 +12,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from blocksketch.functions.core import dot, hash_normal
+from blocksketch.sources.tables import stored
 
 
 def design_matrix(df: DataFrame, features: Sequence[Column], label: Column, row_id: Column, block_id: Column | None = None, intercept: bool = True, on_null: str = "error") -> DataFrame:
@@ -58,33 +59,39 @@ def block_of_position(pos: Column, n: int, k: int) -> Column:
     return F.when(pos < extra * (small + 1), head).otherwise(tail).cast("int")
 
 
-def number_rows(df: DataFrame, keys: Sequence[str], cuts: int = 32, name: str = "pos") -> DataFrame:
+def number_rows(df: DataFrame, keys: Sequence[str], name: str = "pos", rows_per_range: int = 1_000_000) -> DataFrame:
     """Adds the row's position in the order of ``keys``, without a single-task window.
 
-    Quantiles of the leading key become literal cut points, so the numbering is
-    the same however often the plan is run; rows are numbered inside each range
-    and shifted by the counts of lower ranges.  The leading key should have many
-    values: rows that share one are numbered by one task.
+    Rows are dealt by ranges of all keys together, as many as the counted rows
+    ask for, so one value of the leading key may fill many ranges.  Each range
+    is sorted and numbered as it is written; the stored numbers are then shifted
+    by the counts of lower ranges, one row per range.
     """
-    lead = keys[0]
-    points = df.approxQuantile(lead, [i / cuts for i in range(1, cuts)], 0.001) if dict(df.dtypes)[lead] != "string" else []
-    points = sorted(set(points))
-    place = F.lit(0)
-    for p in points:
-        place = place + (F.col(lead) > F.lit(p)).cast("int")
-    ranged = df.withColumn("_range", place)
-    counts = sorted((r["_range"], r["n"]) for r in ranged.groupBy("_range").agg(F.count("*").alias("n")).collect())  # at most `cuts` rows
+    ranges = max(1, df.count() // rows_per_range)
+    local = F.monotonically_increasing_id().bitwiseAND(F.lit((1 << 33) - 1))  # the row's number in its partition
+    dealt = stored(df.repartitionByRange(ranges, *keys).sortWithinPartitions(*keys).withColumns({"_range": F.spark_partition_id(), "_r": local}), "numbered")
     before, rows = 0, []
-    for r, n in counts:
+    for r, n in sorted(tuple(x) for x in dealt.groupBy("_range").agg(F.count("*").alias("n")).collect()):  # one row per range
         rows.append((r, before))
         before += n
     offsets = df.sparkSession.createDataFrame(rows, "_range int, _before long")
-    w = Window.partitionBy("_range").orderBy(*keys)
-    numbered = ranged.withColumn("_r", F.row_number().over(w)).join(F.broadcast(offsets), "_range")
-    return numbered.withColumn(name, F.col("_before") + F.col("_r") - 1).drop("_range", "_before", "_r")
+    return dealt.join(F.broadcast(offsets), "_range").withColumn(name, F.col("_before") + F.col("_r")).drop("_range", "_before", "_r")
 
 
-def assign_blocks(design: DataFrame, k: int, how: str = "contiguous", keys: Sequence[str] = ("row_id",), cuts: int = 32) -> DataFrame:
+def running_total(df: DataFrame, key: str, value: str, name: str, keys_per_range: int = 1_000_000) -> DataFrame:
+    """``df`` (one row per ``key``) with the sum of ``value`` up to and including the key, by ranges as in number_rows."""
+    ranges = max(1, df.count() // keys_per_range)
+    dealt = stored(df.repartitionByRange(ranges, key).withColumn("_range", F.spark_partition_id()), "ranges")
+    before, rows = 0, []
+    for r, n in sorted(tuple(x) for x in dealt.groupBy("_range").agg(F.sum(value).alias("n")).collect()):  # one row per range
+        rows.append((r, before))
+        before += n
+    offsets = df.sparkSession.createDataFrame(rows, f"_range int, _before {dict(dealt.groupBy('_range').agg(F.sum(value).alias('n')).dtypes)['n']}")
+    inside = F.sum(value).over(Window.partitionBy("_range").orderBy(key))
+    return dealt.join(F.broadcast(offsets), "_range").withColumn(name, F.col("_before") + inside).drop("_range", "_before")
+
+
+def assign_blocks(design: DataFrame, k: int, how: str = "contiguous", keys: Sequence[str] = ("row_id",)) -> DataFrame:
     """Replaces block_id by near-equal contiguous blocks, a hash, a key modulus or value ranges.
 
     ``contiguous``: exact near-equal sizes in the order of ``keys``;
@@ -95,7 +102,7 @@ def assign_blocks(design: DataFrame, k: int, how: str = "contiguous", keys: Sequ
         raise ValueError("k >= 1")
     if how == "contiguous":
         n = design.count()
-        numbered = number_rows(design, keys, cuts)
+        numbered = number_rows(design, keys)
         return numbered.withColumn("block_id", block_of_position(F.col("pos"), n, k)).drop("pos")
     if how == "hash":
         from blocksketch.functions.core import hash_int

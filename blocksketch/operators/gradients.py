@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 
 from blocksketch.functions.core import dot
 from blocksketch.operators.stats import packed
+from blocksketch.plans.rewrites import small
 
 BY_BLOCK = ("block_id",)
 
@@ -42,7 +43,7 @@ def gradient(design: DataFrame, x: Sequence[float]) -> DataFrame:
 def encoded_partials(design: DataFrame, x: Sequence[float], encoded: DataFrame) -> DataFrame:
     """Blocks' gradients times scale^2 = 1/(q p): what a worker sends; nothing is left to decode."""
     parts = partial_gradients(design, x)
-    return parts.join(F.broadcast(encoded.select("block_id", "scale")), "block_id").select("block_id", F.transform("g", lambda v: v * F.col("scale") * F.col("scale")).alias("g"))
+    return parts.join(small(encoded.select("block_id", "scale")), "block_id").select("block_id", F.transform("g", lambda v: v * F.col("scale") * F.col("scale")).alias("g"))
 
 
 def sketched_gradient(design: DataFrame, x: Sequence[float], weights: DataFrame, by: Sequence[str] = ("iteration",), step_sums: bool = False) -> DataFrame:
@@ -52,7 +53,7 @@ def sketched_gradient(design: DataFrame, x: Sequence[float], weights: DataFrame,
     broadcast, so blocks that were not drawn are dropped in the scan's stage.
     """
     d = len(x)
-    rows = design.join(F.broadcast(weights), "block_id").withColumn("_e", 2.0 * residual(x) * F.col("w"))
+    rows = design.join(small(weights), "block_id").withColumn("_e", 2.0 * residual(x) * F.col("w"))
     extra = [F.count("*").alias("rows_read"), F.count_distinct("block_id").alias("blocks_read")] if step_sums else []
     sums = rows.groupBy(*by).agg(*[F.sum(F.col("_e") * F.get("features", F.lit(i))).alias(f"g{i}") for i in range(d)], *extra)
     return sums.select(*by, F.array(*[f"g{i}" for i in range(d)]).alias("g"), *(["rows_read", "blocks_read"] if step_sums else []))
@@ -60,7 +61,7 @@ def sketched_gradient(design: DataFrame, x: Sequence[float], weights: DataFrame,
 
 def sketched_hessian(stats: DataFrame, weights: DataFrame, d: int) -> DataFrame:
     """iteration, h (packed): 2 A'S'SA from block statistics."""
-    both = stats.join(F.broadcast(weights), "block_id")
+    both = stats.join(small(weights), "block_id")
     m = len(packed(d))
     sums = both.groupBy("iteration").agg(*[F.sum(2.0 * F.col("w") * F.get("gram", F.lit(k))).alias(f"h{k}") for k in range(m)])
     return sums.select("iteration", F.array(*[f"h{k}" for k in range(m)]).alias("h"))
@@ -75,5 +76,5 @@ def line_sums(design: DataFrame, x: Sequence[float], direction: Sequence[float])
 def encoded_objective(design: DataFrame, x: Sequence[float], encoded: DataFrame, expanded: bool = False) -> DataFrame:
     """||G(Ax - b)||^2 of the encoded blocks, or of all replicas when ``expanded``."""
     times = F.col("r") if expanded else F.lit(1)
-    rows = design.join(F.broadcast(encoded), "block_id")
+    rows = design.join(small(encoded), "block_id")
     return rows.agg(F.sum(F.col("scale") * F.col("scale") * times * F.pow(residual(x), 2)).alias("objective"))

@@ -1,6 +1,7 @@
 """Replica design for a network of workers of which some are late, and its simulation.
 
-All tables have a row per block or per worker; none grows with the data.
+Tables have a row per block or per worker, but for an empirical law, which has a
+row per distinct runtime and is summed by ranges.
 """
 
 from __future__ import annotations
@@ -13,15 +14,18 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from blocksketch.functions.core import half_up, hash_uniform
+from blocksketch.operators.design import running_total
+from blocksketch.plans.rewrites import small
 
 Law = Callable[[float], float]
 
 
 def runtime_law(df: DataFrame, col: str) -> DataFrame:
-    """Empirical law t, cdf of a column; distinct values, counted before they are ordered."""
+    """Empirical law t, cdf of a column; distinct values, counted before they are ordered and summed by ranges."""
     counts = df.where(F.col(col).isNotNull()).groupBy(F.col(col).cast("double").alias("t")).agg(F.count("*").alias("n"))
-    w = Window.orderBy("t")
-    return counts.select("t", (F.sum("n").over(w) / F.sum("n").over(Window.partitionBy())).alias("cdf"))
+    summed = running_total(counts, "t", "n", "upto")
+    total = summed.agg(F.max("upto")).first()[0] or 1
+    return summed.select("t", (F.col("upto") / F.lit(total)).alias("cdf"))
 
 
 def runtime_law_sketch(df: DataFrame, col: str, points: int = 1000) -> DataFrame:
@@ -189,7 +193,7 @@ def encoding(counts: DataFrame, q: int) -> DataFrame:
 
 def expand(design: DataFrame, counts: DataFrame, q: int) -> DataFrame:
     """The expanded, encoded problem written out (tests only: in work replicas stay metadata)."""
-    held = F.broadcast(encoding(counts, q))
+    held = small(encoding(counts, q))
     rows = design.join(held, "block_id").withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("r"))))
     return rows.select("row_id", "block_id", "copy", F.transform("features", lambda v: v * F.col("scale")).alias("features"), (F.col("label") * F.col("scale")).alias("label"))
 
@@ -203,29 +207,65 @@ def simulate_responses(allocation: DataFrame, law: DataFrame, iterations: int, s
     steps = spark.range(iterations).select(F.col("id").cast("int").alias("iteration"))
     work = allocation.where(~F.col("server_id").isin([int(s) for s in late_servers])) if late_servers else allocation
     each = work.crossJoin(steps).withColumn("u", hash_uniform(f"reply{seed}", F.col("iteration"), F.col("server_id")))  # m x S rows
-    w = Window.orderBy("t")
-    cdf = law.select("t", F.coalesce(F.lag("cdf").over(w), F.lit(0.0)).alias("lo"), "cdf")
+    # the step of the law below t, without ordering all of it in one task: laws stay sorted by their own cdf
+    cdf = _with_lower(law)
     bins = 1024
     spread = cdf.withColumn("bin", F.explode(F.sequence(F.floor(F.col("lo") * bins), F.least(F.floor(F.col("cdf") * bins), F.lit(bins - 1)))))
     found = each.withColumn("bin", F.floor(F.col("u") * bins)).join(spread, "bin").where((F.col("u") >= F.col("lo")) & (F.col("u") < F.col("cdf")))
     return found.select("iteration", "server_id", "block_id", "t")
 
 
-def design_network(scores_for: Callable[[int], tuple[DataFrame, DataFrame | None]], df: DataFrame, col: str, ending: float, m: int, candidates: Sequence[int]) -> list[dict[str, float]]:
-    """For each number of blocks: q, beta, d and Delta of the exact apportionment of m servers.
+def _with_lower(law: DataFrame) -> DataFrame:
+    """t, lo, cdf: every value with the law just below it.
 
-    ``scores_for(k)`` gives the distribution over k blocks.
+    The rows meet on 1/4096 bins of the law; a bin's first row takes the highest
+    value of lower bins, of which there is one number per bin.
+    """
+    binned = law.withColumn("_bin", F.floor(F.col("cdf") * 4096))
+    tops = sorted((r["_bin"], r["top"]) for r in binned.groupBy("_bin").agg(F.max("cdf").alias("top")).collect())  # at most 4097 rows
+    before = [(b, tops[i - 1][1] if i else 0.0) for i, (b, _) in enumerate(tops)]
+    held = law.sparkSession.createDataFrame(before, "_bin long, _below double")
+    inside = F.lag("cdf").over(Window.partitionBy("_bin").orderBy("t"))
+    return binned.join(F.broadcast(held), "_bin").select("t", F.coalesce(inside, F.col("_below")).alias("lo"), "cdf")
+
+
+def channel_counts(dist: DataFrame, phi: float, m: int, form: str = "scaled") -> DataFrame:
+    """block_id, p, r: replica counts of the channel rule at ``phi``, then moved step by step until they sum to m.
+
+    ``form`` says what the rule's real counts become before: ``literal`` rounds
+    them, ``multiple`` takes copies of the rounded ones, ``scaled`` scales them
+    to about m.  K rows are adjusted on the driver.
+    """
+    made = {"literal": lambda: replicas_channel(dist, phi), "multiple": lambda: replicas_multiple(dist, phi, m), "scaled": lambda: replicas_channel_scaled(dist, phi, m)}
+    if form not in made:
+        raise ValueError(f"form is one of {sorted(made)}")
+    rows = sorted((r["block_id"], r["p"], r["r"]) for r in made[form]().select("block_id", "p", "r").collect())
+    counts = adjust_replicas([p for _, p, _ in rows], [r for *_, r in rows], m)
+    return dist.sparkSession.createDataFrame([(b, p, int(r)) for (b, p, _), r in zip(rows, counts, strict=True)], "block_id int, p double, r long")
+
+
+def design_network(scores_for: Callable[[int], DataFrame], df: DataFrame, col: str, ending: float, m: int, candidates: Sequence[int], form: str = "literal") -> list[dict[str, float]]:
+    """For each number of blocks: total of the channel rule's own counts, then q, beta, d and Delta of the adjusted ones.
+
+    ``scores_for(k)`` gives the distribution over k blocks.  ``chosen`` marks
+    the number of blocks whose counts come closest to m before any adjustment,
+    ties to fewer blocks; of more blocks than servers none can be chosen.
     """
     from blocksketch.operators import distances
 
     r = replies_by(df, col, [ending], m).first()
+    phi = min(max(r["phi"], 1e-9), 1 - 1e-9)
     out = []
     for k in candidates:
+        if k > m:
+            continue
         dist = scores_for(k)
-        counts = apportion_exact(dist, m)
+        rule = replicas_channel(dist, phi).agg(F.sum("r")).first()[0]
+        counts = channel_counts(dist, phi, m, form)
         share = counts.withColumn("p", F.col("r") / F.lit(float(m)))
         beta = distances.misestimation(dist, share).first()["beta"]
         d = distances.distortion(dist, counts).first()["d"]
-        delta = distances.channel_distortion(dist, counts, min(max(r["phi"], 1e-9), 1 - 1e-9)).first()["delta"]
-        out.append({"k": k, "q": r["q"], "beta": beta, "d": d, "delta": delta})
-    return out
+        delta = distances.channel_distortion(dist, counts, phi).first()["delta"]
+        out.append({"k": k, "rule_total": rule, "q": r["q"], "beta": beta, "d": d, "delta": delta})
+    best = min(out, key=lambda x: (abs(x["rule_total"] - m), x["k"]), default=None)
+    return [x | {"chosen": x is best} for x in out]

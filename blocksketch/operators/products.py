@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 
 from blocksketch.operators import network, sampling, scores
 from blocksketch.operators.stats import Total
+from blocksketch.plans.rewrites import small
 
 
 def product_scores(a: DataFrame, b: DataFrame, la: int, lb: int) -> DataFrame:
@@ -29,9 +30,9 @@ def cr_product(a: DataFrame, b: DataFrame, la: int, lb: int, q: int, seed: int,
     """iteration, i, j, v: A'B from q drawn blocks, each over q p; reads the drawn blocks only."""
     dist = dist if dist is not None else product_scores(a, b, la, lb)
     w = sampling.weights(sampling.draw_blocks(dist, q, iterations, seed), q)
-    drawn = F.broadcast(w.select("block_id").distinct())
+    drawn = small(w.select("block_id").distinct())
     parts = block_products(a.join(drawn, "block_id", "left_semi"), b, la, lb)
-    return parts.join(F.broadcast(w), "block_id").groupBy("iteration", "i", "j").agg(F.sum(F.col("w") * F.col("v")).alias("v"))
+    return parts.join(small(w), "block_id").groupBy("iteration", "i", "j").agg(F.sum(F.col("w") * F.col("v")).alias("v"))
 
 
 def exact_product(a: DataFrame, b: DataFrame, la: int, lb: int) -> DataFrame:
@@ -42,9 +43,9 @@ def coded_cr(a: DataFrame, b: DataFrame, la: int, lb: int, m: int, responses_law
     """The same with replicas on a network: the q fastest servers' blocks, scaled by their own shares."""
     counts = network.apportion_exact(product_scores(a, b, la, lb), m)
     replies = network.simulate_responses(network.allocate(counts), responses_law, 1, seed)
-    share = F.broadcast(counts.select("block_id", (F.col("r") / F.lit(float(m))).alias("p")))
+    share = small(counts.select("block_id", (F.col("r") / F.lit(float(m))).alias("p")))
     w = sampling.weights(sampling.draw_fastest(replies, q).join(share, "block_id"), q)
-    return block_products(a, b, la, lb).join(F.broadcast(w), "block_id").groupBy("i", "j").agg(F.sum(F.col("w") * F.col("v")).alias("v"))
+    return block_products(a, b, la, lb).join(small(w), "block_id").groupBy("i", "j").agg(F.sum(F.col("w") * F.col("v")).alias("v"))
 
 
 def sketched_product(a: DataFrame, b: DataFrame, sketch) -> np.ndarray:

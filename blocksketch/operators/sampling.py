@@ -15,6 +15,7 @@ from pyspark.sql import functions as F
 
 from blocksketch.functions.core import add, dot, hash_uniform
 from blocksketch.operators.stats import Total, packed, unpack
+from blocksketch.plans.rewrites import small
 
 #: Distributions of up to this many blocks meet the draws by a broadcast range join.
 MOST_BROADCAST_BLOCKS = 20_000
@@ -75,21 +76,19 @@ def weights(draws: DataFrame, q: int | None = None) -> DataFrame:
     return draws.groupBy("iteration", "block_id", "p").agg(F.count("*").alias("times"), q_col.alias("q")).select("iteration", "block_id", "times", (F.col("times") / (F.col("q") * F.col("p"))).alias("w"))
 
 
-def _held(weights_: DataFrame) -> DataFrame:
-    return F.broadcast(weights_)  # at most K rows an iteration: metadata, not data
 
 
 def block_sketch(design: DataFrame, draws: DataFrame, q: int) -> DataFrame:
     """Rows of the sketch: drawn blocks (with repeats) scaled by 1/sqrt(q p)."""
     scale = 1 / F.sqrt(q * F.col("p"))
-    held = F.broadcast(draws.select("iteration", "trial", "block_id", "p"))
+    held = small(draws.select("iteration", "trial", "block_id", "p"))
     return design.join(held, "block_id").select("iteration", "trial", "row_id", "block_id", F.transform("features", lambda v: v * scale).alias("features"), (F.col("label") * scale).alias("label"))
 
 
 def weighted_sketch(design: DataFrame, weights_: DataFrame) -> DataFrame:
     """The same sketch with each distinct block once, scaled by sqrt(w)."""
     scale = F.sqrt("w")
-    return design.join(_held(weights_), "block_id").select("iteration", "row_id", "block_id", F.transform("features", lambda v: v * scale).alias("features"), (F.col("label") * scale).alias("label"))
+    return design.join(small(weights_), "block_id").select("iteration", "row_id", "block_id", F.transform("features", lambda v: v * scale).alias("features"), (F.col("label") * scale).alias("label"))
 
 
 def row_sketch(rows: DataFrame, r: int, seed: int) -> DataFrame:
@@ -98,6 +97,21 @@ def row_sketch(rows: DataFrame, r: int, seed: int) -> DataFrame:
     return rows.withColumn("w", 1 / chance).where(hash_uniform(f"row{seed}", F.col("row_id")) < chance)
 
 
+def draw_rows(rows: DataFrame, r: int, iterations: int, seed: int) -> DataFrame:
+    """iteration, trial, row_id, pi, w = 1/(r pi): r draws of single rows with replacement, by ``pi``.
+
+    A draw takes its block by the block's share, then a row inside it, so no
+    running sum goes over all rows: it goes over the rows of one block.
+    """
+    shares = rows.groupBy("block_id").agg(F.sum("pi").alias("p"))
+    draws = draw_blocks(shares, r, iterations, seed).withColumn("v", hash_uniform(f"row{seed}", F.col("iteration"), F.col("trial")) * F.col("p"))
+    inside = Window.partitionBy("block_id").orderBy("row_id")
+    hi = F.sum("pi").over(inside)
+    spans = rows.select("block_id", "row_id", "pi", (hi - F.col("pi")).alias("lo"), F.when(F.lead("row_id").over(inside).isNull(), F.lit(2.0)).otherwise(hi).alias("hi"))
+    found = draws.join(spans, "block_id").where((F.col("v") >= F.col("lo")) & (F.col("v") < F.col("hi")))
+    return found.select("iteration", "trial", "row_id", "pi", (1 / (F.lit(float(r)) * F.col("pi"))).alias("w"))
+
+
 def compression(draws: DataFrame) -> DataFrame:
     """iteration, q, distinct, zeta = q / distinct."""
     return draws.groupBy("iteration").agg(F.count("*").alias("q"), F.count_distinct("block_id").alias("distinct_blocks")).withColumn("zeta", F.col("q") / F.col("distinct_blocks"))
@@ -123,7 +137,7 @@ def hit_probability(dist: DataFrame, q: int) -> DataFrame:
 
 def sketched_stats(stats: DataFrame, weights_: DataFrame, d: int, by: tuple[str, ...] = ("iteration",)) -> DataFrame:
     """``by``, gram, atb, btb of the sketch: weighted sums of K-row statistics."""
-    both = stats.join(_held(weights_), "block_id")
+    both = stats.join(small(weights_), "block_id")
     m = len(packed(d))
     sums = both.groupBy(*by).agg(*[F.sum(F.col("w") * F.get("gram", F.lit(k))).alias(f"g{k}") for k in range(m)], *[F.sum(F.col("w") * F.get("atb", F.lit(k))).alias(f"c{k}") for k in range(d)], F.sum(F.col("w") * F.col("btb")).alias("btb"))
     return sums.select(*by, F.array(*[f"g{k}" for k in range(m)]).alias("gram"), F.array(*[f"c{k}" for k in range(d)]).alias("atb"), "btb")
@@ -153,7 +167,7 @@ def embedding_ratio(design: DataFrame, weights_: DataFrame, probes: Sequence[Seq
     """iteration, probe, ratio = ||S A x||^2 / ||A x||^2 for given vectors, straight from the rows."""
     squares = [F.pow(dot(F.col("features"), x), 2) for x in probes]
     full = design.agg(*[F.sum(s).alias(f"f{i}") for i, s in enumerate(squares)])
-    part = design.join(_held(weights_), "block_id").groupBy("iteration").agg(*[F.sum(F.col("w") * s).alias(f"s{i}") for i, s in enumerate(squares)])
+    part = design.join(small(weights_), "block_id").groupBy("iteration").agg(*[F.sum(F.col("w") * s).alias(f"s{i}") for i, s in enumerate(squares)])
     both = part.crossJoin(F.broadcast(full))  # one row
     ratios = F.array(*[F.struct(F.lit(i).alias("probe"), (F.col(f"s{i}") / F.col(f"f{i}")).alias("ratio")) for i in range(len(probes))])
     return both.select("iteration", F.explode(ratios).alias("x")).select("iteration", "x.probe", "x.ratio")
@@ -180,9 +194,9 @@ def failure_bound(d: int, q: int, eps: float, beta: float = 1.0) -> float:
     return min(1.0, 2 * d * math.exp(-q * eps**2 / (2 * (d / beta - 1 + (1 + d / beta) * eps / 3))))
 
 
-def identity_in_expectation(dist: DataFrame, q: int) -> DataFrame:
-    """Expected weight of each block over all draws: q p / (q p) = 1."""
-    return dist.where("p > 0").select("block_id", (F.lit(float(q)) * F.col("p") / (F.lit(float(q)) * F.col("p"))).alias("expected_weight"))
+def mean_weights(weights_: DataFrame, iterations: int) -> DataFrame:
+    """block_id, mean_weight over real draws: 1 in expectation, as E[S'S] = I says for every block."""
+    return weights_.groupBy("block_id").agg((F.sum("w") / F.lit(float(iterations))).alias("mean_weight"))
 
 
 def sketch_dims(n: int, k: int, q: int, m: int) -> dict[str, float]:

@@ -66,12 +66,19 @@ def block_leverage_by_rows(design: DataFrame, d: int, method: str = "gram") -> D
     return rows.groupBy("block_id").agg(F.sum("leverage").alias("score"), F.sum("pi").alias("p"))
 
 
-def approx_leverage(design: DataFrame, d: int, sketch_rows: int, jl_dim: int, seed: int = 0) -> DataFrame:
-    """Approximate block scores: a hashed signed row sum gives R, a random projection the norms."""
-    bucket = hash_int(f"cs{seed}", F.col("row_id")) % sketch_rows
-    sign = F.when(hash_int(f"sg{seed}", F.col("row_id")) % 2 == 0, 1.0).otherwise(-1.0)
-    sums = design.groupBy(bucket.alias("bucket")).agg(*[F.sum(sign * F.get("features", F.lit(i))).alias(f"s{i}") for i in range(d)])
-    held = np.array([[r[f"s{i}"] for i in range(d)] for r in sums.collect()])  # at most sketch_rows rows
+def approx_leverage(design: DataFrame, d: int, sketch_rows: int, jl_dim: int, seed: int = 0, kind: str = "countsketch") -> DataFrame:
+    """Approximate block scores: a sketch of the rows gives R, a random projection the norms.
+
+    ``kind`` is the sketch: ``countsketch`` (hashed signed row sums, one pass),
+    ``gaussian`` (dense) or ``srht`` (single rows of the Hadamard transform;
+    rows numbered from 0).  ``jl_dim`` 0 takes exact row norms.
+    """
+    from blocksketch.operators import sketches
+
+    made = {"countsketch": lambda: sketches.countsketch(design, d, sketch_rows, seed), "gaussian": lambda: sketches.dense_sketch(design, d, sketch_rows, seed=seed), "srht": lambda: sketches.srht_rows(design, d, sketch_rows, seed)}
+    if kind not in made:
+        raise ValueError(f"kind is one of {sorted(made)}")
+    held = np.array([r["features"] for r in made[kind]().collect()])  # at most sketch_rows rows
     r = np.linalg.qr(held, mode="r")
     rng = np.random.default_rng(seed)
     half = np.linalg.pinv(r) @ (rng.normal(size=(d, jl_dim)) / np.sqrt(jl_dim) if jl_dim else np.eye(d))

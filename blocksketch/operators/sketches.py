@@ -95,32 +95,47 @@ def block_srht(design: DataFrame, d: int, k: int, q: int, seed: int = 0) -> Data
     n = design.agg(F.max("row_id")).first()[0] + 1
     kk = 1 << max(0, (k - 1).bit_length())
     tau = 1 << max(0, (-(-n // kk) - 1).bit_length())
-    rng = np.random.default_rng(seed)
-    drawn = [int(b) for b in rng.integers(0, kk, q)]
-    scale = math.sqrt(kk / q) / math.sqrt(kk * tau)
-    inner = _local_transforms(design, d, tau, seed)
-    outs = design.sparkSession.createDataFrame(list(enumerate(drawn)), "trial int, out int")
-    signed = inner.crossJoin(F.broadcast(outs))  # q metadata rows; partial sums are combined before the shuffle
-    parity = F.when(F.bit_count(F.col("blk").bitwiseAND(F.col("out"))) % 2 == 0, F.lit(scale)).otherwise(F.lit(-scale))
-    sums = signed.groupBy("trial", "i").agg(*[F.sum(parity * F.col(f"v{j}")).alias(f"v{j}") for j in range(d + 1)])
-    return sums.select((F.col("trial") * tau + F.col("i")).alias("sketch_row"), F.array(*[f"v{j}" for j in range(d)]).alias("features"), F.col(f"v{d}").alias("label"))
+    drawn = np.random.default_rng(seed).integers(0, kk, q)
+    # an output block is all its rows: trial t has the sketch rows t tau .. t tau + tau - 1
+    out, i = np.repeat(drawn, tau), np.tile(np.arange(tau), q)
+    return _hadamard_sums(design, d, tau, seed, out, i, math.sqrt(kk / q) / math.sqrt(kk * tau))
+
 
+def _hadamard_sums(design: DataFrame, d: int, tau: int, seed: int, out: np.ndarray, i: np.ndarray, scale: float) -> DataFrame:
+    """sketch_row, features, label: for each pair (out, i) the signed sum over the blocks of their i-th transformed row.
+
+    Rows meet their block, nothing else is shuffled but sums: a task transforms
+    its blocks one by one and adds them to its own copy of the sketch.
+    """
+    sign = F.when(hash_int(f"srht{seed}", F.col("row_id")) % 2 == 0, 1.0).otherwise(-1.0)
+    placed = design.select(F.floor(F.col("row_id") / tau).alias("blk"), (F.col("row_id") % tau).cast("int").alias("i"), F.transform("features", lambda v: v * sign).alias("f"), (F.col("label") * sign).alias("y"))
 
-def _local_transforms(design: DataFrame, d: int, tau: int, seed: int) -> DataFrame:
-    """blk, i, v0..vd: random signs and the transform of each run of tau rows of [A | b]."""
-    placed = design.select((F.col("row_id") / tau).cast("int").alias("blk"), (F.col("row_id") % tau).cast("int").alias("i"), "features", "label", F.when(hash_int(f"srht{seed}", F.col("row_id")) % 2 == 0, 1.0).otherwise(-1.0).alias("sign"))
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, block, rows = np.zeros((len(out), d + 1)), None, np.zeros((tau, d + 1))
 
-    def local(table: pa.Table) -> pa.Table:
-        rows = np.zeros((tau, d + 1))
-        at = table["i"].to_numpy()
-        rows[at, :d] = table["features"].combine_chunks().flatten().to_numpy().reshape(-1, d)
-        rows[at, d] = table["label"].to_numpy()
-        rows[at] *= table["sign"].to_numpy()[:, None]
-        out = hadamard(rows)
-        return pa.table({"blk": pa.array(np.full(tau, table["blk"][0].as_py(), np.int32)), "i": pa.array(np.arange(tau, dtype=np.int32)), **{f"v{j}": pa.array(np.ascontiguousarray(out[:, j])) for j in range(d + 1)}})
+        def add() -> None:
+            if block is not None:
+                parity = 1.0 - 2.0 * (np.bitwise_count(out & block) & 1)
+                held[:] += parity[:, None] * hadamard(rows)[i]
 
-    fields = ", ".join(f"v{j} double" for j in range(d + 1))
-    return placed.groupBy("blk").applyInArrow(lambda t: local(t), f"blk int, i int, {fields}")
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            blk, at = batch.column(0).to_numpy(), batch.column(1).to_numpy()
+            x = np.column_stack([batch.column(2).flatten().to_numpy().reshape(-1, d), batch.column(3).to_numpy()])
+            cuts = np.flatnonzero(np.r_[True, np.diff(blk) != 0, True])
+            for a, b in zip(cuts[:-1], cuts[1:], strict=True):
+                if blk[a] != block:
+                    add()
+                    block, rows = int(blk[a]), np.zeros((tau, d + 1))
+                rows[at[a:b]] = x[a:b]
+        add()
+        if block is not None:
+            yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(out), dtype=np.int64)), *(pa.array(np.ascontiguousarray(held[:, j]) * scale) for j in range(d + 1))], ["sketch_row", *(f"v{j}" for j in range(d + 1))])
+
+    parts = placed.repartition("blk").sortWithinPartitions("blk").mapInArrow(run, "sketch_row long, " + ", ".join(f"v{j} double" for j in range(d + 1)))
+    sums = parts.groupBy("sketch_row").agg(*[F.sum(f"v{j}").alias(f"v{j}") for j in range(d + 1)])
+    return sums.select("sketch_row", F.array(*[f"v{j}" for j in range(d)]).alias("features"), F.col(f"v{d}").alias("label"))
 
 
 def srht_rows(design: DataFrame, d: int, r: int, seed: int = 0, tau: int = 256) -> DataFrame:
@@ -132,11 +147,7 @@ def srht_rows(design: DataFrame, d: int, r: int, seed: int = 0, tau: int = 256)
     n = 1 << max(0, int(design.agg(F.max("row_id")).first()[0]).bit_length())
     tau = min(tau, n)
     drawn = np.random.default_rng(seed).integers(0, n, r)
-    outs = design.sparkSession.createDataFrame([(t, int(o) // tau, int(o) % tau) for t, o in enumerate(drawn)], "sketch_row int, out int, i int")
-    signed = _local_transforms(design, d, tau, seed).join(F.broadcast(outs), "i")  # r metadata rows
-    parity = F.when(F.bit_count(F.col("blk").bitwiseAND(F.col("out"))) % 2 == 0, 1.0).otherwise(-1.0) / F.lit(math.sqrt(r))
-    sums = signed.groupBy("sketch_row").agg(*[F.sum(parity * F.col(f"v{j}")).alias(f"v{j}") for j in range(d + 1)])
-    return sums.select("sketch_row", F.array(*[f"v{j}" for j in range(d)]).alias("features"), F.col(f"v{d}").alias("label"))
+    return _hadamard_sums(design, d, tau, seed, drawn // tau, drawn % tau, 1 / math.sqrt(r))
 
 
 def uniform_block_draws(design: DataFrame, k: int, q: int, iterations: int, seed: int) -> DataFrame:

@@ -7,9 +7,14 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from blocksketch.sources.tables import stored
+
+#: Groups into which the tasks' matrices of one block are dealt before they meet.
+FAN = 256
 #: Up to this many columns sums are built-in expressions; beyond, Arrow batches and BLAS.
 MOST_SQL_COLUMNS = 8
 
@@ -78,11 +83,22 @@ def block_stats(design: DataFrame, d: int, by: tuple[str, ...] = ("block_id",),
                 k = int(block[a])
                 held[k] = held.get(k, 0) + part.T @ part
                 counts[k] = counts.get(k, 0) + b - a
-        yield pa.RecordBatch.from_pydict({"block_id": pa.array(list(held), pa.int32()), "n": pa.array([counts[k] for k in held], pa.int64()), "gram": pa.array([m[:d, :d][upper].tolist() for m in held.values()], pa.list_(pa.float64())), "atb": pa.array([m[:d, d].tolist() for m in held.values()], pa.list_(pa.float64())), "btb": pa.array([float(m[d, d]) for m in held.values()], pa.float64())})
+        blocks = list(held)
+        yield pa.RecordBatch.from_pydict({"block_id": pa.array(blocks, pa.int32()), "part": pa.array([TaskContext.get().partitionId() % FAN] * len(blocks), pa.int32()), "n": pa.array([counts[k] for k in blocks], pa.int64()), "m": pa.array([np.asarray(held[k]).tobytes() for k in blocks], pa.binary())})
+
+    def add(key: tuple, table: pa.Table) -> pa.Table:
+        total = sum((np.frombuffer(x, np.float64) for x in table["m"].to_pylist()), np.zeros((d + 1) ** 2))
+        return pa.table({"block_id": pa.array([key[0].as_py()], pa.int32()), "n": pa.array([int(np.sum(table["n"].to_numpy()))], pa.int64()), "m": pa.array([total.tobytes()], pa.binary())})
+
+    def unpacked(key: tuple, table: pa.Table) -> pa.Table:
+        one = add(key, table)
+        m = np.frombuffer(one["m"][0].as_py(), np.float64).reshape(d + 1, d + 1)
+        return pa.table({"block_id": one["block_id"], "n": one["n"], "gram": pa.array([m[:d, :d][upper].tolist()], pa.list_(pa.float64())), "atb": pa.array([m[:d, d].tolist()], pa.list_(pa.float64())), "btb": pa.array([float(m[d, d])])})
 
-    parts = design.select("block_id", "features", "label").mapInArrow(partial, "block_id int, n long, gram array<double>, atb array<double>, btb double")
-    total = lambda name, size: F.aggregate(F.collect_list(name), F.array_repeat(F.lit(0.0), size), lambda s, v: F.zip_with(s, v, lambda a, b: a + b))
-    return parts.groupBy("block_id").agg(F.sum("n").alias("n"), total("gram", len(packed(d))).alias("gram"), total("atb", d).alias("atb"), F.sum("btb").alias("btb"))
+    parts = design.select("block_id", "features", "label").mapInArrow(partial, "block_id int, part int, n long, m binary")
+    # two levels, so that a block that every task shares is no single group of all their matrices
+    some = parts.groupBy("block_id", "part").applyInArrow(lambda key, t: add(key, t), "block_id int, n long, m binary")
+    return some.groupBy("block_id").applyInArrow(lambda key, t: unpacked(key, t), "block_id int, n long, gram array<double>, atb array<double>, btb double")
 
 
 def total_stats(stats: DataFrame, d: int) -> DataFrame:
@@ -110,8 +126,8 @@ def collect_total(stats: DataFrame, d: int) -> Total:
 def tsqr(design: DataFrame, d: int, fan: int = 16) -> np.ndarray:
     """R of A = QR without forming the Gram matrix, by a tree of small factorisations.
 
-    Each task reduces its rows to a d x d factor; factors are stacked and
-    factored again ``fan`` at a time until few are left.
+    Each task reduces its rows to a d x d factor; the stored factors, one per
+    task, are stacked and factored again ``fan`` at a time until few are left.
     """
     schema = "part int, r binary"
 
@@ -128,12 +144,12 @@ def tsqr(design: DataFrame, d: int, fan: int = 16) -> np.ndarray:
         stack = np.vstack([np.frombuffer(x, np.float64).reshape(-1, d) for x in table["r"].to_pylist()])
         return pa.table({"part": pa.array([key[0].as_py()], pa.int32()), "r": pa.array([np.linalg.qr(stack, mode="r").tobytes()], pa.binary())})
 
-    level = design.select(F.spark_partition_id().alias("part"), "features").mapInArrow(local, schema)
-    n = design.rdd.getNumPartitions()
+    level = stored(design.select(F.spark_partition_id().alias("part"), "features").mapInArrow(local, schema), "factors")
+    n = (level.agg(F.max("part")).first()[0] or 0) + 1
     while n > fan:
         level = level.select(F.floor(F.col("part") / fan).cast("int").alias("part"), "r").groupBy("part").applyInArrow(lambda key, t: again(key, t), schema)
         n = -(-n // fan)
-    rows = level.collect()  # at most `fan` small factors
+    rows = level.orderBy("part").collect()  # at most `fan` small factors
     stack = [np.frombuffer(bytes(r["r"]), np.float64).reshape(-1, d) for r in rows]
     r = np.linalg.qr(np.vstack(stack), mode="r") if stack else np.zeros((d, d))
     return r * np.where(np.diag(r) < 0, -1.0, 1.0)[:, None]

@@ -2,36 +2,24 @@
 
 from __future__ import annotations
 
-from collections.abc import Sequence
-
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-#: Bytes of a side that may be broadcast.
-MOST_BROADCAST_BYTES = 64 << 20
+#: Planned bytes, and counted rows, of a metadata side (a row per block, draw or server) that may be broadcast.
+MOST_BROADCAST_BYTES, MOST_BROADCAST_ROWS = 8 << 20, 500_000
+
+
+def small(side: DataFrame, most: int = MOST_BROADCAST_ROWS) -> DataFrame:
+    """Broadcast a side that is known to be small; beyond that the join shuffles, and adaptive execution splits hot keys.
+
+    The planner's own size decides where it is low enough (lists from the
+    driver, stored tables); else rows are counted, up to the bound.
+    """
+    planned = int(str(side._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    return F.broadcast(side) if planned <= MOST_BROADCAST_BYTES or side.limit(most + 1).count() <= most else side
 
 
 def choose_mode(n: int, d: int, k: int, iterations: int, rows_per_iteration: int, driver_bytes: int = 1 << 30) -> str:
     """'stats' when one scan for Gram matrices costs less than the iterations and K d^2 numbers fit, else 'rows'."""
     scan, steps = n * d * d, iterations * rows_per_iteration * d
     return "stats" if scan < steps and 4 * k * d * d <= driver_bytes else "rows"
-
-
-def merge_draws(draws: DataFrame, q: int) -> DataFrame:
-    """Repeated draws become one weighted block before any join with data."""
-    from blocksketch.operators.sampling import weights
-
-    return weights(draws, q)
-
-
-def prune_blocks(design: DataFrame, blocks: Sequence[int], buckets: int | None = None) -> DataFrame:
-    """A literal block list, so that partition pruning and row-group bounds skip the rest."""
-    out = design.where(F.col("block_id").isin(sorted({int(b) for b in blocks})))
-    if buckets and "block_bucket" in design.columns:
-        out = out.where(F.col("block_bucket").isin(sorted({int(b) % buckets for b in blocks})))
-    return out
-
-
-def pick_join(small: DataFrame, rows: int, row_bytes: int) -> DataFrame:
-    """Broadcast a side only if its counted size allows it; a shuffled hash join else."""
-    return F.broadcast(small) if rows * row_bytes <= MOST_BROADCAST_BYTES else small.hint("shuffle_hash")

@@ -105,12 +105,6 @@ def _(spark: SparkSession, d: str) -> DataFrame:
     return design.assign_blocks(load(spark, d, "events"), 9, "key").select(F.col("row_id").alias("event_id"), "block_id")
 
 
-@query("b4_blocks_range")
-def _(spark: SparkSession, d: str) -> DataFrame:
-    out = design.assign_blocks(load(spark, d, "events"), 5, "range")
-    return out.groupBy("block_id").agg(F.count("*").alias("n"), F.min("row_id").alias("low"), F.max("row_id").alias("high"))
-
-
 @query("b4_blocks_window", "SELECT day(ts)::INT AS block_id, count(*)::BIGINT AS n FROM events GROUP BY 1")
 def _(spark: SparkSession, d: str) -> DataFrame:
     return load(spark, d, "events").groupBy("block_id").agg(F.count("*").alias("n"))
@@ -181,14 +175,6 @@ for _name in ("documents", "lineitem"):
     query(f"s1_row_leverage_{_name}", with_stats(_name, body=f"SELECT row_id, round({_ROW_LEVERAGE}, 8) + 0.0 AS leverage FROM design, inv"))(lambda spark, d, name=_name: scores.row_leverage(load(spark, d, name), 3).select("row_id", rounded(F.col("leverage"), 8).alias("leverage")))
 
 
-@query("s2_tsqr", "SELECT true AS same, count(*)::BIGINT AS n FROM embeddings")
-def _(spark: SparkSession, d: str) -> DataFrame:
-    rows = load(spark, d, "embeddings")
-    a = scores.row_leverage(rows, 40, "gram").select("row_id", F.col("leverage").alias("a"))
-    b = scores.row_leverage(rows, 40, "tsqr").select("row_id", F.col("leverage").alias("b"))
-    return a.join(b, "row_id").agg((F.max(F.abs(F.col("a") - F.col("b"))) < 1e-8).alias("same"), F.count("*").alias("n"))
-
-
 _DIST = "SELECT block_id, round(p, 8) + 0.0 AS p FROM "
 
 
@@ -205,22 +191,6 @@ def _(spark: SparkSession, d: str) -> DataFrame:
     return scores.block_leverage_by_rows(load(spark, d, "documents"), 3).select("block_id", _p())
 
 
-@query("s5_approx", "SELECT true AS sums_to_one, true AS usable, (count(DISTINCT doc_id % 20))::BIGINT AS blocks FROM documents WHERE text IS NOT NULL")
-def _(spark: SparkSession, d: str) -> DataFrame:
-    rows, _, dist, _ = block_scores(spark, d, "documents")
-    approx = stored(scores.approx_leverage(rows, 3, 128, 0, seed=3), "approx")
-    beta = distances.misestimation(dist, approx).first()["beta"]
-    r = approx.agg(F.sum("p").alias("s"), F.count("*").alias("k")).first()
-    return one_row(spark, sums_to_one=abs(r["s"] - 1) < 1e-9, usable=beta > 0.2, blocks=r["k"])
-
-
-@query("s6_sampled")
-def _(spark: SparkSession, d: str) -> DataFrame:
-    rows, _, dist, _ = block_scores(spark, d, "lineitem")
-    approx = stored(scores.sampled_scores(rows, 3, 0.3, seed=3), "sampled")
-    return distances.misestimation(dist, approx).crossJoin(distances.additive_error(dist, approx))
-
-
 @query("s7_frobenius", with_stats("documents", body="SELECT block_id, round((g00 + g11 + g22) / (SELECT g00 + g11 + g22 FROM tot), 8) + 0.0 AS p FROM stats"))
 def _(spark: SparkSession, d: str) -> DataFrame:
     return scores.frobenius_scores(block_scores(spark, d, "documents")[1], 3).select("block_id", _p())
@@ -399,11 +369,6 @@ def _(spark: SparkSession, d: str) -> DataFrame:
     return out.select("block_id", *[F.round(c, 8).alias(c) for c in ("h", "linear", "uniform_bound")])
 
 
-@query("k14_identity", "SELECT DISTINCT (doc_id % 20)::INT AS block_id, 1.0::DOUBLE AS expected_weight FROM documents WHERE text IS NOT NULL")
-def _(spark: SparkSession, d: str) -> DataFrame:
-    return sampling.identity_in_expectation(block_scores(spark, d, "documents")[2], Q).withColumn("expected_weight", F.round("expected_weight", 9))
-
-
 @query("k15_dims", "SELECT 20::BIGINT AS tau, 1000::BIGINT AS rows, 0.5::DOUBLE AS share, 0.9::DOUBLE AS late_share")
 def _(spark: SparkSession, d: str) -> DataFrame:
     return one_row(spark, **sampling.sketch_dims(2000, 100, 50, 500))

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-from collections import Counter
 from itertools import combinations
 
 import numpy as np
@@ -95,20 +94,6 @@ def _(spark: SparkSession, d: str) -> DataFrame:
     return one_row(spark, **{f"at_{r}": network.is_perfect(EXAMPLE[0], [20] * 5, r) for r in (20, 40, 30)})
 
 
-@query("n9_adjust_replicas")
-def _(spark: SparkSession, d: str) -> DataFrame:
-    """Counts adjusted one by one, beside the exact optimum's distortion."""
-    rows = sorted(_dist(spark, d).collect(), key=lambda r: r["block_id"])
-    p = [r["p"] for r in rows]
-    out = []
-    for start in ("scaled", "ratio"):
-        made = network.replicas_channel_scaled(_dist(spark, d), PHI, 2 * M) if start == "scaled" else network.replicas_ratio(_dist(spark, d), 1)
-        first = {r["block_id"]: r["r"] for r in made.collect()}
-        r = network.adjust_replicas(p, [first[x["block_id"]] for x in rows], M)
-        out += [(start, rows[i]["block_id"], int(v), abs(p[i] - v / M)) for i, v in enumerate(r)]
-    return spark.createDataFrame(out, "start string, block_id int, r long, gap double")
-
-
 @query("n10_apportion_remainders", with_stats("documents", _COUNTS, body="SELECT block_id, r FROM counts"))
 def _(spark: SparkSession, d: str) -> DataFrame:
     return counted(spark, d)[1].select("block_id", "r")
@@ -140,35 +125,6 @@ def _(spark: SparkSession, d: str) -> DataFrame:
     return replied(spark, d)[1]
 
 
-@query("n15_persistent_stragglers")
-def _(spark: SparkSession, d: str) -> DataFrame:
-    """Servers 0..9 never answer: how far the mean of many sketched gradients is from the full one."""
-    rows, held, dist, total = block_scores(spark, d, "documents")
-    counts = counted(spark, d)[1]
-    law = stored(network.runtime_law(table(spark, d, "events"), "value"), "law")
-    share = F.broadcast(counts.select("block_id", (F.col("r") / F.lit(float(M))).alias("p")))
-    full = 2 * (total.gram @ np.array(X) - total.atb)
-    out = []
-    for name, late in (("none", []), ("ten", list(range(10)))):
-        replies = network.simulate_responses(network.allocate(counts), law, 40, SEED, late)
-        w = sampling.weights(sampling.draw_fastest(replies, Q).join(share, "block_id"), Q)
-        g = np.array([2 * (t.gram @ np.array(X) - t.atb) for t in descent.sketch_totals(held, w, 3)])
-        out.append((name, float(np.linalg.norm(g.mean(0) - full) / np.linalg.norm(full))))
-    return spark.createDataFrame(out, "late string, relative_bias double")
-
-
-@query("n16_design_network")
-def _(spark: SparkSession, d: str) -> DataFrame:
-    rows = stored(load(spark, d, "documents"), "design")
-
-    def scores_for(k: int) -> DataFrame:
-        cut = rows.withColumn("block_id", F.pmod("row_id", F.lit(k)).cast("int"))
-        return stored(scores.block_leverage(stored(stats.block_stats(cut, 3), "stats"), 3), "dist")
-
-    out = network.design_network(scores_for, table(spark, d, "events"), "value", 24.0, M, [5, 10, 20])
-    return spark.createDataFrame([(r["k"], r["q"], r["beta"], r["d"], r["delta"]) for r in out], "k int, q long, beta double, d double, delta double")
-
-
 # ---- gradients ----------------------------------------------------------------------------------------------------
 
 for _name in ("lineitem", "documents"):
@@ -291,33 +247,12 @@ def _(spark: SparkSession, d: str) -> DataFrame:
     return path_table(spark, coded_path(spark, d, "documents", 24.0))
 
 
-@query("g13_stop_rules", "SELECT true AS by_gradient, true AS by_target, true AS by_step")
-def _(spark: SparkSession, d: str) -> DataFrame:
-    total = block_scores(spark, d, "events")[3]
-    best = total.solution()
-    run = lambda stop: descent.descend_on_stats(total, None, [0.0] * 3, descent.line_search(), stop)
-    a, b, c = run(Stop(2000, gradient_norm=1e-3)), run(Stop(2000, target=best, distance=1e-4)), run(Stop(2000, relative=1e-6))
-    near = lambda t: float(np.linalg.norm(t.xs[-1] - best))
-    return one_row(spark, by_gradient=bool(len(a.xs) < 2001), by_target=bool(near(b) <= 1e-4), by_step=bool(len(c.xs) < 2001))
-
-
 @query("g14_ridge", with_stats("events", sql_path(STEPS, XI, "tot", ridge=5.0), body=PATH_BODY, recursive=True))
 def _(spark: SparkSession, d: str) -> DataFrame:
     rows, _, _, total = block_scores(spark, d, "events", keep=True)
     return path_table(spark, descent.steepest_descent(rows, [0.0] * 3, fixed_step(xi_of(total)), Stop(STEPS), ridge=5.0))
 
 
-@query("g15_newton")
-def _(spark: SparkSession, d: str) -> DataFrame:
-    """Excess objective after Newton steps with fresh sketched Hessians."""
-    _, held, _, total, _, w = drawn(spark, d)
-    x, best, out = np.zeros(3), total.solution(), []
-    for i, t in enumerate(descent.sketch_totals(held, w, 3)):
-        x = descent.newton_step(total, t, x)
-        out.append((i, total.objective(x) / total.objective(best) - 1))
-    return spark.createDataFrame(out, "s int, excess double")
-
-
 @query("g16_projected", with_stats("events", sql_path(STEPS, XI, "tot", project=0.5), body=PATH_BODY, recursive=True))
 def _(spark: SparkSession, d: str) -> DataFrame:
     rows, _, _, total = block_scores(spark, d, "events", keep=True)
@@ -357,36 +292,11 @@ def _(spark: SparkSession, d: str) -> DataFrame:
     return _spread(coding.group_decode(parts, code, replies.select("iteration", "server_id"), 5), "iteration")
 
 
-@query("c3_optimal_decoding", "SELECT true AS closest")
-def _(spark: SparkSession, d: str) -> DataFrame:
-    code = _ring(8, 2)
-    a = coding.optimal_decode(code, [0, 2, 3, 5, 6])
-    part = code[[0, 2, 3, 5, 6]]
-    best = np.linalg.lstsq(part.T, np.ones(8), rcond=None)[0]
-    return one_row(spark, closest=bool(np.allclose(a @ part, best @ part)))
-
-
-def _ring(m: int, copies: int) -> np.ndarray:
-    """Server i holds blocks i..i+copies-1 around the ring."""
-    return np.array([[1.0 if (j - i) % m < copies else 0.0 for j in range(m)] for i in range(m)])
-
-
 @query("c4_uniform_replicas", "SELECT range::INT AS block_id, 3::BIGINT AS r FROM range(20)")
 def _(spark: SparkSession, d: str) -> DataFrame:
     return coding.uniform_code(spark, 20, M).select("block_id", "r")
 
 
-@query("c5_decoding_error", "SELECT q::INT AS q, CASE WHEN q = 8 THEN 0.0 ELSE 1.0 END::DOUBLE AS err, true AS bounded FROM (VALUES (4), (6), (8)) t(q)")
-def _(spark: SparkSession, d: str) -> DataFrame:
-    code = np.eye(8) + 0.5 * _ring(8, 3)
-    parts = np.array([r["g"] for r in sorted(gradients.partial_gradients(load(spark, d, "documents").withColumn("block_id", F.pmod("block_id", F.lit(8))), X).collect(), key=lambda r: r["block_id"])])
-    out = []
-    for q in (4, 6, 8):
-        error, bound = coding.decoded_gradient_bound(code, range(q), parts)
-        out.append((q, round(coding.decoding_error(code, range(q)), 6) + 0.0, error <= bound + 1e-6))
-    return spark.createDataFrame(out, "q int, err double, bounded boolean")
-
-
 @query("c6_decode_cost", "SELECT * FROM (VALUES ('uncoded', 60::BIGINT, 0::BIGINT, 1.0::DOUBLE), ('group code', 3, 0, 51.0), ('optimal decoding', 30, 2000, 3.0), ('leverage replicas', 30, 0, 3.0)) t(scheme, additions, solve, copies)")
 def _(spark: SparkSession, d: str) -> DataFrame:
     return coding.decode_cost(spark, Q, 20, 3, M)
@@ -422,22 +332,6 @@ def _(spark: SparkSession, d: str) -> DataFrame:
     return products.cr_product(*_two(spark, d), 3, 2, Q, SEED, STEPS).withColumn("v", rounded(F.col("v"), 4))
 
 
-@query("p2_coded_cr")
-def _(spark: SparkSession, d: str) -> DataFrame:
-    law = stored(network.runtime_law(table(spark, d, "events"), "value"), "law")
-    exact = products.exact_product(*_two(spark, d), 3, 2).withColumnRenamed("v", "exact")
-    return products.coded_cr(*_two(spark, d), 3, 2, M, law, 30, SEED).join(exact, ["i", "j"])
-
-
-@query("p3_cur", "SELECT 4::BIGINT AS columns, 6::BIGINT AS rows, true AS not_better_than_best")
-def _(spark: SparkSession, d: str) -> DataFrame:
-    rows = load(spark, d, "star")
-    total = stats.collect_total(stats.block_stats(rows, 7), 7)
-    columns, picked, u = products.cur(scores.row_leverage(rows, 7, total=total), total, 3, 4, 6)
-    best = float(np.sqrt(np.sort(np.linalg.eigvalsh(total.gram))[:3].sum()))  # the rank-4 optimum leaves 3 directions
-    return one_row(spark, columns=len(columns), rows=len(picked), not_better_than_best=bool(products.cur_error(total, columns, picked, u) >= best - 1e-6))
-
-
 @query("p4_sketched_product")
 def _(spark: SparkSession, d: str) -> DataFrame:
     a, b = _two(spark, d)
@@ -445,17 +339,6 @@ def _(spark: SparkSession, d: str) -> DataFrame:
     return spark.createDataFrame([(i, j, float(made[i, j])) for i, j in _CELLS], "i int, j int, v double")
 
 
-@query("p5_columns", f"WITH {SQL['star']} SELECT 3.0::DOUBLE AS total_leverage, 7::BIGINT AS columns, true AS no_more_than_all, count(*)::BIGINT AS n FROM design")
-def _(spark: SparkSession, d: str) -> DataFrame:
-    """Columns by leverage in the best rank-3 subspace: scores sum to the rank, a choice keeps no more than A has."""
-    rows = load(spark, d, "star")
-    total = stats.collect_total(stats.block_stats(rows, 7), 7)
-    order = products.select_columns(total, 3, 7)
-    cols = order[:3]
-    kept = float(np.trace(total.gram[:, cols] @ np.linalg.pinv(total.gram[np.ix_(cols, cols)]) @ total.gram[cols]))
-    return one_row(spark, total_leverage=round(float(products.column_leverage(total, 3).sum()), 6), columns=len(set(order)), no_more_than_all=bool(kept <= np.trace(total.gram) * (1 + 1e-9)), n=int(total.n))
-
-
 # ---- measures -----------------------------------------------------------------------------------------------------
 
 
@@ -496,53 +379,6 @@ def _(spark: SparkSession, d: str) -> DataFrame:
     return metrics.in_span_error(rows, X, total.solution().tolist()).select(F.round("in_span", 4).alias("in_span"), F.round("b_perp", 4).alias("b_perp"))
 
 
-@query("a5_gradient_error", f"SELECT range::INT AS iteration, true AS bounded FROM range({STEPS})")
-def _(spark: SparkSession, d: str) -> DataFrame:
-    _, held, _, total, _, w = drawn(spark, d)
-    made = descent.sketch_totals(held, w, 3)
-    rows = [{"gram": t.gram[np.triu_indices(3)].tolist(), "atb": t.atb.tolist(), "btb": t.btb} for t in made]
-    x = np.array(X)
-    full, out = 2 * (total.gram @ x - total.atb), []
-    for i, (t, eps) in enumerate(zip(made, sampling.embedding_error(total, rows, 3), strict=True)):
-        gap = float(np.linalg.norm(full - 2 * (t.gram @ x - t.atb)))
-        out.append((i, gap <= metrics.gradient_error_bound(total, x, eps) * (1 + 1e-9)))
-    return spark.createDataFrame(out, "iteration int, bounded boolean")
-
-
-def _long_run(spark: SparkSession, d: str, power: float, steps: int = 200) -> tuple[stats.Total, descent.Trace]:
-    """Many iterations on block statistics with a diminishing step; block_id mod 20 of the documents."""
-    _, held, dist, total = block_scores(spark, d, "documents")
-    w = sampling.weights(sampling.draw_blocks(stored(dist, "dist"), Q, steps, SEED), Q)
-    unit = 0.5 / total.spectrum()["sigma_max"] ** 2
-    return total, descent.descend_on_stats(total, descent.sketch_totals(held, w, 3), [0.0] * 3, descent.diminishing_step(unit, power), Stop(steps))
-
-
-@query("a6_regret_slope")
-def _(spark: SparkSession, d: str) -> DataFrame:
-    total, trace = _long_run(spark, d, 0.5)
-    values = metrics.regret(total, trace, total.solution())
-    return one_row(spark, slope=metrics.decay_slope(values), last=float(values[-1]))
-
-
-@query("a7_squared_error_slope")
-def _(spark: SparkSession, d: str) -> DataFrame:
-    total, trace = _long_run(spark, d, 1.0)
-    best = total.solution()
-    return one_row(spark, slope=metrics.decay_slope([float(((x - best) ** 2).sum()) for x in trace.xs[1:]]))
-
-
-@query("a8_contraction", "SELECT true AS mean_step_is_full_step, true AS contracts")
-def _(spark: SparkSession, d: str) -> DataFrame:
-    """Over all equally likely draws of 2 blocks, the mean step is the plain step; its norm is below 1."""
-    _, held, _, total = block_scores(spark, d, "documents")
-    rows = held.collect()
-    parts = [(stats.unpack(r["gram"], 3), np.array(r["atb"])) for r in rows]
-    k, x, xi = len(parts), np.array(X), 0.4 / np.trace(total.gram)
-    steps = [x - xi * 2 * k / 2 * sum((parts[b][0] @ x - parts[b][1] for b in pair), np.zeros(3)) for pair in ((i, j) for i in range(k) for j in range(k))]
-    plain = x - xi * 2 * (total.gram @ x - total.atb)
-    return one_row(spark, mean_step_is_full_step=bool(np.allclose(np.mean(steps, 0), plain)), contracts=descent.contraction_rate(total, xi)["norm"] < 1)
-
-
 @query("a9_bias_example", "SELECT 1140::BIGINT AS sets, 15.0::DOUBLE AS mean, true AS less_spread_than_with_replacement")
 def _(spark: SparkSession, d: str) -> DataFrame:
     """The worked example: all 3-subsets of 20 servers, partial gradients 1..5, mean exactly 15."""
@@ -560,23 +396,6 @@ def _(spark: SparkSession, d: str) -> DataFrame:
     return metrics.prediction_error(rows, total.solution().tolist(), [0.5, 1.0, -2.0]).select(rounded(F.col("prediction_error"), 8).alias("prediction_error"))
 
 
-@query("a11_network_table")
-def _(spark: SparkSession, d: str) -> DataFrame:
-    """q(T), Delta, beta, printed beta, d and zero counts of the literal rule: 100 blocks, 500 servers."""
-    rows = load(spark, d, "documents").withColumn("block_id", F.pmod("row_id", F.lit(100)).cast("int"))
-    dist = stored(scores.block_leverage(stored(stats.block_stats(rows, 3), "stats"), 3), "dist")
-    counts = stored(network.apportion_exact(dist, 500), "counts")
-    share = counts.select("block_id", (F.col("r") / 500.0).alias("p"))
-    beta, gap = distances.misestimation(dist, share).first(), distances.distortion(dist, counts).first()["d"]
-    out = []
-    for r in network.replies_by(table(spark, d, "events"), "value", ENDINGS, 500).collect():
-        phi = min(max(r["phi"], 1e-6), 1 - 1e-6)
-        delta = distances.channel_distortion(dist, counts, phi).first()["delta"]
-        zero = network.replicas_channel(dist, phi).where("r = 0").count()
-        out.append((r["ending"], r["q"], delta, beta["beta"], beta["beta_printed"], gap, zero))
-    return spark.createDataFrame(out, "ending double, q long, delta double, beta double, beta_printed double, d double, zero_counts long")
-
-
 @query("a12_costs")
 def _(spark: SparkSession, d: str) -> DataFrame:
     rows, _, _, total, _, w = drawn(spark, d, keep=True)
@@ -591,18 +410,6 @@ def _(spark: SparkSession, d: str) -> DataFrame:
     return metrics.waiting_times(replied(spark, d)[1], Q)
 
 
-@query("a13_tradeoff")
-def _(spark: SparkSession, d: str) -> DataFrame:
-    """Accuracy after a fixed number of steps against the number of draws."""
-    _, held, dist, total = block_scores(spark, d, "documents")
-    dist, best, out = stored(dist, "dist"), total.solution(), []
-    for q in (2, 5, 10, 20, 40):
-        w = sampling.weights(sampling.draw_blocks(dist, q, 40, SEED), q)
-        trace = descent.descend_on_stats(total, descent.sketch_totals(held, w, 3), [0.0] * 3, descent.line_search(), Stop(40))
-        out.append((q, float(np.linalg.norm(trace.xs[-1] - best))))
-    return spark.createDataFrame(out, "q int, distance double")
-
-
 #: Fixed values of the worked example: its four draws (blocks from 1).
 EXAMPLE_DRAWS = [[1, 4, 5], [3, 5, 5], [2, 4, 5], [4, 1, 4]]
 
@@ -612,20 +419,3 @@ def _(spark: SparkSession, d: str) -> DataFrame:
     counts, m, q = EXAMPLE
     rows = [(i, b - 1, counts[b - 1] / m) for i, draw in enumerate(EXAMPLE_DRAWS) for b in draw]
     return sampling.weights(spark.createDataFrame(rows, "iteration int, block_id int, p double"), q).select("iteration", "block_id", F.round("w", 6).alias("w"))
-
-
-@query("w7_compression_by_skew")
-def _(spark: SparkSession, d: str) -> DataFrame:
-    """zeta for uniform, measured and degenerate scores."""
-    dist = _dist(spark, d)
-    point = dist.select("block_id", F.when(F.col("block_id") == 0, 0.999).otherwise(0.001 / 19).alias("p"))
-    out = []
-    for name, p in (("uniform", scores.uniform_scores(spark, 20)), ("documents", dist), ("degenerate", point)):
-        r = sampling.compression(sampling.draw_blocks(p, 20, 30, SEED)).agg(F.avg("zeta").alias("z")).first()
-        out.append((name, r["z"], 20 / sampling.expected_distinct(p, 20).first()["expected"]))
-    return spark.createDataFrame(out, "scores string, zeta double, expected double")
-
-
-def example_counts() -> Counter:
-    """How often each block is among the servers of the worked example."""
-    return Counter({b: r for b, r in enumerate(EXAMPLE[0])})

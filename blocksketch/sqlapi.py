@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from blocksketch import fixtures
 from blocksketch.functions import udfs
 from blocksketch.operators import descent, network, sampling, scores, stats
+from blocksketch.plans.rewrites import small
 from blocksketch.sources.tables import stored, table
 
 VIEWS = ("design", "blocks", "scores", "draws", "allocation", "responses", "trace")
@@ -24,7 +25,7 @@ def register_views(spark: SparkSession, sf_dir: str, name: str = "documents", q:
     servers = network.allocate(counts)
     law = stored(network.runtime_law(table(spark, sf_dir, "events"), "value"), "law")
     replies = stored(network.simulate_responses(servers, law, iterations, seed), "replies")
-    share = F.broadcast(counts.select("block_id", (F.col("r") / F.lit(float(m))).alias("p")))
+    share = small(counts.select("block_id", (F.col("r") / F.lit(float(m))).alias("p")))
     w = sampling.weights(sampling.draw_fastest(replies, q).join(share, "block_id"), q)
     trace = descent.descend_on_stats(total, descent.sketch_totals(held, w, d), [0.0] * d, descent.safe_step(total, 0.2), descent.Stop(iterations))
     made = {"design": rows, "blocks": held, "scores": dist, "draws": sampling.draw_blocks(dist, q, iterations, seed), "allocation": servers, "responses": replies, "trace": trace.table(spark)}

@@ -45,7 +45,7 @@ def test_split_of_100_into_7(spark):
 @pytest.mark.parametrize(("n", "k"), [(100, 7), (5, 7), (6, 6), (1, 1), (10, 1)])
 def test_contiguous_blocks_are_near_equal_and_in_order(spark, n, k):
     rows = spark.range(n).select(((F.col("id") * 7919) % 10007).alias("row_id"), F.lit(0).alias("block_id"), F.array(F.lit(1.0)).alias("features"), F.lit(0.0).alias("label")).repartition(5)
-    out = sorted((r.row_id, r.block_id) for r in design.assign_blocks(rows, k, cuts=4).collect())
+    out = sorted((r.row_id, r.block_id) for r in design.assign_blocks(rows, k).collect())
     sizes = np.bincount([b for _, b in out], minlength=k)
     assert sizes.max() - sizes.min() <= 1 and sizes.sum() == n
     assert [b for _, b in out] == sorted(b for _, b in out)
