@@ -17,10 +17,12 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from blocksketch.llm.common import materialise
+from blocksketch.llm.common import discard, materialise
 
 #: Line marks up to this number are broadcast, else joined by shuffle.
 MOST_BROADCAST_LINES = 100_000
+#: Parts into which each line's occurrences are dealt where marks are joined by shuffle.
+SALTS = 16
 
 
 def _hashes(line: Column) -> list[Column]:
@@ -45,26 +47,34 @@ def site_spread(lines: DataFrame, min_sites: int, lg: int = 12) -> DataFrame:
     band = max(1.0, 3 * 1.04 / 2 ** (lg / 2) * min_sites)
     sketched = lines.where("s is not null").groupBy("h1", "h2").agg(F.hll_sketch_estimate(F.hll_sketch_agg("s", lg)).alias("sites"), F.count("*").alias("n"))
     # fewer occurrences than sites asked for decide without a look at the sketch
-    sketched = sketched.where((F.col("n") >= min_sites) & (F.col("sites") >= min_sites - band))
+    sketched = materialise(sketched.where((F.col("n") >= min_sites) & (F.col("sites") >= min_sites - band)), "spread")
     near = sketched.where(F.col("sites") <= min_sites + band).select("h1", "h2")
-    exact = lines.where("s is not null").join(near, ["h1", "h2"], "left_semi").groupBy("h1", "h2", "s").agg(F.lit(1).alias("one")).groupBy("h1", "h2").agg(F.count("*").alias("sites"))
     sure = sketched.where(F.col("sites") > min_sites + band).select("h1", "h2", F.col("sites").cast("long").alias("sites"))
-    return sure.unionByName(exact.where(F.col("sites") >= min_sites))
+    # every task first reduces its lines to distinct sites, so a hot line weighs its sites in each task
+    pairs = _marked_lines(lines.where("s is not null"), near, near.count()).groupBy("h1", "h2", "s").agg(F.lit(1).alias("one"))
+    return sure.unionByName(pairs.groupBy("h1", "h2").agg(F.count("*").alias("sites")).where(F.col("sites") >= min_sites))
+
+
+def _marked_lines(lines: DataFrame, marks: DataFrame, n_marks: int) -> DataFrame:
+    """The lines whose hashes are among ``marks``: a broadcast of a counted size, beyond it a salted shuffle join."""
+    if n_marks <= MOST_BROADCAST_LINES:
+        return lines.join(F.broadcast(marks), ["h1", "h2"])
+    salted = marks.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    return lines.withColumn("_salt", F.pmod(F.xxhash64("k", "t", "pos"), F.lit(SALTS)).cast("int")).join(salted, ["h1", "h2", "_salt"]).drop("_salt")
 
 
 def boilerplate(documents: DataFrame, site: str = "source", min_sites: int = 10, min_chars: int = 15, keep_first: bool = True) -> DataFrame:
     """(k, t, gone): the line positions to remove from each document that has any."""
     lines = lines_of(documents, site, min_chars)
     marked = materialise(site_spread(lines, min_sites), "lines")
-    marks = marked.select("h1", "h2")
-    held = F.broadcast(marks) if marked.count() <= MOST_BROADCAST_LINES else marks
-    found = lines.join(held, ["h1", "h2"]).select("k", "t", "pos", "h1", "h2")
+    n_marks = marked.count()
+    found = _marked_lines(lines, marked.select("h1", "h2"), n_marks).select("k", "t", "pos", "h1", "h2")
     if keep_first:
         found = materialise(found, "found")
+        discard(marked)
         first = found.groupBy("h1", "h2").agg(F.min(F.struct("k", "pos", "t")).alias("f")).select("h1", "h2", F.col("f.k").alias("fk"), F.col("f.pos").alias("fp"), F.col("f.t").alias("ft"))
-        first = F.broadcast(first) if marked.count() <= MOST_BROADCAST_LINES else first
         same = F.col("k").eqNullSafe(F.col("fk")) & (F.col("pos") == F.col("fp")) & (F.col("t") == F.col("ft"))
-        found = found.join(first, ["h1", "h2"]).where(~same)
+        found = _marked_lines(found, first, n_marks).where(~same)
     return found.groupBy("k", "t").agg(F.collect_set("pos").alias("gone"))
 
 
