@@ -9,11 +9,14 @@ in that language, and the highest decides.
 
 N-grams are four bytes of lower-cased UTF-8, runs of other ASCII bytes reading
 as a space.  Learning counts n-grams over all documents: tasks merge their
-counts, which are summed by hash bucket.
+counts, which are summed by hash bucket.  A language's n-grams need a least
+rate, so their number is bounded by its inverse whatever the corpus, and the
+filter gets its slots from the number of n-grams that were chosen.
 
 Defined results: null texts and texts without a letter give ``und`` and 0;
 with nothing learned every text gives ``und``; ties go to the first language
-by name; repeated rows are each reported; other columns are ignored.
+by name; very long texts are read whole, in one run of their own; repeated rows
+are each reported; a null id is kept like any other; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -27,11 +30,11 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from blocksketch.llm.common import materialise, mix, row_runs, ship, text_buffer
+from blocksketch.llm.common import discard, materialise, mix, row_runs, ship, text_buffer
 
 RUN_BYTES = 1 << 20
-#: Slots of the filter: 8 MB of masks for up to 64 languages.
-SLOTS_LOG2 = 20
+#: Slots of the filter for each n-gram that any language holds, and the least and most slots (by powers of two).
+SLOTS_PER_GRAM, LEAST_LOG2, MOST_LOG2 = 8, 16, 25
 BUCKETS = 64
 _LETTER = regex.compile(r"\p{L}")
 _FOLD = np.full(256, 32, np.uint8)
@@ -106,7 +109,7 @@ class LanguageFilter:
         """Index of each row's language and its score; -1 where nothing decides."""
         n, k = len(offsets) - 1, len(self.names)
         owner, key = grams_of(data, offsets)
-        one, two = _slots(key)
+        one, two = _slots(key, len(self.masks))
         total = np.bincount(owner, minlength=n)
         counts = np.zeros((n, k))
         for word in range(self.masks.shape[1]):
@@ -115,24 +118,25 @@ class LanguageFilter:
             for bit in range(min(64, k - 64 * word)):
                 hit = (seen >> np.uint64(bit)) & np.uint64(1)
                 counts[:, 64 * word + bit] = np.bincount(owner, hit, n)
-        fixed = np.maximum(0, (counts - total[:, None] * self.rates) / (1 - self.rates))
+        fixed = np.maximum(0, (counts - total[:, None] * self.rates) / np.maximum(1 - self.rates, 1e-9))
         best = fixed.argmax(1) if k else np.full(n, -1)
         most = fixed[np.arange(n), best] if k else np.zeros(n)
         score = most / np.maximum(fixed.sum(1), 1e-12)
         return best, np.where(most > 0, score, 0.0)
 
 
-def _slots(key: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+def _slots(key: np.ndarray, slots: int) -> tuple[np.ndarray, np.ndarray]:
     h = mix(key + np.uint64(0x9E3779B97F4A7C15))
-    low = np.uint64((1 << SLOTS_LOG2) - 1)
+    low = np.uint64(slots - 1)
     return (h & low).astype(np.int64), ((h >> np.uint64(32)) & low).astype(np.int64)
 
 
-def learn(documents: DataFrame, lang: str = "lang", text: str = "text", share: float = 0.3, least: int = 3) -> LanguageFilter:
+def learn(documents: DataFrame, lang: str = "lang", text: str = "text", share: float = 0.3, least: int = 3, least_rate: float = 1e-6) -> LanguageFilter:
     """The filter learned from the rows with a language.
 
-    A language holds an n-gram that it shows ``least`` times at a rate of at
-    least ``share`` of the highest rate of any language.
+    A language holds an n-gram that it shows ``least`` times, at a rate of at
+    least ``least_rate`` of its n-grams and ``share`` of the highest rate of any
+    language.
     """
     known = documents.where(F.col(lang).isNotNull())
     packed = count_grams(known, lang, text)
@@ -154,7 +158,8 @@ def learn(documents: DataFrame, lang: str = "lang", text: str = "text", share: f
     totals = {r["lang"]: r["t"] for r in summed.groupBy("lang").agg(F.sum("total").alias("t")).collect()}
     names = sorted(n for n, t in totals.items() if t)
     if not names:
-        return LanguageFilter([], np.zeros((1 << SLOTS_LOG2, 1), np.uint64), np.zeros(0))
+        discard(summed)
+        return LanguageFilter([], np.zeros((1 << LEAST_LOG2, 1), np.uint64), np.zeros(0))
     words = (len(names) + 63) // 64
     per = np.array([1.0 / totals[n] for n in names])
     index = {n: i for i, n in enumerate(names)}
@@ -166,20 +171,29 @@ def learn(documents: DataFrame, lang: str = "lang", text: str = "text", share: f
         for i, k, c in held:
             counts[np.searchsorted(grams, k), i] = c
         rate = counts * per
-        has = (counts >= least) & (rate >= share * rate.max(1, keepdims=True))
+        has = (counts >= least) & (rate >= least_rate) & (rate >= share * rate.max(1, keepdims=True))
         some = has.any(1)
         grams, has = grams[some], has[some]
-        one, two = _slots(grams)
-        slots, masks = [], []
+        which, masks = [], []
         for w in range(words):
-            bits = (has[:, 64 * w : 64 * w + 64].astype(np.uint64) << np.arange(min(64, len(names) - 64 * w), dtype=np.uint64)).sum(1).astype(np.uint64)
-            slots.append(np.r_[one, two] * words + w)
-            masks.append(np.r_[bits, bits])
-        return pa.table({"slot": pa.array(np.concatenate(slots)), "mask": pa.array(np.concatenate(masks).view(np.int64))})
-
-    chosen = summed.groupBy("bucket").applyInArrow(choose, "slot long, mask long")
-    merged = chosen.groupBy("slot").agg(F.bit_or("mask").alias("mask")).toArrow()  # at most 2**SLOTS_LOG2 rows a word
-    masks = np.zeros((1 << SLOTS_LOG2) * words, np.uint64)
+            masks.append((has[:, 64 * w : 64 * w + 64].astype(np.uint64) << np.arange(min(64, len(names) - 64 * w), dtype=np.uint64)).sum(1).astype(np.uint64))
+            which.append(np.full(len(grams), w, np.int32))
+        return pa.table({"gram": pa.array(np.tile(grams, words).view(np.int64)), "word": pa.array(np.concatenate(which)), "mask": pa.array(np.concatenate(masks).view(np.int64))})
+
+    chosen = materialise(summed.groupBy("bucket").applyInArrow(choose, "gram long, word int, mask long"), "chosen")
+    discard(summed)
+    n = chosen.count() // words
+    size = 1 << min(MOST_LOG2, max(LEAST_LOG2, int(SLOTS_PER_GRAM * n).bit_length()))
+
+    def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            one, two = _slots(batch.column(0).to_numpy().view(np.uint64), size)
+            word = batch.column(1).to_numpy()
+            yield pa.RecordBatch.from_arrays([pa.array(np.r_[one, two] * words + np.r_[word, word]), pa.array(np.tile(batch.column(2).to_numpy(), 2))], ["slot", "mask"])
+
+    merged = chosen.mapInArrow(place, "slot long, mask long").groupBy("slot").agg(F.bit_or("mask").alias("mask")).toArrow()  # two rows an n-gram and word at most
+    discard(chosen)
+    masks = np.zeros(size * words, np.uint64)
     masks[merged["slot"].to_numpy()] = merged["mask"].to_numpy().view(np.uint64)
     masks = masks.reshape(-1, words)
     filled = np.array([((masks[:, i // 64] >> np.uint64(i % 64)) & np.uint64(1)).mean() for i in range(len(names))])
@@ -190,7 +204,7 @@ def identify(documents: DataFrame, learned: LanguageFilter, keep: tuple[str, ...
     """``keep`` plus lang_pred and score of every row."""
     spark = documents.sparkSession
     ship(spark)
-    shared = spark.sparkContext.broadcast(learned)  # a filter of fixed size
+    shared = spark.sparkContext.broadcast(learned)  # slots from the counted n-grams, at most 2**MOST_LOG2
     src = documents.select(*keep, text)
     schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in src.schema.fields[:-1]), "lang_pred string, score double"])
 
