@@ -27,6 +27,8 @@ from blocksketch.llm.common import materialise, ship
 from blocksketch.llm.tokens import piece_table, runs_of_texts
 
 Pattern = tuple[int, ...]
+#: Slots of one length in a cell of the look-up, at least, and cells of all lengths, about.
+LEAST_CELL, MOST_CELLS = 1 << 12, 1 << 16
 
 
 def token_pieces(documents: DataFrame, keep: tuple[str, ...] = ("doc_id",), text: str = "text", tokenizer: str = "byte_bpe_50k.json", capacity: int = 1024, end_id: int = 2, with_ids: bool = False) -> DataFrame:
@@ -189,13 +191,13 @@ def lower_bound(counts: Counter, capacity: int) -> int:
     return best
 
 
-def slots(patterns: list[tuple[Pattern, int]]) -> list[tuple[int, int, int, int]]:
-    """(length, first number, first sequence, offset) of each run of slots, numbers by length from 0."""
+def slots(patterns: list[tuple[Pattern, int]]) -> list[tuple[int, int, int, int, int]]:
+    """(length, first number, first sequence, offset, slots) of each run of slots, numbers by length from 0."""
     out, used, base = [], Counter(), 0
     for pattern, number in patterns:
         offset = 0
         for length in pattern:
-            out.append((length, used[length], base, offset))
+            out.append((length, used[length], base, offset, number))
             used[length] += number
             offset += length
         base += number
@@ -207,29 +209,38 @@ def assign(pieces: DataFrame, capacity: int = 1024, order: tuple[str, ...] = ("d
 
     A piece's number among its length is its number among (length, salt) plus
     the counts of lower salts, so a length that many pieces share is numbered
-    by many tasks.  What the driver holds is at most capacity x salts counts.
+    by many tasks; those counts stay in a table, dealt like the pieces.  The
+    driver holds a count for each length.  The runs of slots are cut into cells
+    of numbers, so a piece looks at the runs of its own cell only.
     """
     spark = pieces.sparkSession
     salts = min(most_salts, max(32, pieces.count() // rows_per_salt))
-    salt = F.pmod(F.xxhash64(*order), F.lit(salts)).cast("int")
-    salted = pieces.withColumn("_salt", salt)
-    by_salt = salted.groupBy("length", "_salt").agg(F.count("*").alias("n")).collect()  # at most capacity x salts rows
-    counts: Counter = Counter()
-    before = []
-    for r in sorted(by_salt):
-        before.append((r["length"], r["_salt"], counts[r["length"]]))
-        counts[r["length"]] += r["n"]
-    runs: dict[int, list[tuple[int, int, int]]] = {}
-    for length, number, sequence, offset in slots(plan(counts, capacity)):
-        runs.setdefault(length, []).append((number, sequence, offset))
-    offsets = spark.createDataFrame(before, "length long, _salt int, _before long")
-    table = spark.createDataFrame([(k, v) for k, v in runs.items()], "length long, _runs array<struct<a:long,s:long,o:long>>")
-    w = Window.partitionBy("length", "_salt").orderBy(*order)
-    ranked = salted.withColumn("_r", F.row_number().over(w) - 1)
-    found = ranked.join(F.broadcast(offsets), ["length", "_salt"]).join(F.broadcast(table), "length")
-    number = F.col("_r") + F.col("_before")
-    last = F.element_at(F.filter("_runs", lambda x: x["a"] <= number), -1)
-    return found.select(*pieces.columns, (last["s"] + number - last["a"]).alias("sequence_id"), last["o"].alias("offset"))
+    salted = pieces.withColumn("_salt", F.pmod(F.xxhash64(*order), F.lit(salts)).cast("int"))
+    by_salt = materialise(salted.groupBy("length", "_salt").agg(F.count("*").alias("n")), "lengths")
+    counts = Counter({r["length"]: r["n"] for r in by_salt.groupBy("length").agg(F.sum("n").alias("n")).collect()})  # at most capacity rows
+    cell = max(LEAST_CELL, 1 << (sum(counts.values()) // MOST_CELLS).bit_length())
+    cells = cells_of(slots(plan(counts, capacity)), cell)
+    table = spark.createDataFrame([(*k, v) for k, v in cells.items()], "length long, _cell long, _runs array<struct<a:long,s:long,o:long>>")
+    lower = Window.partitionBy("length").orderBy("_salt").rowsBetween(Window.unboundedPreceding, -1)
+    before = by_salt.select("length", "_salt", F.coalesce(F.sum("n").over(lower), F.lit(0)).alias("_before"))
+    ranked = salted.withColumn("_r", F.row_number().over(Window.partitionBy("length", "_salt").orderBy(*order)) - 1)
+    numbered = ranked.join(before, ["length", "_salt"]).withColumn("_number", F.col("_r") + F.col("_before"))
+    found = numbered.withColumn("_cell", F.floor(F.col("_number") / cell)).join(F.broadcast(table), ["length", "_cell"])  # runs and MOST_CELLS cells, from the driver's plan
+    last = F.element_at(F.filter("_runs", lambda x: x["a"] <= F.col("_number")), -1)
+    return found.select(*pieces.columns, (last["s"] + F.col("_number") - last["a"]).alias("sequence_id"), last["o"].alias("offset"))
+
+
+def cells_of(runs: list[tuple[int, int, int, int, int]], cell: int) -> dict[tuple[int, int], list[tuple[int, int, int]]]:
+    """(length, cell) -> the runs (number, sequence, offset) that reach into the cell, in order; runs as from ``slots``."""
+    by_length: dict[int, list[tuple[int, int, int, int]]] = {}
+    for length, number, sequence, offset, many in runs:
+        by_length.setdefault(length, []).append((number, sequence, offset, many))
+    out: dict[tuple[int, int], list[tuple[int, int, int]]] = {}
+    for length, held in by_length.items():
+        for number, sequence, offset, many in held:
+            for c in range(number // cell, (number + many - 1) // cell + 1):
+                out.setdefault((length, c), []).append((number, sequence, offset))
+    return out
 
 
 def pack(documents: DataFrame, keep: tuple[str, ...] = ("doc_id",), capacity: int = 1024, **how: object) -> DataFrame:
