@@ -9,8 +9,9 @@ grow with the benchmark, so their size is checked: beyond ``MOST_WINDOWS``
 windows the documents' windows are joined by shuffle instead.
 
 Defined results: a null or wordless text has no words and is never hit; a null
-benchmark text has no windows; repeated document rows are each reported;
-an empty benchmark hits nothing.  Other columns are ignored.
+benchmark text has no windows; an item without an id hits words like any other
+but is in no list of items; repeated document rows are each reported; an empty
+benchmark hits nothing.  Other columns are ignored.
 """
 
 from __future__ import annotations
@@ -18,7 +19,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from blocksketch.llm.common import ascii_lower
+from blocksketch.llm.common import ascii_lower, materialise
 
 #: Fixed by the contract: what counts as a word after lower-casing A-Z.
 WORD = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
@@ -55,7 +56,7 @@ def scan(documents: DataFrame, windows: DataFrame, keep: tuple[str, ...] = ("doc
     if n_windows == 0:
         return docs.select(*keep, F.size("w").alias("n_words"), F.array().cast(kind).alias("hits"))
     if n_windows > MOST_WINDOWS:
-        return _scan_by_join(docs, windows, keep)
+        return _scan_by_join(documents, windows, keep, text)
     held = windows.select("gram", "len").collect()  # bounded by MOST_WINDOWS
     by_len: dict[int, list[str]] = {}
     for r in held:
@@ -78,21 +79,28 @@ def scan(documents: DataFrame, windows: DataFrame, keep: tuple[str, ...] = ("doc
     return out.select(*keep, F.col("x.n").alias("n_words"), (F.col("x.h") if len(found) == 1 else F.array_sort("x.h")).alias("hits"))
 
 
-def _scan_by_join(docs: DataFrame, windows: DataFrame, keep: tuple[str, ...]) -> DataFrame:
-    """The way beyond MOST_WINDOWS: every document window meets the set by a shuffle join."""
-    docs = docs.withColumn("_row", F.monotonically_increasing_id())
-    lengths = [r.len for r in windows.select("len").distinct().collect()]  # at most n
-
-    def spans_of(m: int) -> Column:
-        at = F.sequence(F.lit(0), F.size("w") - m)
-        spans = F.transform(at, lambda i: F.struct(i.cast("int").alias("s"), (i + m).cast("int").alias("e"), F.array_join(F.slice("w", i + 1, m), " ").alias("gram")))
-        return F.when(F.size("w") >= m, spans).otherwise(F.array().cast("array<struct<s:int,e:int,gram:string>>"))
+def _scan_by_join(documents: DataFrame, windows: DataFrame, keep: tuple[str, ...], text: str) -> DataFrame:
+    """The way beyond MOST_WINDOWS: hashes of the document windows meet those of the set by a shuffle join.
 
-    spans = F.concat(*[spans_of(m) for m in lengths])
-    flat = docs.select(*keep, "_row", F.size("w").alias("n_words"), F.explode_outer(spans).alias("x"))
-    known = windows.select(F.col("gram").alias("_gram"))
-    flat = flat.join(known, F.col("x.gram") == F.col("_gram"), "left")
-    return flat.groupBy(*keep, "_row", "n_words").agg(F.array_sort(F.collect_list(F.when(F.col("_gram").isNotNull(), F.col("x")))).alias("hits")).drop("_row")
+    Only row number, place and hash of a window are shuffled.  The places found
+    come back to their stored row, where the words themselves decide.
+    """
+    kind = "array<struct<s:int,e:int,gram:string>>"
+    rows = documents.select(F.monotonically_increasing_id().alias("_row"), F.struct(*[F.col(f"`{c}`").alias(f"k{i}") for i, c in enumerate(keep)]).alias("_keep"), words_of(F.col(text)).alias("w"))
+    rows = materialise(rows, "words")  # fixes the row numbers
+    lengths = [r.len for r in windows.select("len").distinct().collect()]  # at most n
+    gram = lambda s, e: F.array_join(F.slice("w", s + 1, e - s), " ")
+
+    def places(m: int) -> Column:
+        starts = F.when(F.size("w") >= m, F.sequence(F.lit(0), F.size("w") - m)).otherwise(F.array().cast("array<int>"))
+        return F.transform(starts, lambda i: F.struct(i.cast("int").alias("s"), (i + m).cast("int").alias("e"), F.xxhash64(gram(i, i + m)).alias("h")))
+
+    flat = rows.select("_row", F.explode(F.concat(*[places(m) for m in lengths])).alias("x")).select("_row", "x.s", "x.e", "x.h")
+    known = windows.select(F.xxhash64("gram").alias("h"), "gram")
+    found = flat.join(known, "h").groupBy("_row").agg(F.array_sort(F.collect_list(F.struct("s", "e", "gram"))).alias("found"))
+    out = rows.join(found, "_row", "left")
+    hits = F.filter(F.coalesce("found", F.array().cast(kind)), lambda x: gram(x["s"], x["e"]) == x["gram"])
+    return out.select(*[F.col(f"_keep.k{i}").alias(c) for i, c in enumerate(keep)], F.size("w").alias("n_words"), hits.cast(kind).alias("hits"))
 
 
 def covered(hits: Column) -> Column:
