@@ -17,6 +17,7 @@ repeated rows are copies of each other; other columns are ignored.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -24,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from blocksketch.llm.common import materialise, mix, row_runs, ship, text_buffer
+from blocksketch.llm.common import discard, materialise, mix, row_runs, ship, text_buffer
 from blocksketch.llm.components import components
 from blocksketch.llm.url_filter import _block, _mask, build_filter
 
@@ -33,6 +34,8 @@ RUN_BYTES = 1 << 20
 BLOCK = 1024
 #: Buckets with more classes than this join all to one without looking at signatures.
 LARGE_BUCKET = 1000
+#: Block numbers of a size band.
+_BAND = 1 << 30
 _STEP = np.uint64(0x9E3779B97F4A7C15)
 _LOWER = np.zeros(256, np.uint8)
 for _r in (range(0x30, 0x3A), range(0x61, 0x7B), range(0x80, 0x100)):
@@ -88,8 +91,8 @@ def shingles_of(data: np.ndarray, offsets: np.ndarray, n: int = 5) -> tuple[np.n
     return o[new], h[new]
 
 
-def signatures_of(owner: np.ndarray, h: np.ndarray, rows: int, bands: int, per_band: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """For each row: class hash, number of shingles, band keys, one byte of each minimum."""
+def signatures_of(owner: np.ndarray, h: np.ndarray, rows: int, bands: int, per_band: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """For each row: two class hashes, number of shingles, band keys, one byte of each minimum."""
     count = np.bincount(owner, minlength=rows)
     some = np.flatnonzero(count)
     starts = np.r_[0, np.cumsum(count[some])[:-1]]
@@ -98,8 +101,9 @@ def signatures_of(owner: np.ndarray, h: np.ndarray, rows: int, bands: int, per_b
     plus = rng.integers(0, 1 << 63, bands * per_band, dtype=np.uint64)
     keys = np.zeros((rows, bands), np.uint64)
     brief = np.zeros((rows, bands * per_band), np.uint8)
-    node = np.zeros(rows, np.uint64)
+    node, other = np.zeros(rows, np.uint64), np.zeros(rows, np.uint64)
     if len(some):
+        other[some] = mix(np.add.reduceat(mix(h * _STEP + np.uint64(1)), starts) + count[some].astype(np.uint64))
         node[some] = mix(np.add.reduceat(mix(h), starts) + np.uint64(3) * count[some].astype(np.uint64) + mix(np.bitwise_xor.reduceat(h, starts)))
         for b in range(bands):
             key = np.full(len(some), b, np.uint64)
@@ -108,11 +112,11 @@ def signatures_of(owner: np.ndarray, h: np.ndarray, rows: int, bands: int, per_b
                 key = key * _STEP + low
                 brief[some, i] = mix(low) & np.uint64(255)
             keys[some, b] = mix(key)
-    return node, count, keys, brief
+    return node, other, count, keys, brief
 
 
 def signatures(documents: DataFrame, bands: int, per_band: int, n: int = 5, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """doc, t (text hash), node (class of equal sets), n, bands, brief of every row."""
+    """doc, t (text hash), node (class of equal sets) and a second hash of the set, n, bands, brief of every row."""
     ship(documents.sparkSession)
     src = documents.select(F.col(key).cast("long").alias("doc"), text, F.xxhash64(text).alias("t"))
 
@@ -121,11 +125,20 @@ def signatures(documents: DataFrame, bands: int, per_band: int, n: int = 5, key:
             data, offsets = text_buffer(batch.column(1))
             for a, b in row_runs(offsets, RUN_BYTES):
                 owner, h = shingles_of(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], n)
-                node, count, keys, brief = signatures_of(owner, h, b - a, bands, per_band)
+                node, other, count, keys, brief = signatures_of(owner, h, b - a, bands, per_band)
                 lists = pa.ListArray.from_arrays(pa.array(np.arange(0, (b - a + 1) * bands, bands), pa.int32()), pa.array(keys.view(np.int64).ravel()))
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), batch.column(2).slice(a, b - a), pa.array(node.view(np.int64)), pa.array(count.astype(np.int64)), lists, pa.array([x.tobytes() for x in brief], pa.binary())], ["doc", "t", "node", "n", "bands", "brief"])
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), batch.column(2).slice(a, b - a), pa.array(node.view(np.int64)), pa.array(other.view(np.int64)), pa.array(count.astype(np.int64)), lists, pa.array([x.tobytes() for x in brief], pa.binary())], ["doc", "t", "node", "other", "n", "bands", "brief"])
 
-    return src.mapInArrow(run, "doc long, t long, node long, n long, bands array<long>, brief binary")
+    return src.mapInArrow(run, "doc long, t long, node long, other long, n long, bands array<long>, brief binary")
+
+
+def told_apart(rows: DataFrame) -> DataFrame:
+    """``rows`` (node, other) with a node of its own for every (node, other): the 128 bits together name a class."""
+    clash = rows.groupBy("node").agg(F.min("other").alias("a"), F.max("other").alias("b")).where("a <> b").select("node", F.lit(True).alias("_clash"))
+    if clash.isEmpty():
+        return rows
+    found = rows.join(clash, "node", "left")
+    return found.withColumn("node", F.when(F.col("_clash"), F.xxhash64("node", "other")).otherwise(F.col("node"))).select(*rows.columns)
 
 
 def _forest(near: np.ndarray) -> np.ndarray:
@@ -152,6 +165,7 @@ def candidate_edges(classes: DataFrame, least_match: float) -> DataFrame:
     buckets = members.groupBy("key").agg(F.count("*").alias("g"), F.min("node").alias("low"), F.bit_xor("node").alias("x"), F.bit_xor(F.xxhash64("node")).alias("y")).where("g > 1")
     # bands that gather the same classes count once
     buckets = materialise(buckets.groupBy("g", "low", "x", "y").agg(F.min("key").alias("key")), "buckets")
+    # written, so that the join below has two plain exchanges, which adaptive execution can split at a hot bucket
     large = members.join(buckets.where(F.col("g") > LARGE_BUCKET).select("key", "low"), "key").select(F.col("node").alias("src"), F.col("low").alias("dst"))
     small = buckets.where(F.col("g") <= LARGE_BUCKET).select("key", "g")
     packs = max(1, (small.agg(F.sum("g")).first()[0] or 0) // 20_000) * 8
@@ -208,14 +222,27 @@ def verified(clustered: DataFrame, similarity: float) -> DataFrame:
 
     ``links`` sums the weights of the classes linked with the node in one
     comparison of blocks; ``root`` is the smallest node joined with it there.
+    Blocks of a large cluster hold sets of about one size and meet only blocks
+    whose sets are not too large or small to be similar.
     """
-    sizes = clustered.groupBy("cluster").agg(F.count("*").alias("g"))
-    blocks = F.ceil(F.col("g") / BLOCK).cast("int")
-    rows = clustered.join(sizes, "cluster").select("*", blocks.alias("nb"), F.pmod(F.xxhash64("node"), blocks).cast("int").alias("b"))
-    rows = rows.select("*", F.explode(F.sequence(F.lit(0), F.col("nb") - 1)).alias("o"))
-    rows = rows.select("cluster", "node", "weight", "shingles", "b", F.least("b", "o").alias("i"), F.greatest("b", "o").alias("j"), "nb")
-    packs = max(8, clustered.count() // 2_000)
-    pack = F.when(F.col("nb") == 1, F.pmod(F.xxhash64("cluster"), F.lit(packs))).otherwise(F.xxhash64("cluster", "i", "j"))
+    # sets whose sizes are more than two bands apart cannot reach the similarity
+    width = -math.log(similarity) / 2 * (1 + 1e-9) if 0 < similarity < 1 else 1e-9
+    size = F.floor(F.log(F.length("shingles") / 8.0) / F.lit(width)).cast("long")
+    counted = materialise(clustered.groupBy("cluster", size.alias("s")).agg(F.count("*").alias("g")), "sizes")
+    whole = counted.groupBy("cluster").agg(F.sum("g").alias("all"))
+    # a cluster that one comparison holds is a single band
+    parts = counted.join(whole, "cluster").select("cluster", "s", "g", (F.col("all") <= BLOCK).alias("one"), F.ceil(F.col("g") / BLOCK).alias("nb"))
+    blocks = parts.select("cluster", F.when(F.col("one"), F.lit(0)).otherwise(F.col("s")).alias("s2"), F.when(F.col("one"), F.lit(1)).otherwise(F.col("nb")).alias("nb2")).distinct()
+    near = F.when(F.col("one"), F.array(F.lit(0).cast("long"))).otherwise(F.sequence(F.col("s") - 2, F.col("s") + 2))
+    meets = parts.select("cluster", "s", "one", "g", "nb", F.explode(near).alias("s2")).join(blocks, ["cluster", "s2"])
+    total = meets.agg(F.sum(F.col("g") * F.col("nb2"))).first()[0] or 0
+    meets = meets.groupBy("cluster", "s", "one", "nb").agg(F.collect_list(F.struct("s2", "nb2")).alias("meets"))
+    rows = clustered.withColumn("s", size).join(meets, ["cluster", "s"])
+    own = F.when(F.col("one"), F.lit(0)).otherwise(F.col("s") * _BAND + F.pmod(F.xxhash64("node"), F.col("nb")))
+    rows = rows.select("cluster", "node", "weight", "shingles", own.alias("b"), F.explode("meets").alias("m"))
+    rows = rows.select("cluster", "node", "weight", "shingles", "b", F.explode(F.sequence(F.col("m.s2") * _BAND, F.col("m.s2") * _BAND + F.col("m.nb2") - 1)).alias("o"))
+    rows = rows.select("cluster", "node", "weight", "shingles", "b", F.least("b", "o").alias("i"), F.greatest("b", "o").alias("j"))
+    pack = F.pmod(F.xxhash64("cluster", "i", "j"), F.lit(max(8, total // 2_000)))
     rows = rows.select(pack.alias("pack"), "cluster", "i", "j", "b", "node", "weight", "shingles")
 
     def check(table: pa.Table) -> pa.Table:
@@ -251,12 +278,15 @@ def verified(clustered: DataFrame, similarity: float) -> DataFrame:
 
 
 def placed(rows: DataFrame, classes: DataFrame, found: DataFrame) -> DataFrame:
-    """``rows`` with n_links and ``least``, the smallest low of the connected group; both null for rows of no class."""
-    found = materialise(found, "links")
+    """``rows`` with n_links and ``least``, the smallest low of the connected group; both null for rows of no class.
+
+    ``found`` is a stored table.
+    """
     joined = components(found.where("node <> root"), "node", "root")
     links = found.groupBy("node").agg(F.sum("links").alias("links"))
     info = classes.join(links, "node", "left").join(joined, "node", "left").select("node", "weight", "low", F.coalesce("links", F.lit(0)).alias("links"), F.coalesce("component", "node").alias("component"))
     info = materialise(info, "classes")
+    discard(found)
     least = info.groupBy("component").agg(F.min("low").alias("least"))
     info = info.join(least, "component").select("node", "least", (F.col("weight") - 1 + F.col("links")).alias("n_links"))
     return rows.join(info, "node", "left").select(*[rows[c] for c in rows.columns], "least", "n_links")
@@ -279,17 +309,20 @@ def group_result(rows: DataFrame, classes: DataFrame, found: DataFrame) -> DataF
 def _judged(documents: DataFrame, similarity: float = 0.8, n: int = 5, recall: float = 0.9999, key: str = "doc_id", text: str = "text") -> DataFrame:
     """doc, t, node, alone, least, n_links of every row; ``least`` is the group's first (no_doc, doc, t), null docs last."""
     bands, per_band = bands_for(similarity, recall)
-    signed = materialise(signatures(documents, bands, per_band, n, key, text), "signatures")
+    signed = told_apart(materialise(signatures(documents, bands, per_band, n, key, text), "signatures"))
     rows = signed.select("doc", "t", "node", (F.col("n") == 0).alias("alone"))
     full = signed.where("n > 0")
-    counted = full.groupBy("node").agg(F.count("*").alias("weight"), F.min(F.struct(F.col("doc").isNull().alias("no_doc"), "doc", "t")).alias("low"))
+    counted = full.groupBy("node").agg(F.count("*").alias("weight"), F.min(F.struct(F.col("doc").isNull().alias("no_doc"), "doc", "t")).alias("low"), F.any_value("other").alias("other"))
     shown = full.groupBy("node").agg(F.any_value("bands").alias("bands"), F.any_value("brief").alias("brief"))
     classes = materialise(counted.join(shown, "node"), "sets")
     deviation = (similarity * (1 - similarity) / (bands * per_band)) ** 0.5
     edges = candidate_edges(classes, similarity - 6.5 * deviation)
     clusters = components(edges).select("node", F.col("component").alias("cluster"))
-    wanted = materialise(clusters.join(classes.select("node", "weight", "low.doc", "low.t"), "node"), "wanted")
-    found = verified(_with_shingles(documents, wanted, n, key, text), similarity)
+    wanted = materialise(clusters.join(classes.select("node", "weight", "other", "low.doc", "low.t"), "node"), "wanted")
+    shingled = _with_shingles(documents, wanted, n, key, text)
+    discard(wanted)
+    found = materialise(verified(shingled, similarity), "links")
+    discard(shingled)
     return placed(rows, classes.select("node", "weight", "low"), found)
 
 
@@ -311,16 +344,16 @@ def _with_shingles(documents: DataFrame, wanted: DataFrame, n: int, key: str, te
     hashed = F.xxhash64(F.col(key).cast("long"), F.lit(""))
     possible = F.element_at(words, _block(hashed, n_words) + 1).bitwiseAND(_mask(hashed)) == _mask(hashed)
     source = documents.select(F.col(key).cast("long").alias("doc"), F.col(text).alias("text")).where(possible | F.col("doc").isNull())
-    source = source.withColumn("t", F.xxhash64("text")).alias("s").join(wanted.alias("w"), F.col("s.doc").eqNullSafe(F.col("w.doc")) & (F.col("s.t") == F.col("w.t"))).select("cluster", "node", "weight", "text")
+    source = source.withColumn("t", F.xxhash64("text")).alias("s").join(wanted.alias("w"), F.col("s.doc").eqNullSafe(F.col("w.doc")) & (F.col("s.t") == F.col("w.t"))).select("cluster", "node", "weight", "other", "text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            data, offsets = text_buffer(batch.column(3))
+            data, offsets = text_buffer(batch.column(4))
             for a, b in row_runs(offsets, RUN_BYTES):
                 owner, h = shingles_of(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], n)
-                node, count, _, _ = signatures_of(owner, h, b - a, 0, 0)
+                _, other, count, _, _ = signatures_of(owner, h, b - a, 0, 0)
                 ends = np.cumsum(count)
-                right = np.flatnonzero(node.view(np.int64) == batch.column(1).slice(a, b - a).to_numpy())
+                right = np.flatnonzero(other.view(np.int64) == batch.column(3).slice(a, b - a).to_numpy())
                 part = batch.slice(a, b - a).take(pa.array(right))
                 sets = [h[ends[k] - count[k] : ends[k]].tobytes() for k in right]
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), part.column(2), pa.array(sets, pa.binary())], ["cluster", "node", "weight", "shingles"])

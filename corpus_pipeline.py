@@ -12,7 +12,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from blocksketch.llm import decontaminate, line_dedup, ngram_join, packing, quality
-from blocksketch.llm.common import materialise, read_table
+from blocksketch.llm.common import discard, materialise, read_table
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 #: Sites from which on a line is shared across sites, however small the corpus; the operator's own SQL has ten.
@@ -60,7 +60,8 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages on the table ``documents``."""
     docs = read_table(spark, sf_dir, "documents")
     for i, (_, stage) in enumerate(STAGES):
-        docs = stage(spark, docs, sf_dir)
+        kept, docs = docs, stage(spark, docs, sf_dir)
         if i < len(STAGES) - 1:
             docs = materialise(docs, f"stage{i}")
+            discard(kept)
     return docs
