@@ -20,6 +20,9 @@ _made: dict[str, SparkSession] = {}
 #: Session setting (not fixed at start) by which Spark deletes a finished query's shuffle files at once.
 _CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 
+#: Session setting for the most bytes of an Arrow batch, its default (no bound to speak of), and ours.
+_BATCH, _UNBOUNDED, BATCH_BYTES = "spark.sql.execution.arrow.maxBytesPerBatch", ("2147483647", "2147483647b", "2147483646", "-1"), 8 << 20
+
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """One of the given tables, by any path that Spark can read."""
@@ -94,8 +97,14 @@ def _clean() -> None:
 
 
 def ship(spark: SparkSession) -> None:
-    """Makes this package importable on executors, once per application."""
+    """Makes this package importable on executors, once per application.
+
+    Bounds the bytes of an Arrow batch too, where the session does not: texts
+    may be very long, and a batch of the usual number of rows any size.
+    """
     sc = spark.sparkContext
+    if spark.conf.get(_BATCH, None) in (None, *_UNBOUNDED):
+        spark.conf.set(_BATCH, str(BATCH_BYTES))
     if getattr(sc, "_blocksketch_shipped", False):
         return
     top = Path(__file__).resolve().parents[2]
