@@ -164,6 +164,55 @@ def test_blocks_of_a_cluster_lose_no_link(spark):
     assert got == {i: int(v) for i, v in enumerate(want) if v}
 
 
+def test_nodes_that_clash_are_told_apart(spark):
+    df = spark.createDataFrame([(1, 7, "a"), (1, 8, "b"), (1, 8, "c"), (2, 9, "d")], "node long, other long, name string")
+    got = {r.name: r.node for r in ngram_join.told_apart(df).collect()}
+    assert got["d"] == 2 and got["b"] == got["c"] != got["a"] and len(got) == 4
+
+
+@pytest.mark.parametrize("most", [0, 1_000_000])
+def test_components_by_broadcast_and_by_exchange(spark, monkeypatch, most):
+    monkeypatch.setattr(components, "MOST_BROADCAST_EDGES", most)
+    rng = random.Random(8)
+    edges = [(0, i) for i in range(1, 150)] + [(i, i + 1) for i in range(200, 260)] + [(rng.randrange(300, 400), rng.randrange(300, 400)) for _ in range(60)] + [(5, 5), (None, 3)]
+    label = {v: v for e in edges if None not in e and e[0] != e[1] for v in e}
+    for _ in range(len(label)):
+        for a, b in edges:
+            if a is not None and a != b:
+                label[a] = label[b] = min(label[a], label[b])
+    got = {r.node: r.component for r in components.components(spark.createDataFrame(edges, "src long, dst long")).collect()}
+    assert got == label
+
+
+def test_blocks_of_different_sizes_lose_no_link(spark, monkeypatch):
+    monkeypatch.setattr(ngram_join, "BLOCK", 40)
+    rng = np.random.default_rng(9)
+    base = rng.integers(0, 1 << 62, 400)
+    sets = [np.unique(base[: 20 + i]) for i in range(0, 380, 2)] + [np.unique(np.r_[base[:50], rng.integers(0, 1 << 62, 5)]) for _ in range(90)]
+    df = spark.createDataFrame([(3, i, 1, s.astype("<i8").tobytes()) for i, s in enumerate(sets)], "cluster long, node long, weight long, shingles binary")
+    got = {r.node: r.links for r in ngram_join.verified(df, 0.8).groupBy("node").sum("links").withColumnRenamed("sum(links)", "links").collect()}
+    near = ngram_join.compare_sets(sets, np.arange(len(sets)), np.arange(len(sets)), 0.8)
+    np.fill_diagonal(near, False)
+    assert got == {i: int(v) for i, v in enumerate(near.sum(1)) if v}
+
+
+def test_recall_of_planted_pairs_just_above_the_threshold(spark):
+    """Pairs whose exact similarity lies in 0.80 to 0.85, as many of them as the bands promise."""
+    rng, rows, planted = random.Random(12), [], 0
+    while planted < 300:
+        words = [f"p{planted}w{rng.randrange(10**9)}" for _ in range(rng.randrange(60, 200))]
+        other = list(words)
+        for _ in range(rng.randrange(1, 5)):
+            other[rng.randrange(len(other))] = f"q{rng.randrange(10**9)}"
+        a, b = shingles(" ".join(words)), shingles(" ".join(other))
+        if 0.8 <= len(a & b) / len(a | b) <= 0.85:
+            rows += [(2 * planted, " ".join(words)), (2 * planted + 1, " ".join(other))]
+            planted += 1
+    df = spark.createDataFrame([(i, t, "x") for i, t in rows], DOCS).repartition(4)
+    found = sum(r.n_links for r in ngram_join.similar_documents(df).collect()) // 2
+    assert found >= 298
+
+
 def test_recall_of_the_bands():
     bands, rows = ngram_join.bands_for(0.8, 0.9999)
     assert 1 - (1 - 0.8**rows) ** bands >= 0.9999

@@ -75,6 +75,20 @@ def test_lines(spark):
     assert line_dedup.dedup_lines(docs.limit(0)).count() == 0
 
 
+def test_marks_by_salted_join_and_by_broadcast_agree(spark, monkeypatch):
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    report = lambda: sorted(map(str, line_dedup.dedup_lines(docs, min_sites=3, min_chars=1).select("doc_id", "_kept", "_n_removed").collect()))
+    by_broadcast = report()
+    monkeypatch.setattr(line_dedup, "MOST_BROADCAST_LINES", -1)
+    assert report() == by_broadcast
+
+
+def test_empty_tables_pass_every_stage(spark):
+    none = spark.createDataFrame([], DOCS)
+    for stage in (corpus_pipeline.quality_stage, corpus_pipeline.line_stage, corpus_pipeline.near_duplicate_stage, corpus_pipeline.decontamination_stage):
+        assert stage(spark, none, SF).collect() == []
+
+
 def test_exact_counts_decide_near_the_threshold(spark):
     rows = [(i * 100 + j, f"line {i} that is long enough", "en", f"s{j}", 0) for i in range(30) for j in range(i + 1)]
     lines = line_dedup.lines_of(spark.createDataFrame(rows, DOCS), "source", 5)
@@ -90,6 +104,9 @@ def test_windows_by_join_and_by_set_agree(spark, monkeypatch):
     assert short == {(1, 6, 4, ("10", "11", "9")), (2, 6, 5, ("11", "9")), (3, 0, 0, ()), (4, 0, 0, ()), (None, 2, 2, ("11",))}
     monkeypatch.setattr(decontaminate, "MOST_WINDOWS", 2)
     assert report() == by_set
+    by_join = sorted(map(str, decontaminate.clean_documents(docs, bench, n=3).collect()))
+    monkeypatch.setattr(decontaminate, "MOST_WINDOWS", 200_000)
+    assert by_join == sorted(map(str, decontaminate.clean_documents(docs, bench, n=3).collect()))
     assert decontaminate.decontaminate(docs.limit(0), bench).count() == 0
     assert decontaminate.decontaminate(docs, bench.limit(0)).where("n_hit > 0").count() == 0
     assert decontaminate.clean_documents(docs, bench, n=3).columns == docs.columns

@@ -86,6 +86,15 @@ def test_packing_is_gapless_and_near_the_bound(spark, sf_dir):
     assert used <= 1.02 * packing.lower_bound(Counter(r.length for r in out), 1024) + 1
 
 
+def test_packing_by_small_cells_and_many_salts(spark, sf_dir, monkeypatch):
+    monkeypatch.setattr(packing, "LEAST_CELL", 2)
+    monkeypatch.setattr(packing, "MOST_CELLS", 1 << 30)
+    rng = random.Random(6)
+    pieces = spark.createDataFrame([(i, 0, rng.choice([512, 512, 300, 212, 100, 1024, 7])) for i in range(700)], "doc_id long, piece int, length long").repartition(5)
+    out = packing.assign(pieces, 1024, rows_per_salt=10).collect()
+    assert len(out) == 700 and check_places(out, 1024) == sum(n for _, n in packing.plan(Counter(r.length for r in out), 1024))
+
+
 def test_empty_table(spark):
     none = spark.createDataFrame([], SCHEMA)
     assert packing.pack(none).count() == 0
