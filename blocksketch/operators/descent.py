@@ -1,7 +1,8 @@
 """Steepest descent: plain, stochastic, sketched, coded, weighted, projected, and with Newton steps.
 
-An iteration is one job: the plan starts from the stored design, drops blocks
-that were not drawn, and returns one row.  Draws of all iterations are made in
+An iteration is one job: the plan starts from the stored design and returns one
+row.  From a block store it opens the files of the drawn blocks' buckets only;
+from any other table it scans all rows and drops what was not drawn.  Draws of all iterations are made in
 one job beforehand.  ``mode='stats'`` iterates on block statistics instead
 (K d^2 numbers), for checks and for many cheap iterations.
 """
@@ -18,6 +19,7 @@ from pyspark.sql import functions as F
 from blocksketch.functions.core import hash_uniform
 from blocksketch.operators import gradients, network, sampling
 from blocksketch.operators.stats import Total, unpack
+from blocksketch.sources.tables import BlockStore
 from blocksketch.plans.rewrites import small
 
 Step = Callable[[int, np.ndarray, np.ndarray, float, float], float]
@@ -129,8 +131,8 @@ def stochastic_descent(design: DataFrame, x0: Sequence[float], step: Step, stop:
     return _descend(x0, step, stop, grad, _line_of(design))
 
 
-def sketched_descent(design: DataFrame, x0: Sequence[float], step: Step, stop: Stop, weights: DataFrame, line_on: str = "full", project: float | None = None, fixed: bool = False) -> Trace:
-    """A new sketch in every iteration: ``weights`` has iteration, block_id, w.
+def sketched_descent(design: DataFrame | BlockStore, x0: Sequence[float], step: Step, stop: Stop, weights: DataFrame, line_on: str = "full", project: float | None = None, fixed: bool = False) -> Trace:
+    """A new sketch in every iteration: ``weights`` has iteration, block_id, w; a block store is read by draw.
 
     ``fixed`` uses iteration 0's sketch throughout; ``line_on='sketch'`` takes
     the line search's sums from the sketch instead of the full data.
@@ -138,6 +140,8 @@ def sketched_descent(design: DataFrame, x0: Sequence[float], step: Step, stop: S
     held: dict[int, list] = {}
     for r in weights.collect():  # metadata: at most K rows an iteration
         held.setdefault(r["iteration"], []).append((r["block_id"], r["w"]))
+    store = design if isinstance(design, BlockStore) else None
+    design = store.rows() if store else design
     spark = design.sparkSession
 
     def of(s: int) -> DataFrame:
@@ -147,9 +151,10 @@ def sketched_descent(design: DataFrame, x0: Sequence[float], step: Step, stop: S
         drawn = held.get(0 if fixed else s, [])
         if not drawn:
             return np.zeros(len(x)), {"rows_read": 0, "blocks_read": 0}
-        part = design.where(F.col("block_id").isin([int(b) for b, _ in drawn]))  # reaches the scan of a block store
+        wanted = [int(b) for b, _ in drawn]
+        part = store.blocks(wanted) if store else design.where(F.col("block_id").isin(wanted))
         r = gradients.sketched_gradient(part, x.tolist(), of(s), step_sums=True).first()
-        return np.array(r["g"]), {"rows_read": r["rows_read"], "blocks_read": r["blocks_read"]}
+        return np.array(r["g"]), {"rows_read": r["rows_read"], "blocks_read": r["blocks_read"]} | ({"files_read": store.files(wanted)} if store else {})
 
     def line(s: int, x: np.ndarray, g: np.ndarray) -> tuple[float, float]:
         if line_on == "full":
@@ -193,7 +198,7 @@ def many_runs(total: Total, sketches: Sequence[Total] | None, x0: Sequence[float
     return np.array(made)
 
 
-def coded_descent(design: DataFrame, dist: DataFrame, law: DataFrame, m: int, x0: Sequence[float], step: Step, stop: Stop, seed: int, q: int | None = None, ending: float | None = None, late_servers: Sequence[int] = (), counts: DataFrame | None = None) -> tuple[Trace, DataFrame]:
+def coded_descent(design: DataFrame | BlockStore, dist: DataFrame, law: DataFrame, m: int, x0: Sequence[float], step: Step, stop: Stop, seed: int, q: int | None = None, ending: float | None = None, late_servers: Sequence[int] = (), counts: DataFrame | None = None) -> tuple[Trace, DataFrame]:
     """The whole procedure: counts from scores, servers, replies, weights, descent.
 
     ``counts`` (block_id, r, summing to m) may come from any rule, such as

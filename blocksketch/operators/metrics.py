@@ -3,10 +3,13 @@
 from __future__ import annotations
 
 import math
-from collections.abc import Sequence
+import time
+import uuid
+from collections.abc import Iterator, Sequence
+from contextlib import contextmanager
 
 import numpy as np
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from blocksketch.functions.core import dot
@@ -84,9 +87,22 @@ def prediction_floor(sigma: float, d: int, r: int, n: int) -> float:
 
 
 def costs(trace: Trace, q: int, d: int, waits: Sequence[float] = ()) -> dict[str, float]:
-    """Rows and blocks read, jobs, master additions and simulated waiting time of a run."""
+    """Files, rows and blocks read, master additions and simulated waiting time of a run."""
     read = [c for c in trace.costs if c]
-    return {"iterations": len(trace.xs) - 1, "rows_read": sum(c["rows_read"] for c in read), "blocks_read": sum(c["blocks_read"] for c in read), "jobs": len(trace.xs) - 1, "master_additions": q * d * (len(trace.xs) - 1), "waited": float(sum(waits))}
+    summed = {k: sum(c.get(k, 0) for c in read) for k in ("files_read", "rows_read", "blocks_read")}
+    return {"iterations": len(trace.xs) - 1, **summed, "master_additions": q * d * (len(trace.xs) - 1), "waited": float(sum(waits))}
+
+
+@contextmanager
+def measured_jobs(spark: SparkSession) -> Iterator[dict[str, float]]:
+    """Counts the Spark jobs and the seconds of what runs inside, as Spark's own tracker saw them."""
+    group, began, seen = f"measured-{uuid.uuid4().hex}", time.perf_counter(), {}
+    spark.sparkContext.setJobGroup(group, "measured")
+    try:
+        yield seen
+    finally:
+        seen |= {"jobs": len(spark.sparkContext.statusTracker().getJobIdsForGroup(group)), "seconds": time.perf_counter() - began}
+        spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
 
 
 def waiting_times(replies: DataFrame, q: int) -> DataFrame:

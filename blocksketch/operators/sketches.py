@@ -6,7 +6,7 @@ A sketch is returned as rows ``sketch_row, features, label``: S A and S b.
 from __future__ import annotations
 
 import math
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -181,39 +181,67 @@ def _as_total(gram: np.ndarray, rows: int) -> Total:
     return Total(gram[:d, :d], gram[:d, d], float(gram[d, d]), rows)
 
 
-def srht_gram(x: np.ndarray, kk: int, q: int, seed: tuple[int, ...]) -> np.ndarray:
-    """Gram matrix of one block SRHT of the padded rows x: kk blocks, q of them drawn."""
+def srht_gram(x: np.ndarray, kk: int, q: int, seed: tuple[int, ...], signs: tuple[int, ...] | None = None) -> np.ndarray:
+    """Gram matrix of one block SRHT of the padded rows x: kk blocks, q of them drawn; ``signs`` seeds the signs alone."""
     tau = len(x) // kk
     rng = np.random.default_rng(seed)
     sign = rng.integers(0, 2, len(x)) * 2.0 - 1
     drawn = rng.integers(0, kk, q)
+    if signs is not None:
+        sign = np.random.default_rng(signs).integers(0, 2, len(x)) * 2.0 - 1
     across = hadamard(np.eye(kk))[drawn] @ (x * sign[:, None]).reshape(kk, -1)
     y = hadamard(across.reshape(q, tau, -1).transpose(1, 0, 2).reshape(tau, -1)).reshape(tau * q, -1)
     return y.T @ y / (q * tau)
 
 
-def srht_totals(design: DataFrame, d: int, k: int, q: int, seeds: list[tuple[int, ...]]) -> list[Total]:
-    """Statistics of one new block SRHT (signs and draw) for each seed, in one job.
+def _totals_of_copies(design: DataFrame, d: int, rows: int, seeds: list[tuple[int, ...]], gram: Callable[[np.ndarray, tuple[int, ...]], np.ndarray], n: int) -> list[Total]:
+    """Statistics of one new sketch of n rows for each seed, in one job.
 
-    A task holds the design and makes its share of the sketches: a baseline for
-    designs that fit a task.  Rows are numbered 0..N-1, padded as in block_srht.
+    A task holds the design, padded to ``rows`` rows numbered from 0, and makes
+    its share of the sketches: for baselines whose design fits a task.
     """
-    n = design.agg(F.max("row_id")).first()[0] + 1
-    kk = 1 << max(0, (k - 1).bit_length())
-    tau = 1 << max(0, (-(-n // kk) - 1).bit_length())
     parts = min(len(seeds), 4 * design.sparkSession.sparkContext.defaultParallelism)
     copies = design.select("row_id", "features", "label", F.explode(F.sequence(F.lit(0), F.lit(parts - 1))).alias("part"))
 
     def run(key: tuple, table: pa.Table) -> pa.Table:
-        x = np.zeros((kk * tau, d + 1))
+        x = np.zeros((rows, d + 1))
         at = table["row_id"].to_numpy()
         x[at, :d] = table["features"].combine_chunks().flatten().to_numpy().reshape(-1, d)
         x[at, d] = table["label"].to_numpy()
         mine = list(range(key[0].as_py(), len(seeds), parts))
-        return pa.table({"i": pa.array(mine, pa.int32()), "gram": pa.array([srht_gram(x, kk, q, seeds[i]).ravel().tolist() for i in mine], pa.list_(pa.float64()))})
+        return pa.table({"i": pa.array(mine, pa.int32()), "gram": pa.array([gram(x, seeds[i]).ravel().tolist() for i in mine], pa.list_(pa.float64()))})
 
     made = copies.groupBy("part").applyInArrow(lambda key, t: run(key, t), "i int, gram array<double>").collect()  # d^2 numbers a seed
-    return [_as_total(np.array(r["gram"]).reshape(d + 1, d + 1), q * tau) for r in sorted(made, key=lambda r: r["i"])]
+    return [_as_total(np.array(r["gram"]).reshape(d + 1, d + 1), n) for r in sorted(made, key=lambda r: r["i"])]
+
+
+def srht_totals(design: DataFrame, d: int, k: int, q: int, seeds: list[tuple[int, ...]], resign: str = "every") -> list[Total]:
+    """Statistics of one block SRHT for each seed, padded as in block_srht.
+
+    ``resign`` says what is new in each: signs and drawn blocks (``every``), or
+    the drawn blocks only, the signs being those of the first seed (``once``).
+    """
+    if resign not in ("once", "every"):
+        raise ValueError("resign is 'once' or 'every'")
+    n = design.agg(F.max("row_id")).first()[0] + 1
+    kk = 1 << max(0, (k - 1).bit_length())
+    tau = 1 << max(0, (-(-n // kk) - 1).bit_length())
+    signs = seeds[0] if resign == "once" else None
+    return _totals_of_copies(design, d, kk * tau, seeds, lambda x, seed: srht_gram(x, kk, q, seed, signs), q * tau)
+
+
+def rademacher_totals(design: DataFrame, d: int, r: int, seeds: list[tuple[int, ...]]) -> list[Total]:
+    """Statistics of one new sign sketch of r rows for each seed."""
+    n = design.agg(F.max("row_id")).first()[0] + 1
+
+    def gram(x: np.ndarray, seed: tuple[int, ...]) -> np.ndarray:
+        rng, out = np.random.default_rng(seed), np.zeros((d + 1, d + 1))
+        for a in range(0, r, 256):  # some rows of S at a time
+            y = (rng.integers(0, 2, (min(256, r - a), n), dtype=np.int8) * 2.0 - 1) @ x
+            out += y.T @ y / r
+        return out
+
+    return _totals_of_copies(design, d, n, seeds, gram, r)
 
 
 def sketch_total(sketch: DataFrame, d: int) -> Total:

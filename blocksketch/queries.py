@@ -14,13 +14,15 @@ from blocksketch.fixtures import SQL, SQL_SKETCHED, SQL_STATS, load, sql_draws,
 from blocksketch.functions.core import rounded
 from blocksketch.operators import descent, design, distances, network, sampling, scores, sketches, stats
 from blocksketch.operators.stats import Total
-from blocksketch.sources.tables import stored, t_matrix, table
+from blocksketch.sources.tables import stored, stored_blocks, t_matrix, table
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
 ORACLE_SQL: dict[str, str] = {}
 
 Q, SEED, STEPS, M = 10, 7, 6, 60
+#: Buckets of the block stores that iterations read.
+BUCKETS = 20
 #: Fixed values of the published experiments.
 ENDINGS = [6, 12, 24, 42, 48, 54, 60]
 EXAMPLE = ([3, 3, 4, 5, 5], 20, 3)
@@ -435,7 +437,7 @@ def _(spark: SparkSession, d: str) -> DataFrame:
 @query("x7_fixed_sketch_descent", with_stats("documents", DRAWS, SQL_SKETCHED, "one AS (SELECT * FROM sk WHERE iteration = 0)", sql_path(STEPS, XI, "one").replace(" AND iteration = s", ""), body=PATH_BODY, recursive=True))
 def _(spark: SparkSession, d: str) -> DataFrame:
     rows, _, _, total, _, w = drawn(spark, d, keep=True)
-    return path_table(spark, descent.sketched_descent(rows, [0.0] * 3, descent.fixed_step(xi_of(total)), descent.Stop(STEPS), w, fixed=True))
+    return path_table(spark, descent.sketched_descent(stored_blocks(rows, BUCKETS), [0.0] * 3, descent.fixed_step(xi_of(total)), descent.Stop(STEPS), w, fixed=True))
 
 
 @query("x8_countsketch", f"WITH {SQL['events']} SELECT ({fixtures.sql_int(chr(39) + 'cs0' + chr(39), 'row_id')} % 16)::INT AS sketch_row, " + ", ".join(f"round(sum(CASE WHEN {fixtures.sql_int(chr(39) + 'sg0' + chr(39), 'row_id')} % 2 = 0 THEN 1.0 ELSE -1.0 END * {c}), 5) + 0.0 AS {c}" for c in ("x0", "x1", "x2", "y")) + " FROM design GROUP BY 1")

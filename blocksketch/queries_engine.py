@@ -152,10 +152,11 @@ def _(spark: SparkSession, d: str) -> DataFrame:
 
 @query("r_map_weights", with_stats("documents", DRAWS, body="SELECT iteration, round(sum(w * n), 5) AS weighted_rows FROM weights JOIN stats USING (block_id) GROUP BY iteration"))
 def _(spark: SparkSession, d: str) -> DataFrame:
-    """Weights as a map per iteration, looked up by block."""
+    """Weights as a map per iteration, opened again to meet the blocks."""
     _, held, _, _, _, w = drawn(spark, d)
     maps = w.groupBy("iteration").agg(F.map_from_entries(F.collect_list(F.struct("block_id", "w"))).alias("m"))
-    return maps.join(held.select("block_id", "n")).groupBy("iteration").agg(F.round(F.sum(F.coalesce(F.element_at("m", F.col("block_id")), F.lit(0.0)) * F.col("n")), 5).alias("weighted_rows"))
+    each = maps.select("iteration", F.explode("m").alias("block_id", "w"))
+    return each.join(held.select("block_id", "n"), "block_id").groupBy("iteration").agg(F.round(F.sum(F.col("w") * F.col("n")), 5).alias("weighted_rows"))
 
 
 @query("r_json_props", "SELECT event_type, count(*)::BIGINT AS n, sum(CAST(props->>'$.k' AS BIGINT))::BIGINT AS k FROM events GROUP BY event_type")
@@ -212,6 +213,18 @@ def _(spark: SparkSession, d: str) -> DataFrame:
     return ev.finish(ev.session_stats(ev.read_events(spark, d)), "append")
 
 
+@query("t4_late_rows", "SELECT count(*) FILTER (WHERE ts >= TIMESTAMP '2024-01-20')::BIGINT AS kept, count(*) FILTER (WHERE ts < TIMESTAMP '2024-01-20')::BIGINT AS late FROM events")
+def _(spark: SparkSession, d: str) -> DataFrame:
+    """The last days are replayed before the first ones, which are late then: counted, not only dropped.
+
+    A batch is judged by the watermark that the batch before the last had left, so two batches go first.
+    """
+    events = ev.batch_events(spark, d)
+    path = ev.replay(events, ["2024-01-20", "2024-01-25", "2024-01-25", "2025-01-01", "2023-01-01", "2024-01-20"])
+    stream = spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(path)
+    return ev.count_late(stream)
+
+
 @query("t5_deadline_replies", "SELECT strftime(date_trunc('day', ts), '%Y-%m-%d %H:%M:%S') AS start, sum(CASE WHEN value <= 24 THEN 1 ELSE 0 END)::BIGINT AS came, sum(CASE WHEN value <= 24 THEN 0 ELSE 1 END)::BIGINT AS late FROM events GROUP BY 1")
 def _(spark: SparkSession, d: str) -> DataFrame:
     return ev.finish(ev.replies_by_deadline(ev.read_events(spark, d), 24.0)).select(_ts(), "came", "late")
@@ -304,31 +317,48 @@ def _(spark: SparkSession, d: str) -> DataFrame:
 
 @query("w2_convergence")
 def _(spark: SparkSession, d: str) -> DataFrame:
-    """method, s, log_residual: curves at the sweep's largest step, every 20 iterations."""
+    """method, s, log_residual: curves over all iterations at the sweep's largest step."""
     rows = stored(load(spark, d, "embeddings"), "design")
-    return spark.createDataFrame(workloads.curves(rows, 40, workloads.half_the_blocks(rows), 200, 0.1, 20), "method string, s int, log_residual double")
+    out = workloads.curves(rows, 40, workloads.half_the_blocks(rows), workloads.ITERATIONS, workloads.SHARES[-1], 50)
+    return spark.createDataFrame(out, "method string, s int, log_residual double")
+
+
+def _line_search(spark: SparkSession, rows: DataFrame) -> DataFrame:
+    out = workloads.compare_methods(rows, 40, workloads.half_the_blocks(rows), workloads.ITERATIONS, [1.0], line=True, dense=True, signs=True, fixed=True)
+    return spark.createDataFrame(out, "method string, share double, log_residual double").drop("share")
 
 
 @query("w3_line_search")
 def _(spark: SparkSession, d: str) -> DataFrame:
-    rows = stored(load(spark, d, "embeddings"), "design")
-    out = workloads.compare_methods(rows, 40, workloads.half_the_blocks(rows), 100, [1.0], line=True, dense=True)
-    return spark.createDataFrame(out, "method string, share double, log_residual double").drop("share")
+    """The exact line search with block leverage, uniform, Gaussian, block SRHT and sign sketches, new in every step and fixed, and stochastic blocks."""
+    return _line_search(spark, stored(load(spark, d, "embeddings"), "design"))
+
+
+@query("w3_line_search_t_matrix")
+def _(spark: SparkSession, d: str) -> DataFrame:
+    """The same on a matrix of t-distributed entries."""
+    return _line_search(spark, stored(workloads.heavy_matrix(spark), "design"))
 
 
 @query("w3_dense_baselines")
 def _(spark: SparkSession, d: str) -> DataFrame:
+    """Fixed steps: dense and sign sketches, new in every step and fixed."""
     rows = stored(load(spark, d, "embeddings"), "design")
-    return spark.createDataFrame(workloads.dense_baselines(rows, 40, rows.count() // 2, [0.025, 0.25], 100), "method string, share double, log_residual double")
+    out = workloads.compare_methods(rows, 40, workloads.half_the_blocks(rows), workloads.ITERATIONS, workloads.SHARES, dense=True, signs=True, fixed=True)
+    return spark.createDataFrame(out, "method string, share double, log_residual double")
 
 
 @query("w5_other_tables")
 def _(spark: SparkSession, d: str) -> DataFrame:
+    """The sweep's methods on the given tables, and with lognormal and Cauchy-like row scales (these with dense sketches too)."""
     out = []
     for name, width in (("lineitem", 3), ("documents", 3), ("events", 3), ("star", 7)):
-        rows = workloads.compare_methods(load(spark, d, name), width, Q, 60, [0.2], SEED)
-        out += [(name, m, v) for m, _, v in rows]
-    return spark.createDataFrame(out, "source string, method string, log_residual double")
+        rows = workloads.compare_methods(load(spark, d, name), width, Q, workloads.ITERATIONS, workloads.SHARES, SEED)
+        out += [(name, m, share, v) for m, share, v in rows]
+    for kind in ("lognormal", "cauchy"):
+        rows = stored(workloads.scaled_matrix(spark, kind), "design")
+        out += [(kind, m, share, v) for m, share, v in workloads.compare_methods(rows, 40, workloads.half_the_blocks(rows), workloads.ITERATIONS, workloads.SHARES, SEED, dense=True)]
+    return spark.createDataFrame(out, "source string, method string, share double, log_residual double")
 
 
 @query("w8_srht_and_leverage")

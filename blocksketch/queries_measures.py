@@ -12,9 +12,9 @@ from blocksketch.functions.core import rounded
 from blocksketch.operators import coding, descent, distances, gradients, metrics, network, products, sampling, scores, sketches, stats
 from blocksketch.operators.descent import Stop, fixed_step
 from blocksketch.plans.rewrites import small
-from blocksketch.queries import _COUNTS, DRAWS, M, Q, REPLIES, SEED, STEPS, XI, _ROW_LEVERAGE, block_scores, counted, drawn, one_row, query, vector_table, with_stats, xi_of
+from blocksketch.queries import _COUNTS, BUCKETS, DRAWS, M, Q, REPLIES, SEED, STEPS, XI, _ROW_LEVERAGE, block_scores, counted, drawn, one_row, query, vector_table, with_stats, xi_of
 from blocksketch.queries_methods import _BEST, _CELLS, _ONE, _PRODUCT, RESID, X, _spread, _two
-from blocksketch.sources.tables import stored, table
+from blocksketch.sources.tables import stored, stored_blocks, table
 
 RUNS = 40
 _D3 = [(i, j) for i in range(3) for j in range(i, 3)]
@@ -351,7 +351,7 @@ def _(spark: SparkSession, d: str) -> DataFrame:
     dist = stored(dist, "dist")
     phi = network.replies_by(table(spark, d, "events"), "value", [24.0], M).first()["phi"]
     counts = network.channel_counts(dist, phi, M, "scaled")
-    trace, _ = descent.coded_descent(rows, dist, law_of(spark, d), M, [0.0] * 3, fixed_step(xi_of(total)), Stop(STEPS), SEED, ending=24.0, counts=counts)
+    trace, _ = descent.coded_descent(stored_blocks(rows, BUCKETS), dist, law_of(spark, d), M, [0.0] * 3, fixed_step(xi_of(total)), Stop(STEPS), SEED, ending=24.0, counts=counts)
     return trace.table(spark).select("s", *[F.round(F.get("x", F.lit(i)), 6).alias(f"a{i}") for i in range(3)])
 
 

@@ -15,6 +15,7 @@ from blocksketch.operators.descent import Stop, fixed_step
 from blocksketch.queries import (
     _COUNTS,
     _REPLY_SQL,
+    BUCKETS,
     DRAWS,
     ENDINGS,
     EXAMPLE,
@@ -36,7 +37,7 @@ from blocksketch.queries import (
     with_stats,
     xi_of,
 )
-from blocksketch.sources.tables import stored, table
+from blocksketch.sources.tables import stored, stored_blocks, table
 
 X = [0.2, -0.4, 0.7]
 RESID = "(0.2 * x0 - 0.4 * x1 + 0.7 * x2 - y)"
@@ -214,7 +215,7 @@ _ITER = with_stats("documents", DRAWS, SQL_SKETCHED, sql_path(STEPS, XI), body=P
 @query("g10_sketched_descent", _ITER)
 def _(spark: SparkSession, d: str) -> DataFrame:
     rows, _, _, total, _, w = drawn(spark, d, keep=True)
-    return path_table(spark, descent.sketched_descent(rows, [0.0] * 3, fixed_step(xi_of(total)), Stop(STEPS), w))
+    return path_table(spark, descent.sketched_descent(stored_blocks(rows, BUCKETS), [0.0] * 3, fixed_step(xi_of(total)), Stop(STEPS), w))
 
 
 @query("g12_weighted_descent", _ITER)
@@ -233,7 +234,7 @@ def coded_path(spark: SparkSession, d: str, name: str, ending: float | None = No
     rows, _, dist, total = block_scores(spark, d, name, keep=True)
     law = stored(network.runtime_law(table(spark, d, "events"), "value"), "law")
     q = None if ending else Q
-    return descent.coded_descent(rows, stored(dist, "dist"), law, M, [0.0] * 3, fixed_step(xi_of(total)), Stop(STEPS), SEED, q, ending)[0]
+    return descent.coded_descent(stored_blocks(rows, BUCKETS), stored(dist, "dist"), law, M, [0.0] * 3, fixed_step(xi_of(total)), Stop(STEPS), SEED, q, ending)[0]
 
 
 for _name in ("lineitem", "documents"):
@@ -398,11 +399,19 @@ def _(spark: SparkSession, d: str) -> DataFrame:
 
 @query("a12_costs")
 def _(spark: SparkSession, d: str) -> DataFrame:
-    rows, _, _, total, _, w = drawn(spark, d, keep=True)
-    trace = descent.sketched_descent(rows, [0.0] * 3, fixed_step(xi_of(total)), Stop(STEPS), w)
-    waits = [r["waited"] for r in metrics.waiting_times(replied(spark, d)[1], Q).collect()]
-    c = metrics.costs(trace, Q, 3, waits)
-    return one_row(spark, **{k: (float(v) if k == "waited" else int(v)) for k, v in c.items()})
+    """What a run from a block store costs for several numbers of draws: files and rows read, jobs, additions, simulated waiting, seconds."""
+    rows, _, dist, total = block_scores(spark, d, "documents", keep=True)
+    store, dist, out = stored_blocks(rows, BUCKETS), stored(dist, "dist"), []
+    law = stored(network.runtime_law(table(spark, d, "events"), "value"), "law")
+    replies = stored(network.simulate_responses(network.allocate(network.apportion_exact(dist, M, 0)), law, STEPS, SEED), "replies")
+    for q in (2, 5, 10, 20):
+        w = stored(sampling.weights(sampling.draw_blocks(dist, q, STEPS, SEED), q), "weights")
+        with metrics.measured_jobs(spark) as seen:
+            trace = descent.sketched_descent(store, [0.0] * 3, fixed_step(xi_of(total)), Stop(STEPS), w)
+        waits = [r["waited"] for r in metrics.waiting_times(replies, q).collect()]
+        c = metrics.costs(trace, q, 3, waits)
+        out.append((q, c["iterations"], c["files_read"], c["rows_read"], c["blocks_read"], seen["jobs"], c["master_additions"], c["waited"], seen["seconds"]))
+    return spark.createDataFrame(out, "q int, iterations int, files_read long, rows_read long, blocks_read long, jobs long, master_additions long, waited double, seconds double")
 
 
 @query("a12_waiting_times", _REPLY_SQL.format(f"SELECT iteration, t AS waited FROM (SELECT *, row_number() OVER (PARTITION BY iteration ORDER BY t, server_id) AS place FROM replies) WHERE place = {Q}"))

@@ -6,10 +6,13 @@ import atexit
 import tempfile
 import uuid
 import zipfile
+from collections import Counter
+from functools import cached_property
 from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import IntegerType, StructField, StructType
 
 from blocksketch.functions.core import hash_normal, hash_uniform
 
@@ -81,10 +84,42 @@ def write_block_store(design: DataFrame, path: str, buckets: int = 64) -> None:
     with_bucket.repartition(buckets, "block_bucket").sortWithinPartitions("block_id").write.partitionBy("block_bucket").mode("overwrite").parquet(path)
 
 
-def read_blocks(spark: SparkSession, path: str, blocks: list[int], buckets: int = 64) -> DataFrame:
-    """The rows of some blocks: partition pruning on buckets, pushed filter on blocks."""
+def read_blocks(spark: SparkSession, path: str, blocks: list[int], buckets: int = 64, schema: StructType | None = None) -> DataFrame:
+    """The rows of some blocks: partition pruning on buckets, pushed filter on blocks; a known schema saves a look at a file."""
     wanted = sorted({b % buckets for b in blocks})
-    return spark.read.parquet(path).where(F.col("block_bucket").isin(wanted) & F.col("block_id").isin(sorted(set(blocks)))).drop("block_bucket")
+    reader = spark.read if schema is None else spark.read.schema(schema)
+    return reader.parquet(path).where(F.col("block_bucket").isin(wanted) & F.col("block_id").isin(sorted(set(blocks)))).drop("block_bucket")
+
+
+class BlockStore:
+    """A stored design of which an iteration opens the drawn blocks' files only."""
+
+    def __init__(self, spark: SparkSession, path: str, buckets: int, schema: StructType) -> None:
+        self.spark, self.path, self.buckets = spark, path, buckets
+        self.schema = StructType([*schema.fields, StructField("block_bucket", IntegerType())])
+
+    def rows(self) -> DataFrame:
+        """The whole design."""
+        return self.spark.read.schema(self.schema).parquet(self.path).drop("block_bucket")
+
+    def blocks(self, wanted: list[int]) -> DataFrame:
+        """The rows of some blocks."""
+        return read_blocks(self.spark, self.path, wanted, self.buckets, self.schema)
+
+    @cached_property
+    def _per_bucket(self) -> Counter:
+        return Counter(int(f.split("block_bucket=")[1].split("/")[0]) for f in self.rows().inputFiles())
+
+    def files(self, wanted: list[int]) -> int:
+        """How many files a read of these blocks opens: those of their buckets, which partition pruning leaves."""
+        return sum(self._per_bucket[b] for b in {b % self.buckets for b in wanted})
+
+
+def stored_blocks(design: DataFrame, buckets: int = 64) -> BlockStore:
+    """The design in a block store of the shared scratch folder."""
+    path = scratch_path(design.sparkSession, "blocks")
+    write_block_store(design, path, buckets)
+    return BlockStore(design.sparkSession, path, buckets, design.schema)
 
 
 def t_matrix(spark: SparkSession, n: int, d: int, dof: int = 2, seed: int = 0, blocks: int = 100) -> DataFrame:

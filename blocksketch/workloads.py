@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from blocksketch.fixtures import load
+from blocksketch.functions.core import hash_normal, hash_uniform
 from blocksketch.operators import descent, design, sampling, scores, sketches, stats
 from blocksketch.operators.descent import Stop, fixed_step
 from blocksketch.sources.tables import stored, t_matrix
@@ -25,6 +26,16 @@ def heavy_matrix(spark: SparkSession, n: int = 2000, instance: int = 0) -> DataF
     return design.plant_labels(rows, [0.2 * (i % 9 - 4) for i in range(COLUMNS)], 1.0, f"noise{instance}")
 
 
+def scaled_matrix(spark: SparkSession, kind: str, n: int = 2000, instance: int = 0) -> DataFrame:
+    """n x 40 normal entries under a row scale: ``lognormal`` (sigma 1.5) or ``cauchy`` (absolute values)."""
+    if kind not in ("lognormal", "cauchy"):
+        raise ValueError("kind is 'lognormal' or 'cauchy'")
+    i, seed = F.col("id"), f"{kind}{instance}"
+    scale = F.exp(1.5 * hash_normal(f"scale{seed}", i)) if kind == "lognormal" else F.abs(F.tan(F.pi() * (hash_uniform(f"scale{seed}", i) - 0.5)))
+    rows = spark.range(n).select(i.alias("row_id"), F.floor(i * F.lit(K) / F.lit(n)).cast("int").alias("block_id"), F.array(*[scale * hash_normal(seed, i, F.lit(j)) for j in range(COLUMNS)]).alias("features"))
+    return design.plant_labels(rows, [0.2 * (j % 9 - 4) for j in range(COLUMNS)], 1.0, f"noise{seed}")
+
+
 def half_the_blocks(rows: DataFrame) -> int:
     """The published number of draws: half of the blocks."""
     return max(4, rows.agg(F.count_distinct("block_id").alias("k")).first()["k"] // 2)
@@ -40,11 +51,13 @@ def weights_for(method: str, dist: DataFrame, iterations: int, seed: int, q: int
     return sampling.draw_poisson(even, q, iterations, seed).select("iteration", "block_id", "w")
 
 
-def compare_methods(rows: DataFrame, d: int, q: int, iterations: int, shares: list[float], seed: int = 0, line: bool = False, dense: bool = False) -> list[tuple]:
-    """(method, share, log residual) of plain, leverage, uniform, fixed and stochastic sketches.
+def compare_methods(rows: DataFrame, d: int, q: int, iterations: int, shares: list[float], seed: int = 0, line: bool = False, dense: bool = False, signs: bool = False, fixed: bool = False) -> list[tuple]:
+    """(method, share, log residual) of plain, leverage, uniform, fixed leverage and stochastic sketches.
 
     Iterations run on block statistics: one scan for all methods and steps.
-    ``dense`` adds a new Gaussian sketch and a new block SRHT in every iteration.
+    ``dense`` adds a new Gaussian sketch and a new block SRHT in every
+    iteration, ``signs`` a new sign sketch, and ``fixed`` each of these with
+    the first sketch throughout.
     """
     held = stored(stats.block_stats(rows, d), "stats")
     total = stats.collect_total(held, d)
@@ -68,12 +81,15 @@ def compare_methods(rows: DataFrame, d: int, q: int, iterations: int, shares: li
     sketched = {m: totals(m) for m in ("leverage", "uniform", "stochastic")}
     if dense:
         sketched |= dense_totals(rows, total, d, len(blocks), q, iterations, seed)
+    if signs:
+        sketched["rademacher"] = sketches.rademacher_totals(rows, d, max(1, round(q * total.n / len(blocks))), [(seed, s) for s in range(iterations)])
     for share in shares:
         step = descent.line_search() if line else fixed_step(share * unit)
         run = lambda s, fixed=False: log(descent.descend_on_stats(total, s, [0.0] * d, step, Stop(iterations), fixed).xs[-1])  # noqa: E731, B023
         out.append(("plain", share, run(None)))
         out += [(m, share, run(s)) for m, s in sketched.items()]
-        out.append(("leverage fixed", share, run(sketched["leverage"], True)))
+        once = [m for m in sketched if m == "leverage" or fixed and m in ("gaussian", "block srht", "rademacher")]
+        out += [(f"{m} fixed", share, run(sketched[m], True)) for m in once]
     return out
 
 
@@ -98,19 +114,6 @@ def curves(rows: DataFrame, d: int, q: int, iterations: int, share: float, every
     return out
 
 
-def dense_baselines(rows: DataFrame, d: int, r: int, shares: list[float], iterations: int) -> list[tuple]:
-    """(method, share, log residual) of one fixed Gaussian, sign and Hadamard sketch each."""
-    total = stats.collect_total(stats.block_stats(rows, d), d)
-    best, unit, out = total.solution(), 2 / total.spectrum()["sigma_max"] ** 2, []
-    made = {"gaussian fixed": sketches.dense_sketch(rows, d, r), "rademacher fixed": sketches.dense_sketch(rows, d, r, "rademacher"), "srht fixed": sketches.block_srht(rows, d, K, r * K // max(1, rows.count()))}
-    for name, sketch in made.items():
-        t = sketches.sketch_total(sketch, d)
-        for share in shares:
-            x = descent.descend_on_stats(total, [t], [0.0] * d, fixed_step(share * unit), Stop(iterations), fixed=True).xs[-1]
-            out.append((name, share, math.log10(float(np.linalg.norm(x - best)) / math.sqrt(total.n))))
-    return out
-
-
 def residual_table(spark: SparkSession, sf_dir: str, source: str = "embeddings", iterations: int = ITERATIONS, instances: int = INSTANCES) -> DataFrame:
     """method, share, log_residual: the published sweep on the embeddings view, or on t-distributed matrices.
 

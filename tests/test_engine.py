@@ -492,3 +492,87 @@ def test_scans_are_pruned_and_pushed(spark, sf_dir):
     assert "l_extendedprice" in text and "l_shipdate" not in text and "CartesianProduct" not in text
     text = plan_of(gradients.sketched_gradient(fixtures.load(spark, sf_dir, "documents"), [0.0] * 3, spark.createDataFrame([(0, 1, 1.0)], "iteration int, block_id int, w double")))
     assert "BroadcastHashJoin" in text and "BatchEvalPython" not in text
+
+
+# ---- scale of the engine ----
+
+
+def test_rows_are_numbered_by_ranges_of_all_keys(spark):
+    rows = spark.range(3000).select(F.lit("same").alias("a"), F.concat(F.lit("k"), F.lpad(((F.col("id") * 7919) % 3001).cast("string"), 5, "0")).alias("b")).repartition(7)
+    out = sorted((r.b, r.pos) for r in design.number_rows(rows, ("a", "b"), rows_per_range=200).collect())
+    assert [p for _, p in out] == list(range(3000))
+    assert design.number_rows(rows.limit(0), ("a", "b")).count() == 0
+
+
+def test_running_totals_by_ranges(spark):
+    rows = [((i * 37) % 1009 / 10, i % 5) for i in range(1009)]
+    df = spark.createDataFrame(rows, "t double, n long").repartition(6)
+    got = {r.t: r.upto for r in design.running_total(df, "t", "n", "upto", keys_per_range=100).collect()}
+    total = 0
+    for t, n in sorted(rows):
+        total += n
+        assert got[t] == total
+
+
+def test_an_iteration_opens_the_files_of_its_draw(small):
+    _, _, _, df = small
+    store = tables.stored_blocks(df.repartition(3), 12)
+    assert [store.files([b]) for b in (0, 5)] == [1, 1] and store.files(list(range(12))) == 12 and store.files([1, 2, 3]) == 3
+    opened = store.blocks([1, 2, 3]).select(F.input_file_name().alias("f")).distinct().count()
+    scan = store.blocks([1, 2, 3])._jdf.queryExecution().executedPlan().toString()
+    assert opened == 3 and "PartitionFilters: [" in scan and "block_bucket" in scan and "PushedFilters: [In(block_id" in scan
+    w = df.sparkSession.createDataFrame([(s, b, 2.0) for s in range(2) for b in (1, 4, 7)], "iteration int, block_id int, w double")
+    step, stop = fixed_step(1e-3), Stop(2)
+    a, b = (descent.sketched_descent(x, [0.0] * 4, step, stop, w) for x in (store, df))
+    assert np.allclose(a.xs, b.xs) and [c["files_read"] for c in a.costs] == [3, 3]
+
+
+def test_replies_are_decoded_as_least_squares_says(spark):
+    k, rng = 7, np.random.default_rng(3)
+    g = rng.normal(size=(k, 3))
+    matrix = np.array([[1.0 + 0.1 * i if (j - i) % k < 3 else 0.0 for j in range(k)] for i in range(k)])
+    parts = spark.createDataFrame([(b, [float(v) for v in g[b]]) for b in range(k)], "block_id int, g array<double>")
+    code = spark.createDataFrame([(i, j, float(matrix[i, j])) for i in range(k) for j in range(k) if matrix[i, j]], "server_id int, block_id int, c double")
+    came = {0: [0, 2, 5], 1: list(range(k)), 2: [6]}
+    replies = spark.createDataFrame([(i, s) for i, v in came.items() for s in v], "iteration int, server_id int")
+    for r in coding.decode_replies(parts, code, replies).collect():
+        part = matrix[came[r.iteration]]
+        a = np.linalg.lstsq(part.T, np.ones(k), rcond=None)[0]
+        assert np.allclose(r.g, a @ part @ g)
+
+
+def test_row_draws_follow_the_scores(small):
+    _, _, _, df = small
+    rows = scores.row_leverage(df, 4).cache()
+    pi = {r.row_id: r.pi for r in rows.collect()}
+    draws = [r.row_id for r in sampling.draw_rows(rows, 500, 8, 5).collect()]
+    assert len(draws) == 4000
+    seen = np.bincount(draws, minlength=len(pi)) / 4000
+    assert np.abs(seen - [pi[i] for i in range(len(pi))]).max() < 0.02
+
+
+def test_signs_of_a_hadamard_sketch_once_or_every_time(small):
+    _, _, _, df = small
+    total = stats.collect_total(stats.block_stats(df, 4), 4)
+    seeds = [(1, i) for i in range(60)]
+    for resign in ("once", "every"):
+        made = sketches.srht_totals(df, 4, 12, 8, seeds, resign)
+        assert np.allclose(np.mean([t.gram for t in made], 0), total.gram, rtol=0.25, atol=0.12 * np.abs(total.gram).max())
+    signs = sketches.rademacher_totals(df, 4, 40, seeds)
+    assert np.allclose(np.mean([t.gram for t in signs], 0), total.gram, rtol=0.2, atol=0.1 * np.abs(total.gram).max())
+
+
+def test_channel_counts_sum_to_the_servers(spark):
+    dist = spark.createDataFrame([(i, p) for i, p in enumerate([0.1, 0.3, 0.05, 0.25, 0.3])], "block_id int, p double")
+    for form in ("literal", "multiple", "scaled"):
+        for phi in (0.2, 0.7, 0.95):
+            r = [x.r for x in network.channel_counts(dist, phi, 23, form).orderBy("block_id").collect()]
+            assert sum(r) == 23 and min(r) >= 1
+    with pytest.raises(ValueError):
+        network.channel_counts(dist, 0.5, 20, "other")
+
+
+def test_a_side_is_broadcast_by_its_counted_size(spark):
+    many = spark.createDataFrame([(1,)] * 50, "a int")
+    assert "broadcast" in rewrites.small(many)._jdf.queryExecution().logical().toString().lower()
+    assert "broadcast" not in rewrites.small(spark.range(10_000_000), 100)._jdf.queryExecution().logical().toString().lower()
