@@ -17,6 +17,8 @@ from __future__ import annotations
 import json
 import re
 from collections.abc import Iterator
+from itertools import compress, repeat
+from operator import is_, not_
 
 import numpy as np
 import pyarrow as pa
@@ -30,8 +32,8 @@ PRETOKEN = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\p{Whit
 #: Where a space meets more white space, cutting at spaces alone would be wrong.
 _ODD = re.compile(r" \s|\s ")
 _RARE = [c for c in map(chr, range(0x3001)) if c.isspace() and c not in " \n"]
-#: Pieces kept per worker: about 200 bytes each.
-MOST_KEPT = 1_100_000
+#: Pieces with their space kept per worker, about 200 bytes each, in two generations.
+MOST_KEPT = 500_000
 #: Bytes of text whose pieces are held as objects at a time.
 RUN_BYTES = 1 << 20
 
@@ -103,9 +105,12 @@ class Merger:
 
     def merge(self, pieces: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         """Token ids of all pieces end to end, and the number of each piece's tokens."""
-        lengths = np.fromiter(map(len, pieces), np.int64, len(pieces))
-        ids = self.first[np.frombuffer(b"".join(pieces), np.uint8)]
-        owner = np.repeat(np.arange(len(pieces)), lengths)
+        return self.merge_runs(np.frombuffer(b"".join(pieces), np.uint8), np.fromiter(map(len, pieces), np.int64, len(pieces)))
+
+    def merge_runs(self, data: np.ndarray, lengths: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The same for pieces that lie end to end."""
+        ids = self.first[data]
+        owner = np.repeat(np.arange(len(lengths)), lengths)
         done_ids, done_owner = [ids[:0]], [owner[:0]]
         while len(ids):
             pair = owner[1:] == owner[:-1]
@@ -135,7 +140,7 @@ class Merger:
             ids, owner = ids[keep], owner[keep]
         ids, owner = np.concatenate(done_ids), np.concatenate(done_owner)
         order = np.argsort(owner, kind="stable")
-        return ids[order], np.bincount(owner, minlength=len(pieces))
+        return ids[order], np.bincount(owner, minlength=len(lengths))
 
 
 def _odd(text: str) -> bool:
@@ -151,7 +156,9 @@ class PieceTable:
     def __init__(self, path: str, as_ids: bool):
         self.merger, self.as_ids = Merger(path), as_ids
         self.tokens: dict[str, object] = {}
+        # two generations: pieces met again move to the young one, the others go when it is full
         self.spaced: dict[str, object] = {}
+        self.older: dict[str, object] = {}
 
     def _values(self, pieces: list[str]) -> list:
         """Of each piece (any text), by its pre-tokens."""
@@ -159,12 +166,7 @@ class PieceTable:
         new = list({t for s in split for t in s if t not in self.tokens})
         if new:
             ids, counts = self.merger.merge([t.encode() for t in new])
-            if self.as_ids:
-                raw, ends = ids.astype("<u4").tobytes(), np.cumsum(counts) * 4
-                starts = ends - counts * 4
-                self.tokens.update((t, raw[a:b]) for t, a, b in zip(new, starts.tolist(), ends.tolist(), strict=True))
-            else:
-                self.tokens.update(zip(new, counts.tolist(), strict=True))
+            self.tokens.update(zip(new, self._pieces(ids, counts) if self.as_ids else counts.tolist(), strict=True))
         get = self.tokens.__getitem__
         return [b"".join(map(get, s)) for s in split] if self.as_ids else [sum(map(get, s)) for s in split]
 
@@ -174,27 +176,41 @@ class PieceTable:
         Pure words are one pre-token, and so is the word before a comma or full
         stop; only the rest needs the pre-token pattern.
         """
-        words, marked, rest = set(), [], []
-        for c in new:
-            if c.isalpha():
-                words.add(c)
-            elif c[-1:] in (",", ".") and c[:-1].isalpha():
-                marked.append(c)
-                words.add(c[:-1])
-            else:
-                rest.append(c)
-        fresh = [w for w in words if w not in self.spaced]
-        if fresh:
-            ids, counts = self.merger.merge([b" " + w.encode() for w in fresh])
-            if self.as_ids:
-                raw, ends = ids.astype("<u4").tobytes(), np.cumsum(counts) * 4
-                self.spaced.update((w, raw[a:b]) for w, a, b in zip(fresh, (ends - counts * 4).tolist(), ends.tolist(), strict=True))
-            else:
-                self.spaced.update(zip(fresh, counts.tolist(), strict=True))
+        new = self._not_older(new)
+        pure = list(map(str.isalpha, new))
+        words = list(compress(new, pure))
+        others = list(compress(new, map(not_, pure)))
+        marked = [c for c in others if c[-1:] in (",", ".") and c[:-1].isalpha()]
+        rest = set(others).difference(marked)
+        self._add_words(words)
+        self._add_words(self._not_older(list({c[:-1] for c in marked}.difference(self.spaced))))
         ends_of = dict(zip(",.", self._values([",", "."]), strict=True))
-        self.spaced.update((c, self.spaced[c[:-1]] + ends_of[c[-1]]) for c in marked)
+        self.spaced.update([(c, self.spaced[c[:-1]] + ends_of[c[-1]]) for c in marked])
+        rest = list(rest)
         self.spaced.update(zip(rest, self._values([" " + c for c in rest]), strict=True))
 
+    def _not_older(self, pieces: list[str]) -> list[str]:
+        """The pieces that are in no generation; those of the older one move to the young one."""
+        found = list(map(self.older.get, pieces))
+        lacks = list(map(is_, found, repeat(None)))
+        has = list(map(not_, lacks))
+        self.spaced.update(zip(compress(pieces, has), compress(found, has), strict=True))
+        return list(compress(pieces, lacks))
+
+    def _add_words(self, words: list[str]) -> None:
+        """Pure words with the space before them, merged as they lie end to end."""
+        if not words:
+            return
+        data = np.frombuffer((" " + " ".join(words)).encode(), np.uint8)
+        starts = np.flatnonzero(data == 32)
+        ids, counts = self.merger.merge_runs(data, np.diff(np.r_[starts, len(data)]))
+        self.spaced.update(zip(words, self._pieces(ids, counts) if self.as_ids else counts.tolist(), strict=True))
+
+    @staticmethod
+    def _pieces(ids: np.ndarray, counts: np.ndarray) -> Iterator[bytes]:
+        raw, ends = ids.astype("<u4").tobytes(), np.cumsum(counts) * 4
+        return map(raw.__getitem__, map(slice, (ends - counts * 4).tolist(), ends.tolist()))
+
     def _whole(self, text: str):
         """A text that can't be cut at spaces, or that holds special strings."""
         parts = self.merger.special.split(text) if self.merger.special else [text]
@@ -205,28 +221,35 @@ class PieceTable:
 
     def of(self, texts: list[str]) -> list:
         """The value of each text."""
-        if len(self.spaced) + len(self.tokens) > MOST_KEPT:
-            self.spaced.clear()
+        if len(self.spaced) > MOST_KEPT // 2:
+            self.older, self.spaced = self.spaced, {}
+        if len(self.tokens) > MOST_KEPT // 4:
             self.tokens.clear()
-        specials = self.merger.specials
-        cut = [None if _odd(t) or any(s in t for s in specials) else t.split(" ") for t in texts]
-        missing: set[str] = set()
-        heads: list[str] = []
-        for c in cut:
-            if c is not None:
-                heads.append(c[0])
-                c[0] = ""  # holds its place; added back below
-                missing.update(set(c).difference(self.spaced))
+        specials, known = self.merger.specials, self.spaced.get
+        cut, values, missing, heads = [], [], set(), []
+        for t in texts:
+            if _odd(t) or any(s in t for s in specials):
+                cut.append(None)
+                values.append(None)
+                continue
+            head, *pieces = t.split(" ")
+            heads.append(head)
+            found = list(map(known, pieces))
+            lacks = list(map(is_, found, repeat(None)))
+            names = list(compress(pieces, lacks))
+            missing.update(names)
+            cut.append((compress(range(len(found)), lacks), names))
+            values.append(found)
         self._learn(list(missing))
         head_values = iter(self._values(heads))
         get, out = self.spaced.__getitem__, []
-        for text, c in zip(texts, cut, strict=True):
-            if c is None:
+        for text, holes, found in zip(texts, cut, values, strict=True):
+            if found is None:
                 out.append(self._whole(text))
-            elif self.as_ids:
-                out.append(next(head_values) + b"".join(map(get, c[1:])))
-            else:
-                out.append(next(head_values) + sum(map(get, c[1:])))
+                continue
+            for i, value in zip(holes[0], map(get, holes[1]), strict=True):
+                found[i] = value
+            out.append(next(head_values) + (b"".join(found) if self.as_ids else sum(found)))
         return out
 
 
