@@ -3,8 +3,10 @@
 from __future__ import annotations
 
 import math
+from dataclasses import dataclass
 
 import numpy as np
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -18,6 +20,8 @@ from blocksketch.sources.tables import stored, t_matrix
 K, DRAWS, COLUMNS, ITERATIONS, INSTANCES = 100, 50, 40, 600, 6
 #: Steps as multiples of 2 / sigma_max^2, by powers of ten as in the published sweep; the last ones stay stable.
 SHARES = [0.00025, 0.0025, 0.025, 0.25]
+#: Weights (iterations x blocks) that the driver holds at once, 32 MB.
+MOST_WEIGHTS = 1 << 22
 
 
 def heavy_matrix(spark: SparkSession, n: int = 2000, instance: int = 0) -> DataFrame:
@@ -51,38 +55,66 @@ def weights_for(method: str, dist: DataFrame, iterations: int, seed: int, q: int
     return sampling.draw_poisson(even, q, iterations, seed).select("iteration", "block_id", "w")
 
 
-def compare_methods(rows: DataFrame, d: int, q: int, iterations: int, shares: list[float], seed: int = 0, line: bool = False, dense: bool = False, signs: bool = False, fixed: bool = False) -> list[tuple]:
+@dataclass
+class Blocks:
+    """Block statistics of a design: the stored table, its total and leverage distribution, and on the driver a row of K x (d^2 / 2) numbers for each block."""
+
+    held: DataFrame
+    total: stats.Total
+    dist: DataFrame
+    names: np.ndarray
+    numbers: np.ndarray
+
+    def totals(self, weights: DataFrame, iterations: int) -> list[stats.Total]:
+        """The weighted sum of the blocks' statistics for every iteration: a product of the weights, some iterations at a time, with the statistics."""
+        drawn = weights.select("iteration", "block_id", "w").toArrow()  # iterations x q numbers
+        at, col, w = drawn["iteration"].to_numpy(), np.searchsorted(self.names, drawn["block_id"].to_numpy()), drawn["w"].to_numpy()
+        d, made, each = len(self.total.gram), [], max(1, MOST_WEIGHTS // len(self.names))
+        upper = np.triu_indices(d)
+        for first in range(0, iterations, each):
+            some = (at >= first) & (at < first + each)
+            table = np.zeros((min(each, iterations - first), len(self.names)))
+            np.add.at(table, (at[some] - first, col[some]), w[some])
+            for row in table @ self.numbers:
+                gram = np.zeros((d, d))
+                gram[upper] = row[:-d]
+                made.append(stats.Total(gram + np.triu(gram, 1).T, row[-d:].copy(), 0.0, 0))
+        return made
+
+
+def block_table(rows: DataFrame, d: int) -> Blocks:
+    """One scan: all that the iterations on block statistics need."""
+    held = stored(stats.block_stats(rows, d), "stats")
+    total = stats.collect_total(held, d)
+    got = held.select("block_id", "gram", "atb").toArrow().combine_chunks()  # K d^2 numbers
+    names = got["block_id"].to_numpy()
+    order = np.argsort(names)
+    numbers = np.hstack([pc.list_flatten(got[c]).to_numpy().reshape(len(names), -1) for c in ("gram", "atb")])
+    return Blocks(held, total, stored(scores.block_leverage(held, d, total), "dist"), names[order], numbers[order])
+
+
+def compare_methods(rows: DataFrame, d: int, q: int, iterations: int, shares: list[float], seed: int = 0, line: bool = False, dense: bool = False, signs: bool = False, fixed: bool = False, blocks: Blocks | None = None) -> list[tuple]:
     """(method, share, log residual) of plain, leverage, uniform, fixed leverage and stochastic sketches.
 
-    Iterations run on block statistics: one scan for all methods and steps.
+    Iterations run on block statistics: one scan for all methods and steps, or
+    none where ``blocks`` has them already.
     ``dense`` adds a new Gaussian sketch and a new block SRHT in every
     iteration, ``signs`` a new sign sketch, and ``fixed`` each of these with
     the first sketch throughout.
     """
-    held = stored(stats.block_stats(rows, d), "stats")
-    total = stats.collect_total(held, d)
-    dist = stored(scores.block_leverage(held, d, total), "dist")
+    blocks = blocks or block_table(rows, d)
+    total, dist, k = blocks.total, blocks.dist, len(blocks.names)
     best, out = total.solution(), []
     unit = 2 / total.spectrum()["sigma_max"] ** 2
 
     def log(x: np.ndarray) -> float:
         return math.log10(max(float(np.linalg.norm(x - best)), 1e-300) / math.sqrt(total.n))
 
-    blocks = {r["block_id"]: stats.Total(stats.unpack(r["gram"], d), np.array(r["atb"]), r["btb"], r["n"]) for r in held.collect()}  # K d^2 numbers
-
-    def totals(method: str) -> list[stats.Total]:
-        made: list[stats.Total] = [stats.Total(np.zeros((d, d)), np.zeros(d), 0.0, 0) for _ in range(iterations)]
-        for r in weights_for(method, dist, iterations, seed, q).collect():  # iterations x q numbers
-            t, b = made[r["iteration"]], blocks[r["block_id"]]
-            t.gram += r["w"] * b.gram
-            t.atb += r["w"] * b.atb
-        return made
-
-    sketched = {m: totals(m) for m in ("leverage", "uniform", "stochastic")}
+    sketched = {m: blocks.totals(weights_for(m, dist, iterations, seed, q), iterations) for m in ("leverage", "uniform", "stochastic")}
     if dense:
-        sketched |= dense_totals(rows, total, d, len(blocks), q, iterations, seed)
+        sketched |= dense_totals(rows, total, d, k, q, iterations, seed)
     if signs:
-        sketched["rademacher"] = sketches.rademacher_totals(rows, d, max(1, round(q * total.n / len(blocks))), [(seed, s) for s in range(iterations)])
+        sketched["rademacher"] = sketches.rademacher_totals(rows, d, max(1, round(q * total.n / k)), [(seed, s) for s in range(iterations)])
     for share in shares:
         step = descent.line_search() if line else fixed_step(share * unit)
         run = lambda s, fixed=False: log(descent.descend_on_stats(total, s, [0.0] * d, step, Stop(iterations), fixed).xs[-1])  # noqa: E731, B023
@@ -123,8 +155,8 @@ def residual_table(spark: SparkSession, sf_dir: str, source: str = "embeddings",
     for i in range(instances):
         if i == 0 or source != "embeddings":
             rows = stored(load(spark, sf_dir, "embeddings") if source == "embeddings" else heavy_matrix(spark, instance=i), "design")
-            q = half_the_blocks(rows)
-        for method, share, value in compare_methods(rows, COLUMNS, q, iterations, SHARES, i, dense=True):
+            q, blocks = half_the_blocks(rows), block_table(rows, COLUMNS)
+        for method, share, value in compare_methods(rows, COLUMNS, q, iterations, SHARES, i, dense=True, blocks=blocks):
             found.setdefault((method, share), []).append(value)
     out = [(m, share, float(np.mean(v))) for (m, share), v in found.items()]
     return spark.createDataFrame(out, "method string, share double, log_residual double")

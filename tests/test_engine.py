@@ -420,6 +420,29 @@ def test_new_dense_sketches_of_every_iteration(spark):
     assert np.allclose(srht[7], y.T @ y / 32)
 
 
+def test_many_draws_of_many_blocks_leave_no_nested_loop(spark, monkeypatch):
+    dist = spark.createDataFrame([(i, (i % 7 + 1) / 399) for i in range(100)] + [(100, 1 - sum((i % 7 + 1) / 399 for i in range(100)))], "block_id int, p double")
+    plain = sampling.draw_blocks(dist, 40, 30, 3)
+    assert "NestedLoop" in plain._jdf.queryExecution().executedPlan().toString()
+    monkeypatch.setattr(sampling, "MOST_BROADCAST_PAIRS", 1000)
+    binned = sampling.draw_blocks(dist, 40, 30, 3)
+    assert "NestedLoop" not in binned._jdf.queryExecution().executedPlan().toString()
+    assert sorted(map(tuple, plain.collect())) == sorted(map(tuple, binned.collect())) and plain.count() == 1200
+
+
+def test_weighted_totals_are_sums_over_the_drawn_blocks(small, monkeypatch):
+    from blocksketch import workloads
+
+    _, _, _, df = small
+    monkeypatch.setattr(workloads, "MOST_WEIGHTS", 40)  # a few iterations at a time
+    blocks = workloads.block_table(df, 4)
+    w = workloads.weights_for("leverage", blocks.dist, 9, 2, 5)
+    want = descent.sketch_totals(blocks.held, w, 4)
+    got = blocks.totals(w, 9)
+    assert len(got) == len(want) == 9
+    assert all(np.allclose(g.gram, t.gram) and np.allclose(g.atb, t.atb) for g, t in zip(got, want, strict=True))
+
+
 def test_residual_table_has_all_methods_and_instances(spark, sf_dir, monkeypatch):
     from blocksketch import workloads
 
