@@ -5,7 +5,7 @@ from __future__ import annotations
 import __spark_entry__ as contract
 import pytest
 
-NAMES = ["a9_bias_example", "b10_t_matrix", "b6_sizes_100_7"]
+NAMES = ["a9_bias_example", "b10_t_matrix", "b6_sizes_100_7", "c4_uniform_replicas"]
 
 
 @pytest.mark.parametrize("name", NAMES)
