@@ -5,7 +5,7 @@ from __future__ import annotations
 import __spark_entry__ as contract
 import pytest
 
-NAMES = ["a9_bias_example", "b10_t_matrix", "b6_sizes_100_7", "c4_uniform_replicas", "c6_decode_cost", "k12_trials_needed", "k15_dims", "n7_replicas_lcm", "n8_is_perfect", "r_data_source", "s8_uniform"]
+NAMES = ["a9_bias_example", "b10_t_matrix", "b6_sizes_100_7", "c4_uniform_replicas", "c6_decode_cost", "k12_trials_needed", "k15_dims", "n7_replicas_lcm", "n8_is_perfect", "r_data_source", "s8_uniform", "u_draw_udtf"]
 
 
 @pytest.mark.parametrize("name", NAMES)
