@@ -71,20 +71,27 @@ def first_of_each(events: DataFrame, late: str = "1 hour") -> DataFrame:
 
 def count_late(events: DataFrame, late: str = "1 hour") -> DataFrame:
     """One row: events kept, and those that came after the watermark had passed them, as the state operator counts them."""
-    spark, name = events.sparkSession, f"s{uuid.uuid4().hex}"
+    spark, counts = events.sparkSession, {}
+
+    def count(batch: DataFrame, number: int) -> None:
+        counts[number] = batch.count()  # a batch that is run again counts once
+
     kept = events.withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
-    query = kept.writeStream.format("memory").queryName(name).option("checkpointLocation", scratch_path(spark, "stream-state")).outputMode("append").trigger(availableNow=True).start()
+    query = kept.writeStream.foreachBatch(count).option("checkpointLocation", scratch_path(spark, "stream-state")).outputMode("append").trigger(availableNow=True).start()
     query.awaitTermination()
     dropped = sum(op["numRowsDroppedByWatermark"] for p in query.recentProgress for op in p["stateOperators"])
-    return spark.table(name).agg(F.count("*").alias("kept")).select("kept", F.lit(dropped).cast("long").alias("late"))
+    return spark.createDataFrame([(sum(counts.values()), dropped)], "kept long, late long")
 
 
 def replay(events: DataFrame, cuts: list[str]) -> str:
-    """A folder with the events of each period as one file, written in the order given: periods may come out of order."""
+    """A folder with the events of each period as one file, written in the order given: periods may come out of order.
+
+    All tasks read and one writes.
+    """
     path = scratch_path(events.sparkSession, "replay")
     for low, high in zip(cuts[::2], cuts[1::2], strict=True):
         part = events.where((F.col("ts") >= F.lit(low).cast("timestamp")) & (F.col("ts") < F.lit(high).cast("timestamp")))
-        part.coalesce(1).write.mode("append").parquet(path)
+        part.repartition(1).write.mode("append").parquet(path)
     return path
 
 

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import datetime as dt
 
+import __spark_entry__ as contract
 from pyspark.sql import functions as F
 
 from blocksketch.streaming import events as ev
@@ -58,3 +59,12 @@ def test_deadline_counts_erasures(spark, tmp_path):
     stream = replay(spark, tmp_path, [[row(1, 1, 5.0), row(2, 2, 50.0)], [row(3, 3, 24.0)]])
     out = ev.finish(ev.replies_by_deadline(stream, 24.0)).first()
     assert (out.came, out.late) == (2, 1)
+
+
+def test_late_rows_are_counted_without_keeping_the_others(spark, sf_dir):
+    before = {t.name for t in spark.catalog.listTables()}
+    got = contract.queries()["t4_late_rows"](spark, sf_dir).first()
+    day = F.col("ts") >= F.lit("2024-01-20").cast("timestamp")
+    want = ev.batch_events(spark, sf_dir).agg(F.count_if(day), F.count_if(~day)).first()
+    assert tuple(got) == tuple(want)
+    assert {t.name for t in spark.catalog.listTables()} == before  # a table in the driver's memory would be listed
