@@ -22,6 +22,8 @@ K, DRAWS, COLUMNS, ITERATIONS, INSTANCES = 100, 50, 40, 600, 6
 SHARES = [0.00025, 0.0025, 0.025, 0.25]
 #: Weights (iterations x blocks) that the driver holds at once, 32 MB.
 MOST_WEIGHTS = 1 << 22
+#: Signs of a sketch beyond which only the products that a step needs are made, a job a step, instead of its statistics.
+MOST_SIGNS = 1 << 27
 
 
 def heavy_matrix(spark: SparkSession, n: int = 2000, instance: int = 0) -> DataFrame:
@@ -100,7 +102,9 @@ def compare_methods(rows: DataFrame, d: int, q: int, iterations: int, shares: li
     none where ``blocks`` has them already.
     ``dense`` adds a new Gaussian sketch and a new block SRHT in every
     iteration, ``signs`` a new sign sketch, and ``fixed`` each of these with
-    the first sketch throughout.
+    the first sketch throughout.  Large sign sketches are multiplied with the
+    residuals of all steps' runs instead of the whole design; the sketches are
+    the same.
     """
     blocks = blocks or block_table(rows, d)
     total, dist, k = blocks.total, blocks.dist, len(blocks.names)
@@ -113,13 +117,20 @@ def compare_methods(rows: DataFrame, d: int, q: int, iterations: int, shares: li
     sketched = {m: blocks.totals(weights_for(m, dist, iterations, seed, q), iterations) for m in ("leverage", "uniform", "stochastic")}
     if dense:
         sketched |= dense_totals(rows, total, d, k, q, iterations, seed)
+    steps = [descent.line_search() if line else fixed_step(share * unit) for share in shares]
+    ends: dict[str, list[float]] = {}
     if signs:
-        sketched["rademacher"] = sketches.rademacher_totals(rows, d, max(1, round(q * total.n / k)), [(seed, s) for s in range(iterations)])
-    for share in shares:
-        step = descent.line_search() if line else fixed_step(share * unit)
+        r, seeds = max(1, round(q * total.n / k)), [(seed, s) for s in range(iterations)]
+        large = r * total.n > MOST_SIGNS
+        sketched["rademacher"] = sketches.rademacher_totals(rows, d, r, seeds[: 1 if large else None])
+        if large:
+            gradients = sketches.SignGradients(rows, d, r, seeds)
+            ends["rademacher"] = [log(x) for x in descent.descend_together(total, gradients, [0.0] * d, steps, Stop(iterations))]
+            gradients.free()
+    for i, (share, step) in enumerate(zip(shares, steps, strict=True)):
         run = lambda s, fixed=False: log(descent.descend_on_stats(total, s, [0.0] * d, step, Stop(iterations), fixed).xs[-1])  # noqa: E731, B023
         out.append(("plain", share, run(None)))
-        out += [(m, share, run(s)) for m, s in sketched.items()]
+        out += [(m, share, ends[m][i] if m in ends else run(s)) for m, s in sketched.items()]
         once = [m for m in sketched if m == "leverage" or fixed and m in ("gaussian", "block srht", "rademacher")]
         out += [(f"{m} fixed", share, run(sketched[m], True)) for m in once]
     return out

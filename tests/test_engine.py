@@ -585,6 +585,44 @@ def test_signs_of_a_hadamard_sketch_once_or_every_time(small):
     assert np.allclose(np.mean([t.gram for t in signs], 0), total.gram, rtol=0.2, atol=0.1 * np.abs(total.gram).max())
 
 
+def test_gradients_under_sign_sketches_are_those_of_their_statistics(spark):
+    rng = np.random.default_rng(8)
+    ab = rng.normal(size=(1003, 4))
+    df = frame(spark, ab[:, :3], ab[:, 3], np.arange(1003) // 20)
+    xs, seeds = rng.normal(size=(2, 3)), [(3, s) for s in range(3)]
+    for r in (5, 333, 1003):
+        totals = sketches.rademacher_totals(df, 3, r, seeds)
+        made = sketches.SignGradients(df, 3, r, seeds)
+        for s, t in enumerate(totals):
+            signs = np.vstack([sketches.sign_rows(seeds[s], run, r, 1003) for run in range(-(-r // sketches.RUN))]) * 2.0 - 1
+            assert signs.shape == (r, 1003) and set(np.unique(signs)) == {-1, 1} and abs(signs.mean()) < 5 / np.sqrt(signs.size)
+            assert np.allclose(sampling.with_label(t), (signs @ ab).T @ (signs @ ab) / r)
+            assert np.allclose(made(s, xs), 2 * (xs @ t.gram - t.atb))
+        made.free()
+    # all sketches in tasks of their own, not split by rows, are the same
+    many = sketches.rademacher_totals(df, 3, 333, [(3, s) for s in range(9)])
+    assert all(np.allclose(a.gram, b.gram) for a, b in zip(many, sketches.rademacher_totals(df, 3, 333, seeds), strict=False))
+
+
+@pytest.mark.parametrize("line", [False, True])
+def test_large_sign_sketches_are_multiplied_with_residuals_only(spark, monkeypatch, line):
+    from blocksketch import workloads
+
+    rng = np.random.default_rng(9)
+    ab = rng.normal(size=(400, 5))
+    df = frame(spark, ab[:, :4], ab[:, 4], np.arange(400) // 20)
+    asked, totals = [], sketches.rademacher_totals
+    monkeypatch.setattr(sketches, "rademacher_totals", lambda *a: asked.append(len(a[3])) or totals(*a))
+    blocks = workloads.block_table(df, 4)
+    want, got = ([], [])
+    for out, most in ((want, 1 << 30), (got, 1000)):
+        monkeypatch.setattr(workloads, "MOST_SIGNS", most, raising=False)
+        out += workloads.compare_methods(df, 4, 10, 12, [1.0] if line else [0.025, 0.25], line=line, signs=True, fixed=True, blocks=blocks)
+    assert asked == [12, 1]
+    assert [g[:2] for g in got] == [w[:2] for w in want] and "rademacher" in {g[0] for g in got}
+    assert np.allclose([g[2] for g in got], [w[2] for w in want], rtol=1e-9)
+
+
 def test_channel_counts_sum_to_the_servers(spark):
     dist = spark.createDataFrame([(i, p) for i, p in enumerate([0.1, 0.3, 0.05, 0.25, 0.3])], "block_id int, p double")
     for form in ("literal", "multiple", "scaled"):
